@@ -7,8 +7,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 from codedreg.llm.bpe import encode_documents
 from codedreg.llm.common import read_table
+from codedreg.llm.fingerprints import fingerprint_documents
 from codedreg.llm.packing import pack_documents
 from codedreg.llm.shards import manifest, order_documents
+from codedreg.llm.topk import ORACLE as TOP_K_SQL
+from codedreg.llm.topk import integer_vectors, queries_of, top_k
 
 RANKS = vocabularies.path("byte_bpe_50k.tiktoken")
 TOKENIZER = vocabularies.path("byte_bpe_50k.json")
@@ -19,10 +22,19 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_table(spark, sf_dir, "documents").select("doc_id", "text")
 
 
+def op1_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = integer_vectors(read_table(spark, sf_dir, "embeddings"))
+    return top_k(queries_of(vectors, 20), vectors)
+
+
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(_documents(spark, sf_dir), RANKS, PATTERN, digests=True)
 
 
+def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprint_documents(_documents(spark, sf_dir))
+
+
 def op7_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     return manifest(order_documents(_documents(spark, sf_dir), TOKENIZER, PATTERN))
 
@@ -31,5 +43,5 @@ def op8_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(_documents(spark, sf_dir), TOKENIZER, PATTERN)
 
 
-QUERIES = {f.__name__: f for f in (op3_byte_bpe, op7_training_order, op8_harmonic_packing)}
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_exact_top_k, op3_byte_bpe, op4_fingerprints, op7_training_order, op8_harmonic_packing)}
+ORACLES: dict[str, str] = {"op1_exact_top_k": TOP_K_SQL}
