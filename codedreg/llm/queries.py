@@ -5,10 +5,12 @@ from __future__ import annotations
 import public_tokenizers as vocabularies
 from pyspark.sql import DataFrame, SparkSession
 
+from codedreg.llm import language, toxicity
 from codedreg.llm.bpe import encode_documents
 from codedreg.llm.common import read_table
 from codedreg.llm.fingerprints import fingerprint_documents
 from codedreg.llm.packing import pack_documents
+from codedreg.llm.pii import find_pii
 from codedreg.llm.shards import manifest, order_documents
 from codedreg.llm.topk import ORACLE as TOP_K_SQL
 from codedreg.llm.topk import integer_vectors, queries_of, top_k
@@ -35,6 +37,10 @@ def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_documents(_documents(spark, sf_dir))
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_pii(_documents(spark, sf_dir))
+
+
 def op7_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     return manifest(order_documents(_documents(spark, sf_dir), TOKENIZER, PATTERN))
 
@@ -43,5 +49,15 @@ def op8_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(_documents(spark, sf_dir), TOKENIZER, PATTERN)
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_top_k, op3_byte_bpe, op4_fingerprints, op7_training_order, op8_harmonic_packing)}
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _documents(spark, sf_dir)
+    return toxicity.score_documents(docs, toxicity.fit(docs, read_table(spark, sf_dir, "labels")))
+
+
+def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    return language.identify(docs, language.fit(docs))
+
+
+QUERIES = {f.__name__: f for f in (op1_exact_top_k, op3_byte_bpe, op4_fingerprints, op6_pii, op7_training_order, op8_harmonic_packing, op9_toxicity, op10_language)}
 ORACLES: dict[str, str] = {"op1_exact_top_k": TOP_K_SQL}
