@@ -9,6 +9,8 @@ from codedreg.llm import language, toxicity
 from codedreg.llm.bpe import encode_documents
 from codedreg.llm.common import read_table
 from codedreg.llm.fingerprints import fingerprint_documents
+from codedreg.llm.jaccard import ORACLE as JACCARD_SQL
+from codedreg.llm.jaccard import jaccard_components
 from codedreg.llm.packing import pack_documents
 from codedreg.llm.pii import find_pii
 from codedreg.llm.shards import manifest, order_documents
@@ -29,6 +31,10 @@ def op1_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(queries_of(vectors, 20), vectors)
 
 
+def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_components(_documents(spark, sf_dir))
+
+
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(_documents(spark, sf_dir), RANKS, PATTERN, digests=True)
 
@@ -59,5 +65,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.identify(docs, language.fit(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_top_k, op3_byte_bpe, op4_fingerprints, op6_pii, op7_training_order, op8_harmonic_packing, op9_toxicity, op10_language)}
-ORACLES: dict[str, str] = {"op1_exact_top_k": TOP_K_SQL}
+QUERIES = {f.__name__: f for f in (op1_exact_top_k, op2_ngram_jaccard, op3_byte_bpe, op4_fingerprints, op6_pii, op7_training_order, op8_harmonic_packing, op9_toxicity, op10_language)}
+ORACLES: dict[str, str] = {"op1_exact_top_k": TOP_K_SQL, "op2_ngram_jaccard": JACCARD_SQL}
