@@ -11,6 +11,7 @@ from codedreg.llm.common import read_table
 from codedreg.llm.fingerprints import fingerprint_documents
 from codedreg.llm.jaccard import ORACLE as JACCARD_SQL
 from codedreg.llm.jaccard import jaccard_components
+from codedreg.llm.linededup import summary as line_summary
 from codedreg.llm.packing import pack_documents
 from codedreg.llm.pii import find_pii
 from codedreg.llm.shards import manifest, order_documents
@@ -43,6 +44,10 @@ def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_documents(_documents(spark, sf_dir))
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_summary(_documents(spark, sf_dir))
+
+
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_pii(_documents(spark, sf_dir))
 
@@ -65,5 +70,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.identify(docs, language.fit(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_top_k, op2_ngram_jaccard, op3_byte_bpe, op4_fingerprints, op6_pii, op7_training_order, op8_harmonic_packing, op9_toxicity, op10_language)}
+QUERIES = {f.__name__: f for f in (op1_exact_top_k, op2_ngram_jaccard, op3_byte_bpe, op4_fingerprints, op5_line_dedup, op6_pii, op7_training_order, op8_harmonic_packing, op9_toxicity, op10_language)}
 ORACLES: dict[str, str] = {"op1_exact_top_k": TOP_K_SQL, "op2_ngram_jaccard": JACCARD_SQL}
