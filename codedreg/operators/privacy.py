@@ -15,7 +15,7 @@ def budget_bits(c, h2, sigma) -> Column:
     cover = F.lit(h2) if not isinstance(h2, Column) else h2
     cover = cover + F.pow(F.lit(sigma) if not isinstance(sigma, Column) else sigma, 2)
     c = F.lit(c) if not isinstance(c, Column) else c
-    return F.when(cover > 0, 0.5 * F.log2(1 + c / cover)).otherwise(F.lit(float("inf")))
+    return F.when(cover > 0, 0.5 * F.log2(1 + c / F.when(cover > 0, cover))).otherwise(F.lit(float("inf")))
 
 
 def cover_by_client(ex: DataFrame) -> DataFrame:

@@ -47,10 +47,11 @@ def variance_bound(clients: DataFrame, s: Setting, mode: str = "printed") -> Dat
     zeta and kappa are squared quantities, summed over clients where the formula wants totals.
     """
     zk = F.col("zeta") * F.col("kappa")
-    late = (1 - F.col("p_arrive")) / F.col("p_arrive")
+    p = F.when(F.col("p_arrive") > 0, F.col("p_arrive"))
+    late = (1 - p) / p
     spread = F.col("l") * (F.col("l") - F.col("b")) / F.col("b")
     sums = clients.agg(F.count("*").cast("double").alias("n"), F.sum("l").cast("double").alias("m"), F.sum("zeta").alias("z"), F.sum("kappa").alias("k"), F.sum(late * zk).alias("late"), F.sum(spread * zk).alias("batch"), F.min("p_arrive").alias("least"),
-        F.sum(zk * (late + (F.col("l") - F.col("b")) / (F.col("b") * F.col("p_arrive")) * F.when(F.col("l") > 1, F.col("l") / (F.col("l") - 1)).otherwise(0))).alias("client_part"))
+        F.sum(zk * (late + (F.col("l") - F.col("b")) / (F.col("b") * p) * F.when(F.col("l") > 1, F.col("l") / (F.col("l") - 1)).otherwise(0))).alias("client_part"))
     n, m, z, k = (F.col(x) for x in "nmzk")
     c, b, s2, d, phi2 = float(s.c), float(s.b_server), s.sigma**2, float(s.d), s.phi2
     if mode == "rederived":
@@ -78,14 +79,14 @@ def client_variance(ex: DataFrame, w: np.ndarray, sampler: str = "fixed") -> Dat
     if sampler == "bernoulli":
         s = (l / b - 1) * F.col("q")
     else:
-        s = F.when(l > 1, (l - b) / b * l / (l - 1) * (F.col("q") - F.col("grad2") / l)).otherwise(0.0)
+        s = F.when(l > 1, (l - b) / b * l / F.when(l > 1, l - 1) * (F.col("q") - F.col("grad2") / l)).otherwise(0.0)
     return sums.withColumn("grad2", grad2).select("client", "l", "b", "grad2", s.alias("s"))
 
 
 def exact_client_variance(variances: DataFrame, arrivals: DataFrame) -> DataFrame:
-    """client, s, with_arrivals: the variance once a late result counts nothing and an early one 1/p."""
+    """client, s, with_arrivals: the variance once a late result counts nothing and an early one 1/p (null if p = 0)."""
     met = variances.join(F.broadcast(arrivals.select("client", "p_arrive")), "client")
-    return met.select("client", "s", ((F.col("grad2") + F.col("s")) / F.col("p_arrive") - F.col("grad2")).alias("with_arrivals"))
+    return met.select("client", "s", ((F.col("grad2") + F.col("s")) / F.when(F.col("p_arrive") > 0, F.col("p_arrive")) - F.col("grad2")).alias("with_arrivals"))
 
 
 def exact_server_variance(composite: DataFrame, w: np.ndarray, b: int, sampler: str = "fixed") -> DataFrame:
