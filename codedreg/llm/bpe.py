@@ -4,8 +4,9 @@ Every byte stands for one printable character, every vocabulary entry for one pi
 rank, and the normaliser is the identity.  Merging the best-scored adjacent pair first is then the same as merging
 the lowest rank first, so each pre-token gets the ids the rank file defines.  Decoding maps pieces back to bytes.
 
-Null texts count as empty and give no ids.  Distinct pre-tokens are encoded once per worker and kept in a table of
-bounded size; a full table is emptied, which costs time and never changes a result.
+Null texts count as empty and give no ids.  What a worker has encoded it keeps in tables of bounded size, of two
+generations: a full one becomes the older, and what is used again moves to the new one.  This costs or saves time and
+never changes a result.
 """
 
 from __future__ import annotations
@@ -17,12 +18,16 @@ import re
 import struct
 import sys
 import unicodedata
+from array import array
+from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
 
 CACHE_ENTRIES = 300_000
+GROUP_CHARS = 200_000
 #: Printable stand-ins for the 256 bytes start here.
 BYTE_BASE = 0x100
 
@@ -43,6 +48,12 @@ def stand_in(raw: bytes) -> str:
     return "".join(chr(BYTE_BASE + b) for b in raw)
 
 
+def stand_ins(texts: list[str]) -> list[str]:
+    """stand_in of each text's bytes, for all at once; 255 never occurs in UTF-8 and parts them."""
+    raw = np.frombuffer(b"\xff".join(x.encode() for x in texts), np.uint8)
+    return (raw.astype("<u2") + np.uint16(BYTE_BASE)).tobytes().decode("utf-16-le").split(chr(BYTE_BASE + 255))
+
+
 def _varint(n: int) -> bytes:
     n &= (1 << 64) - 1
     out = bytearray()
@@ -117,6 +128,11 @@ def split_pieces(pattern: str, text: str) -> list[str]:
     return splitter(pattern, last).findall(text)
 
 
+#: Marks that the published pattern takes as a pre-token of their own after a word and before a space.
+MARKS = frozenset(".,;:!?")
+#: Fixed value: the published pre-token pattern.
+GPT_PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+
 #: White space other than the space and the line feed.
 RARE_SPACES = "\t\x0b\x0c\r\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 
@@ -126,68 +142,106 @@ def crowded(text: str) -> bool:
     return "  " in text or " \n" in text or "\n " in text or any(c in text for c in RARE_SPACES)
 
 
+class Generations:
+    """A bounded table that forgets what two generations have not used."""
+
+    def __init__(self, learn):
+        self.new: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+        self.learn = learn
+
+    def all(self, keys: list[str]) -> list[bytes]:
+        """Values of the keys; unknown ones are learnt together."""
+        found = list(map(self.new.get, keys))
+        gaps = [i for i, v in enumerate(found) if v is None]
+        if not gaps:
+            return found
+        missing = {keys[i] for i in gaps}
+        if len(self.new) + len(missing) > CACHE_ENTRIES:
+            self.old, self.new = self.new, {}
+        old, new = self.old, self.new
+        unknown = []
+        for x in missing:
+            v = old.get(x)
+            if v is None:
+                unknown.append(x)
+            else:
+                new[x] = v
+        if unknown:
+            new.update(self.learn(unknown))
+        for i in gaps:
+            found[i] = new[keys[i]]
+        return found
+
+
 class PieceCoder:
-    """Encodes texts to little-endian id bytes through bounded tables of what pre-tokens and spaced words encode to."""
+    """Encodes texts to little-endian id bytes through tables of what pre-tokens and spaced words encode to."""
 
     def __init__(self, pattern: str):
         self.find = functools.partial(split_pieces, pattern)
-        self.known: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
+        self.plain = pattern == GPT_PATTERN
+        self.known = Generations(self.learn)
+        self.words = Generations(self.learn_words)
 
-    def learn(self, missing: list[str]) -> None:
-        """Add what these pre-tokens encode to."""
+    def learn(self, missing: list[str]) -> dict[str, bytes]:
+        """What these pre-tokens encode to."""
         raise NotImplementedError
 
-    def by_pieces(self, found: list[str]) -> bytes:
-        known = self.known
-        missing = {x for x in found if x not in known}
-        if missing:
-            if len(known) + len(missing) > CACHE_ENTRIES:
-                known.clear()
-                missing = set(found)
-            self.learn(list(missing))
-        return b"".join(map(known.__getitem__, found))
+    def pieces(self, word: str) -> list[str]:
+        """Pre-tokens of a space and a word; words of letters alone, or with one mark after them, need no search."""
+        if self.plain:
+            if word.isalpha():
+                return [" " + word]
+            if word[-1:] in MARKS and word[:-1].isalpha():
+                return [" " + word[:-1], word[-1]]
+        return self.find(" " + word)
+
+    def learn_words(self, missing: list[str]) -> dict[str, bytes]:
+        own = [self.pieces(x) for x in missing]
+        coded = iter(self.known.all([p for x in own for p in x]))
+        return {x: next(coded) if len(p) == 1 else b"".join([next(coded) for _ in p]) for x, p in zip(missing, own)}
 
     def encode(self, text: str) -> bytes:
-        if crowded(text):
-            return self.by_pieces(self.find(text))
-        first, *rest = text.split(" ")
-        found = list(map(self.words.get, rest))
-        if None in found:
-            missing = {x for x, ids in zip(rest, found) if ids is None}
-            if len(self.words) + len(missing) > CACHE_ENTRIES:
-                self.words.clear()
-                missing = set(rest)
-            self.learn_words(missing)
-            found = map(self.words.__getitem__, rest)
-        return self.by_pieces(self.find(first)) + b"".join(found)
-
-    def learn_words(self, missing: set[str]) -> None:
-        pieces = {x: self.find(" " + x) for x in missing}
-        if fresh := {p for own in pieces.values() for p in own if p not in self.known}:
-            if len(self.known) + len(fresh) > CACHE_ENTRIES:
-                self.known.clear()
-                fresh = {p for own in pieces.values() for p in own}
-            self.learn(list(fresh))
-        for x, own in pieces.items():
-            self.words[x] = b"".join(map(self.known.__getitem__, own))
+        return self._together([text])[0]
+
+    def encode_many(self, texts: Iterable[str]) -> Iterator[bytes]:
+        """ids of each text; many texts share one look at the tables."""
+        held, size = [], 0
+        for text in texts:
+            held.append(text)
+            size += len(text)
+            if size > GROUP_CHARS:
+                yield from self._together(held)
+                held, size = [], 0
+        yield from self._together(held)
+
+    def _together(self, texts: list[str]) -> list[bytes]:
+        pieces, words, spans = [], [], []
+        for text in texts:
+            p, w = len(pieces), len(words)
+            if crowded(text):
+                pieces += self.find(text)
+            else:
+                first, *rest = text.split(" ")
+                pieces += self.find(first)
+                words += rest
+            spans.append((p, len(pieces), w, len(words)))
+        pieces, words = self.known.all(pieces), self.words.all(words)
+        return [b"".join(pieces[a:b]) + b"".join(words[c:d]) for a, b, c, d in spans]
 
 
 class Coder(PieceCoder):
     """Encodes by a serialised sentencepiece model and decodes by the inverse byte mapping; one per worker process."""
 
-    def __init__(self, ranks_path: str, pattern: str):
+    def __init__(self, tokens: list[bytes], pattern: str):
         super().__init__(pattern)
-        tokens = read_ranks(ranks_path)
         self.model = sentencepiece.SentencePieceProcessor(model_proto=serialise_model(tokens))
         back = {chr(BYTE_BASE + b): b for b in range(256)}
         self.vocabulary = [bytes(back[c] for c in self.model.id_to_piece(i)) for i in range(len(tokens))]
-        self.forward = {b: chr(BYTE_BASE + b) for b in range(256)}
 
-    def learn(self, missing: list[str]) -> None:
-        coded = self.model.encode([x.encode().decode("latin-1").translate(self.forward) for x in missing], num_threads=1)
-        for piece, ids in zip(missing, coded):
-            self.known[piece] = struct.pack(f"<{len(ids)}I", *ids)
+    def learn(self, missing: list[str]) -> dict[str, bytes]:
+        coded = self.model.encode(stand_ins(missing), num_threads=1)
+        return {piece: array("I", ids).tobytes() for piece, ids in zip(missing, coded)}
 
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.vocabulary.__getitem__, memoryview(ids).cast("I").tolist()))
@@ -195,7 +249,7 @@ class Coder(PieceCoder):
 
 @functools.cache
 def coder(ranks_path: str, pattern: str) -> Coder:
-    return Coder(ranks_path, pattern)
+    return Coder(read_ranks(ranks_path), pattern)
 
 
 def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, *, digests: bool = False) -> DataFrame:
@@ -209,8 +263,7 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, *, digests:
         own = coder(ranks_path, pattern)
         for batch in batches:
             rows: list[tuple] = []
-            for text in batch.column("text"):
-                ids = own.encode(text.as_py() or "")
+            for ids in own.encode_many(t.as_py() or "" for t in batch.column("text")):
                 raw = own.decode(ids)
                 if digests:
                     rows.append((len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(raw).hexdigest()))

@@ -64,8 +64,9 @@ def _pieces(docs: DataFrame, tokenizer: str, pattern: str, capacity: int, slack:
             return pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in columns[:7]), pa.array(columns[7], pa.int32()), pa.array(columns[8], pa.int64())], OPEN_NAMES)
 
         for batch in batches:
-            for doc_id, text in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
-                ids = own.encode(text.as_py() or "") + end
+            coded = own.encode_many(t.as_py() or "" for t in batch.column("text"))
+            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), coded):
+                ids += end
                 n, start = len(ids) // 4, 0
                 for length, k in cut_lengths(n, capacity, slack):
                     piece = (doc_id, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]), n)

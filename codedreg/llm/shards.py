@@ -108,8 +108,9 @@ def _sequences(docs: DataFrame, tokenizer: str, pattern: str, stride: int) -> Da
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
 
         for batch in batches:
-            for doc_id, text in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
-                ids = np.frombuffer(own.encode(text.as_py() or ""), "<u4")
+            coded = own.encode_many(t.as_py() or "" for t in batch.column("text"))
+            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), coded):
+                ids = np.frombuffer(ids, "<u4")
                 ids = ids.astype("<u2") if not len(ids) or ids.max() < 1 << 16 else ids
                 for start in range(0, max(1, len(ids)), stride):
                     piece = ids[start : start + stride]
