@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from codedreg.functions.hashrand import uniform
 from codedreg.operators import delay
-from codedreg.operators.coding import collect_composite, composite_table
+from codedreg.operators.coding import add_noise, collect_composite, compose, encode_clients
 from codedreg.operators.gradients import Gram, bias_correction, gradient_sums, grams, server_gradient, shape_of
 from codedreg.operators.sampling import SERVER_SEED, sample_batch
 from codedreg.operators.theory import learning_rate
@@ -262,14 +262,24 @@ def run(rule: str, source, epochs: Epochs, composite: Composite | None, config:
     return Result(mean, w, trace, State(stop, w, total, time), sorted(i for i, p in epochs.p.items() if p == 0) if epochs else [])
 
 
+def coded_clients(ex: DataFrame, config: Config, weights: dict[int, float] | None = None) -> DataFrame:
+    """Noise-free coded tables; with weights, of rows multiplied by their client's weight."""
+    if weights is None:
+        return encode_clients(ex, config.coded_rows, 0.0, config.seed)
+    pairs = [x for i, v in sorted(weights.items()) for x in (F.lit(i), F.lit(float(v)))]
+    weighted = ex.withColumn("weight", F.coalesce(F.create_map(*pairs)[F.col("client")], F.lit(1.0)))
+    return encode_clients(weighted, config.coded_rows, 0.0, config.seed, weight="weight")
+
+
+def noisy_composite(coded: DataFrame, config: Config) -> Composite:
+    """The composite of coded tables with the noise of the configuration; one coding serves all noise levels."""
+    noisy = add_noise(coded, config.sigma, config.seed) if config.sigma else coded
+    return Composite(*collect_composite(compose(noisy)))
+
+
 def make_composite(ex: DataFrame, config: Config, weights: dict[int, float] | None = None) -> Composite:
-    """Encode and compose once; with weights, of rows multiplied by their client's weight."""
-    more = {}
-    if weights is not None:
-        pairs = [x for i, v in sorted(weights.items()) for x in (F.lit(i), F.lit(float(v)))]
-        ex = ex.withColumn("weight", F.coalesce(F.create_map(*pairs)[F.col("client")], F.lit(1.0)))
-        more["weight"] = "weight"
-    return Composite(*collect_composite(composite_table(ex, config.coded_rows, config.sigma, config.seed, **more)))
+    """Encode and compose once, before training."""
+    return noisy_composite(coded_clients(ex, config, weights), config)
 
 
 def missing_weights(epochs: Epochs) -> dict[int, float]:

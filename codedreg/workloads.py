@@ -115,19 +115,20 @@ def privacy_performance(spark: SparkSession, sf_dir: str, sigmas: tuple[float, .
     """sigma, eps_bits, method, gap (mean over seeds): the three coded schemes at one privacy budget."""
     lab = Experiment(spark, sf_dir, tables.teacher_examples(spark, sf_dir))
     least = privacy.cover_by_client(lab.ex).agg(F.min("h2")).first()[0]
-    rows = []
-    for sigma in sigmas:
-        gaps: dict[str, list[float]] = {}
-        for seed in range(seeds):
-            config, timed = lab.config(REGIMES["payload_bound"], epochs=epochs, sigma=sigma, seed=seed)
-            arrivals = training.Epochs(timed, config)
-            plain = training.make_composite(lab.ex, config)
-            weighted = training.make_composite(lab.ex, config, training.missing_weights(arrivals))
+    gaps: dict[tuple[float, str], list[float]] = {}
+    for seed in range(seeds):
+        config, timed = lab.config(REGIMES["payload_bound"], epochs=epochs, seed=seed)
+        arrivals = training.Epochs(timed, config)
+        coded = cut(training.coded_clients(lab.ex, config))
+        coded_weighted = cut(training.coded_clients(lab.ex, config, training.missing_weights(arrivals)))
+        for sigma in sigmas:
+            own = training.variant(config, sigma=sigma)
+            plain, weighted = training.noisy_composite(coded, own), training.noisy_composite(coded_weighted, own)
             for method, rule, table, correct in (("corrected", "corrected", plain, True), ("uncorrected", "corrected", plain, False), ("weighted_mini", "weighted_mini", weighted, False), ("server_only", "server_only", plain, False)):
-                done = training.run(rule, lab.source, arrivals, table, training.variant(config, correct=correct), epochs)
-                gaps.setdefault(method, []).append(lab.gap(done.mean))
-        eps = 0.5 * np.log2(1 + config.coded_rows / (least + sigma**2)) if least + sigma > 0 else float("inf")
-        rows += [(sigma, float(eps), method, float(np.mean(x))) for method, x in gaps.items()]
+                done = training.run(rule, lab.source, arrivals, table, training.variant(own, correct=correct), epochs)
+                gaps.setdefault((sigma, method), []).append(lab.gap(done.mean))
+    eps = {s: float(0.5 * np.log2(1 + config.coded_rows / (least + s**2))) if least + s > 0 else float("inf") for s in sigmas}
+    rows = [(sigma, eps[sigma], method, float(np.mean(x))) for (sigma, method), x in gaps.items()]
     return _frame(spark, rows, "sigma double, eps_bits double, method string, gap double")
 
 
