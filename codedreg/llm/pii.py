@@ -4,7 +4,7 @@ Plain identifiers are found in the text as it stands.  A transducer then rewrite
 become the ASCII ones they imitate, invisible characters vanish, runs of spelled digits become digits, and the "at" and
 "dot" disguises of addresses become @ and dots.  It keeps the source span of every character it writes, so what the
 same detectors find in the rewritten text maps back to the source.  Such a span is added unless it overlaps a plain one
-of its kind; plain spans always stay.
+of its kind without holding more than it; plain spans always stay.
 
 Null text is empty and has no spans; an empty table gives no rows; repeated rows are each reported; extra columns are
 not read.  All detectors are linear in the length of the text, very long ones included.
@@ -183,7 +183,8 @@ def find_all(text: str) -> tuple[dict[str, list[Span]], dict[str, list[Span]]]:
         for span in map(tape.source, spans):
             while i < len(own) and own[i][1] <= span[0]:
                 i += 1
-            if i == len(own) or own[i][0] >= span[1]:
+            met = [x for x in own[i : i + 8] if x[0] < span[1]]
+            if all(span[0] <= a and b <= span[1] and (a, b) != span for a, b in met):
                 merged.append(span)
         full[kind] = sorted(own + merged)
     return base, full
