@@ -1,19 +1,23 @@
 """Toxicity by a gapped string kernel, Nystroem landmarks and a linear support vector machine.
 
 The kernel of two words sums, over all letter triples that both hold in order, DECAY to the power of the spans they
-take in either word, for spans of at most SPAN; word ends count as letters, and the value is normalised by the words'
-own.  Gaps and inserted characters thus lower a likeness without breaking it.  Before that a token loses what is not
-a letter, digits and signs that imitate letters inside it become these letters, and runs of single letters join into
-one token.
-
-Landmarks are words of the labelled sample: those that go most clearly with the label, unlike each other, and frequent
-ones that do not.  A text's feature for a landmark is the highest likeness of any of its words, values under FLOOR
-counting as zero; the kernel of the landmarks among themselves turns features into Nystroem coordinates, on which a
-squared-hinge machine is trained; a logistic curve turns margins into scores.
+take in either word, for spans of at most SPAN; word ends count as letters, and the value is divided by a function of
+either length (the norm of a word of that length without repeated triples).  Gaps and inserted characters thus lower a
+likeness without breaking it.  Before that a token loses what is not a letter, digits and signs that imitate letters
+inside it become these letters, and runs of single letters join into one token.
+
+Words that go with the label are found by covering: of the words seen almost only in labelled texts, again and again the
+one that most labelled texts not yet covered hold, so that what merely stands beside an insult, or in copies of one
+text, is not taken for one; and of the others those that many such texts hold, unless they nearly always stand beside a
+word already taken.  Words without the label are frequent ones, and in MINING further rounds those that the
+machine ranks highest in texts without it.  Landmarks are words of both kinds, unlike each other.  Likenesses to the landmarks, through the inverse root of the landmarks' own kernel, are a word's
+Nystroem coordinates; a squared-hinge machine parts words that go with the label from those that do not.  As kernel
+and machine are linear in the triples, the trained machine is one table of triple weights, and a text's margin is the
+highest of its words'.  A logistic curve, fitted on the labelled texts, turns margins into scores.
 
 The model is fitted on at most SAMPLE_DOCS labelled documents of each class (lowest hashes of ids, the fold 2 left
-out).  Everything else covers all rows, over their whole texts.  Null and empty texts score as a text without any
-landmark does; unlabelled rows are scored alike; without both classes to learn from, the score is the share of label 1
+out).  Everything else covers all rows, over their whole texts.  Null and empty texts score as a text of the lowest
+margin does; unlabelled rows are scored alike; without both classes to learn from, the score is the share of label 1
 (0 without labels).  Repeated rows are each scored; extra columns are not read.
 """
 
@@ -27,20 +31,26 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codedreg.llm.common import crc_fold
+from codedreg.llm.common import crc_fold, cut, shuffle_width, slices
 from codedreg.llm.language import sample_ids
 
 SAMPLE_DOCS = 4000
-LANDMARKS = 160
-CLEAN_LANDMARKS = 16
+LANDMARKS = 256
+CLEAN_LANDMARKS = 64
+#: Words the machine is trained on: of those that go with the label, and of those that do not.
+WORDS_WITH, WORDS_WITHOUT = 1500, 6000
+CANDIDATES = 4000
+PURITY = 0.9
+MINING = 2
+OFTEN, BESIDE = 10, 0.8
 DECAY = 0.7
 SPAN = 6
-FLOOR = 0.4
 #: Landmarks are less alike than this.
 APART = 0.85
 THRESHOLD = 0.3
-CACHE_ENTRIES = 200_000
+CACHE_ENTRIES = 400_000
 LONGEST_WORD = 64
+GROUP_TOKENS = 20_000
 
 RESULT = "doc_id long, held_out boolean, score double, predicted int"
 
@@ -78,132 +88,105 @@ def _codes(word: str) -> list[int]:
     return [27, *((o - 96) if 97 <= (o := ord(c)) <= 122 else 29 + o % 35 for c in word[:LONGEST_WORD]), 28]
 
 
-def triples(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word, triple, weight) of every occurrence; longer words than LONGEST_WORD count by their beginnings."""
+def _flat(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Codes of all words with pads between them, where each word starts, and their lengths."""
     flat: list[int] = []
-    starts = []
+    starts, sizes = [], []
     for w in words:
+        own = _codes(w)
         starts.append(len(flat))
-        flat += _codes(w)
+        sizes.append(len(own))
+        flat += own
         flat += [0] * PAD
-    c = np.array(flat, np.int32)
-    owner = np.repeat(np.arange(len(words)), np.diff([*starts, len(flat)]))
-    keys, owners, weights = [], [], []
+    return np.array(flat, np.int32), np.array(starts), np.array(sizes)
+
+
+def length_norm(sizes: np.ndarray) -> np.ndarray:
+    squares = sum(np.maximum(sizes - a - b, 0) * w * w for (a, b), w in zip(GAPS, WEIGHTS))
+    return np.sqrt(np.maximum(squares, 1e-12))
+
+
+def table_scores(table: np.ndarray, words: list[str]) -> np.ndarray:
+    """Inner product of every word's triples with a table of triple weights; no triple reaches over a pad."""
+    c, starts, sizes = _flat(words)
+    n = len(c) - SPAN
+    total = np.zeros(len(c), np.float32)
+    for (a, b), weight in zip(GAPS, WEIGHTS):
+        total[:n] += np.float32(weight) * table[(c[:n] * SYMBOLS + c[a : a + n]) * SYMBOLS + c[a + b : a + b + n]]
+    return np.add.reduceat(total, starts) / length_norm(sizes)
+
+
+def sparse_rows(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(word, triple, weight): the words' vectors."""
+    c, starts, sizes = _flat(words)
+    owner = np.repeat(np.arange(len(words)), sizes + PAD)
     n = len(c) - SPAN
+    owners, keys, weights = [], [], []
     for (a, b), weight in zip(GAPS, WEIGHTS):
-        third = c[a + b : a + b + n]
-        there = np.flatnonzero((third > 0) & (c[:n] > 0))
-        there = there[owner[there] == owner[there + a + b]]
-        keys.append((c[there] * SYMBOLS + c[there + a]) * SYMBOLS + third[there])
+        there = np.flatnonzero((c[a + b : a + b + n] > 0) & (c[:n] > 0) & (c[a : a + n] > 0))
+        keys.append((c[there] * SYMBOLS + c[there + a]) * SYMBOLS + c[there + a + b])
         owners.append(owner[there])
         weights.append(np.full(len(there), weight))
-    return np.concatenate(owners), np.concatenate(keys), np.concatenate(weights)
+    owner, key = np.concatenate(owners), np.concatenate(keys)
+    return owner, key, np.concatenate(weights) / length_norm(sizes)[owner]
+
+
+def likeness(words: list[str], landmarks: list[str]) -> np.ndarray:
+    """Kernel values, words by landmarks."""
+    owner, key, value = sparse_rows(landmarks)
+    known, place = np.unique(key, return_inverse=True)
+    dense = np.zeros((len(known), len(landmarks)))
+    np.add.at(dense, (place, owner), value)
+    out = np.zeros((len(words), len(landmarks)))
+    for start in range(0, len(words), 500):
+        part = words[start : start + 500]
+        owner, key, value = sparse_rows(part)
+        at = np.minimum(np.searchsorted(known, key), len(known) - 1)
+        hit = known[at] == key
+        spread = np.zeros((len(part), len(known)))
+        np.add.at(spread, (owner[hit], at[hit]), value[hit])
+        out[start : start + 500] = spread @ dense
+    return out
 
 
-def sparse_rows(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word, triple, weight) with weights of one triple summed, divided by the word's norm."""
-    owner, key, weight = triples(words)
-    joint, inverse = np.unique(owner.astype(np.int64) * SYMBOLS**3 + key, return_inverse=True)
-    value = np.bincount(inverse, weight, len(joint))
-    owner, key = joint // SYMBOLS**3, joint % SYMBOLS**3
-    norm = np.sqrt(np.bincount(owner, value * value, len(words)))
-    return owner, key, value / norm[owner]
-
-
-class Landmarks:
-    """Likeness of words to a fixed list of words."""
-
-    def __init__(self, words: list[str]):
-        self.words = words
-        owner, key, value = sparse_rows(words)
-        self.keys, place = np.unique(key, return_inverse=True)
-        self.dense = np.zeros((len(self.keys), len(words)))
-        self.dense[place, owner] = value
-        self.bound = np.zeros(SYMBOLS**3, np.float32)
-        self.bound[self.keys] = self.dense.max(1)
-        self.place = np.full(SYMBOLS**3, -1, np.int32)
-        self.place[self.keys] = np.arange(len(self.keys))
-
-    def likeness(self, words: list[str]) -> np.ndarray:
-        """Rows of likenesses; those under the floor are zero."""
-        out = np.zeros((len(words), len(self.words)))
-        maybe = np.flatnonzero(self.upper_bounds(words) >= FLOOR)
-        if len(maybe):
-            owner, key, value = sparse_rows([words[i] for i in maybe])
-            at = self.place[key]
-            hit = at >= 0
-            owner, at, value = owner[hit], at[hit], value[hit]
-            if len(owner):
-                sums = np.add.reduceat(self.dense[at] * value[:, None], first := np.flatnonzero(np.diff(owner, prepend=-1)), axis=0)
-                out[maybe[owner[first]]] = sums
-        out[out < FLOOR] = 0
-        return out
+class Scorer:
+    """Highest margin of a text's words, with a bounded table of the tokens met."""
 
-    def upper_bounds(self, words: list[str]) -> np.ndarray:
-        """No likeness lies above: the best landmark for each triple, over a lower bound of the word's norm."""
-        flat: list[int] = []
-        starts, sizes = [], []
-        for w in words:
-            own = _codes(w)
-            starts.append(len(flat))
-            sizes.append(len(own))
-            flat += own
-            flat += [0] * PAD
-        c = np.array(flat, np.int32)
-        n = len(c) - SPAN
-        total = np.zeros(len(c), np.float32)
-        for (a, b), weight in zip(GAPS, WEIGHTS):
-            # a triple that reaches over a pad holds a zero or another word's letters; the latter only raise the bound
-            total[:n] += np.float32(weight) * self.bound[(c[:n] * SYMBOLS + c[a : a + n]) * SYMBOLS + c[a + b : a + b + n]]
-        size = np.array(sizes)
-        least = sum(np.maximum(size - a - b, 0) * w * w for (a, b), w in zip(GAPS, WEIGHTS))
-        return np.add.reduceat(total, starts) / np.sqrt(np.maximum(least, 1e-12))
-
-
-class Featuriser:
-    """Highest likenesses of a text's words, with a bounded table of the tokens met."""
-
-    def __init__(self, landmarks: Landmarks):
-        self.landmarks = landmarks
-        self.empty()
-
-    def empty(self) -> None:
-        self.places: dict[str, int] = {}
-        self.rows = [np.zeros(len(self.landmarks.words))]
+    def __init__(self, table: np.ndarray):
+        self.table, self.known = table, {}
 
     def learn(self, tokens: list[str]) -> None:
-        if len(self.places) + len(tokens) > CACHE_ENTRIES:
-            self.empty()
-        for start in range(0, len(tokens), 20_000):
-            part = tokens[start : start + 20_000]
-            found = self.landmarks.likeness([normal_word(t) for t in part])
-            for token, alike, row in zip(part, found.any(1), found):
-                self.places[token] = len(self.rows) if alike else 0
-                if alike:
-                    self.rows.append(row.copy())
-
-    def texts(self, texts: list[str]) -> np.ndarray:
-        out = np.zeros((len(texts), len(self.landmarks.words)))
-        for i, text in enumerate(texts):
-            tokens = set(tokens_of(text))
-            missing = [t for t in tokens if t not in self.places]
+        if len(self.known) + len(tokens) > CACHE_ENTRIES:
+            self.known = {}
+        self.known.update(zip(tokens, table_scores(self.table, [normal_word(t) for t in tokens]).tolist()))
+
+    def texts(self, texts: list[str]) -> list[tuple[float, str]]:
+        """(margin, token) of the word that stands out most in each text; 0 and none without words."""
+        out: list[tuple[float, str]] = []
+        sets = [set(tokens_of(t)) for t in texts]
+        for a, z in slices([len(x) for x in sets], GROUP_TOKENS):
+            missing = {t for own in sets[a:z] for t in own if t not in self.known}
             if missing:
-                if len(self.places) + len(missing) > CACHE_ENTRIES:
-                    missing = list(tokens)
-                    self.empty()
-                self.learn(missing)
-            used = {self.places.get(t, 0) for t in tokens} - {0}
-            if used:
-                out[i] = np.max([self.rows[p] for p in used], axis=0)
+                if len(self.known) + len(missing) > CACHE_ENTRIES:
+                    self.known = {}
+                    missing = set().union(*sets[a:z])
+                self.learn(list(missing))
+            known = self.known
+            for own in sets[a:z]:
+                best = max(own, key=known.__getitem__, default=None)
+                out.append((known[best], best) if best is not None else (0.0, ""))
         return out
 
 
-def train_machine(z: np.ndarray, y: np.ndarray, c: float = 10.0, rounds: int = 50) -> np.ndarray:
-    """Squared hinge with a ridge, by Newton steps on the rows within the margin; the last weight is the offset."""
+def train_machine(z: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 30.0, rounds: int = 50) -> np.ndarray:
+    """Squared hinge with a ridge, by Newton steps on the rows within the margin; the last weight is the offset.
+
+    Either class counts as a half, whatever its size.
+    """
     x = np.hstack([z, np.ones((len(z), 1))])
     sign = np.where(y > 0, 1.0, -1.0)
-    cost = c * np.where(y > 0, len(y) / (2 * max(1, (y > 0).sum())), len(y) / (2 * max(1, (y <= 0).sum()))) / len(y)
-    ridge = np.eye(x.shape[1]) * 1e-3
+    cost = c * weight / np.where(y > 0, weight[y > 0].sum(), weight[y <= 0].sum())
+    ridge = np.eye(x.shape[1]) * 1e-2
     ridge[-1, -1] = 1e-9
     w = np.zeros(x.shape[1])
     inside = np.ones(len(x), bool)
@@ -233,13 +216,12 @@ def fit_curve(margin: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[fl
 
 
 class Model:
-    """Landmarks, weights on raw likenesses, and the score curve."""
+    """Triple weights and the score curve; without weights, the share of label 1."""
 
-    def __init__(self, landmarks: Landmarks | None, weights: np.ndarray | None, curve: tuple[float, float], prior: float):
-        self.landmarks, self.weights, self.curve, self.prior = landmarks, weights, curve, prior
+    def __init__(self, table: np.ndarray | None, curve: tuple[float, float], prior: float):
+        self.table, self.curve, self.prior = table, curve, prior
 
-    def scores(self, features: np.ndarray) -> np.ndarray:
-        margin = features @ self.weights[:-1] + self.weights[-1]
+    def scores(self, margin: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.curve[0] * margin + self.curve[1], -30, 30)))
 
 
@@ -261,17 +243,92 @@ def word_counts(texts: DataFrame) -> DataFrame:
     return found.groupBy("word").agg(F.sum("ones").alias("ones"), F.sum("texts").alias("texts"))
 
 
-def choose_landmarks(words: list[tuple[str, int, int]], share: float, most: int = LANDMARKS, clean: int = CLEAN_LANDMARKS) -> list[str]:
-    """Words by how surely they go with the label, each unlike those before it; then frequent words that do not."""
-    surplus = [((a - n * share) / np.sqrt(n * share * (1 - share) + 1e-9), w) for w, a, n in words]
-    out: list[str] = []
-    for z, w in sorted(surplus, key=lambda x: (-x[0], x[1])):
-        if z < 3 or len(out) == most - clean:
+def choose_landmarks(words: list[str], most: int) -> list[str]:
+    """The first words of a list, each unlike those before it."""
+    alike = likeness(words, words) if words else np.zeros((0, 0))
+    kept: list[int] = []
+    for i in range(len(words)):
+        if len(kept) == most:
+            break
+        if not kept or alike[i, kept].max() < APART:
+            kept.append(i)
+    return [words[i] for i in kept]
+
+
+def cover(texts: list[list[str]], most: int) -> dict[str, int]:
+    """Words that cover the texts greedily, then other words of OFTEN texts or more that seldom stand beside these.
+
+    With each word the number of texts that hold it; words of one text are not taken.
+    """
+    where: dict[str, set[int]] = {}
+    for i, t in enumerate(texts):
+        for w in t:
+            where.setdefault(w, set()).add(i)
+    open_ = [set(t) for t in texts if t]
+    counts = Counter(w for t in open_ for w in t)
+    out: dict[str, int] = {}
+    while len(out) < most and counts:
+        word, n = max(counts.items(), key=lambda x: (x[1], x[0]))
+        if n < 2:
+            break
+        out[word] = len(where[word])
+        rest = []
+        for t in open_:
+            if word in t:
+                counts.subtract(t)
+            else:
+                rest.append(t)
+        open_ = rest
+        counts = +counts
+    for word, own in sorted(where.items(), key=lambda x: (-len(x[1]), x[0])):
+        if len(out) >= most or len(own) < OFTEN:
             break
-        if not out or Landmarks(out).likeness([w]).max() < APART:
-            out.append(w)
-    rest = sorted(((n, w) for w, a, n in words if a <= n * share and w not in out), key=lambda x: (-x[0], x[1]))
-    return out + [w for _, w in rest[:clean]]
+        if word not in out and all(len(own & where[w]) < BESIDE * len(own) for w in out):
+            out[word] = len(own)
+    return out
+
+
+def train_table(with_label: dict[str, int], without: dict[str, int]) -> np.ndarray | None:
+    """Triple weights from words of both kinds with their numbers of texts."""
+    without = {w: n for w, n in without.items() if w not in with_label}
+    if not with_label or not without:
+        return None
+    by_count = lambda words: sorted(words, key=lambda w: (-words[w], w))
+    landmarks = choose_landmarks(by_count(with_label)[: 4 * LANDMARKS], LANDMARKS - CLEAN_LANDMARKS)
+    landmarks += choose_landmarks(by_count(without)[: 4 * CLEAN_LANDMARKS], CLEAN_LANDMARKS)
+    value, vector = np.linalg.eigh(likeness(landmarks, landmarks))
+    root = vector * (1 / np.sqrt(np.maximum(value, 1e-3))) @ vector.T
+    both = [*with_label.items(), *without.items()]
+    y = np.array([1] * len(with_label) + [0] * len(without))
+    weight = np.sqrt(np.minimum([n for _, n in both], 100))
+    w = train_machine(likeness([x for x, _ in both], landmarks) @ root, y, weight)
+    owner, key, triple = sparse_rows(landmarks)
+    return np.bincount(key, triple * (root @ w[:-1])[owner], SYMBOLS**3).astype(np.float32)
+
+
+def _standing_out(texts: DataFrame, table: np.ndarray) -> list[tuple[int, float, str]]:
+    """(label, margin, word) of each text of the sample."""
+    sent = texts.sparkSession.sparkContext.broadcast(table)
+
+    def run(batches):
+        own = Scorer(sent.value)
+        for batch in batches:
+            found = own.texts([t.as_py() or "" for t in batch.column("text")])
+            yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array([m for m, _ in found], pa.float64()), pa.array([normal_word(w) for _, w in found], pa.string())], ["toxic", "margin", "word"])
+
+    return [tuple(r) for r in texts.mapInArrow(run, "toxic int, margin double, word string").collect()]
+
+
+def _held_words(texts: DataFrame, words: list[str]) -> list[list[str]]:
+    """Which of the words each labelled text of the sample holds."""
+    sent = texts.sparkSession.sparkContext.broadcast(frozenset(words))
+
+    def run(batches):
+        for batch in batches:
+            held = [sorted({normal_word(t) for t in tokens_of(x.as_py() or "")} & sent.value) for x in batch.column("text")]
+            yield pa.RecordBatch.from_arrays([pa.array(held, pa.list_(pa.string()))], ["held"])
+
+    return [list(r["held"]) for r in texts.where("toxic = 1").select("text").mapInArrow(run, "held array<string>").collect()]
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Model:
@@ -282,39 +339,30 @@ def fit(docs: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> M
     total = sum(shares.values())
     prior = shares.get(1, 0) / total if total else 0.0
     if len(shares) < 2:
-        return Model(None, None, (0.0, 0.0), prior)
-    chosen = sample_ids(marked, "toxic", sample_docs)
-    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "toxic")
-    counts = {t: min(n, sample_docs) for t, n in shares.items()}
+        return Model(None, (0.0, 0.0), prior)
+    texts = cut(docs.select("doc_id", "text").join(F.broadcast(sample_ids(marked, "toxic", sample_docs)), "doc_id").select("text", "toxic").distinct().repartition(shuffle_width(docs.sparkSession)))
+    counts = {r["toxic"]: r["n"] for r in texts.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    if len(counts) < 2:
+        return Model(None, (0.0, 0.0), prior)
     share = counts[1] / sum(counts.values())
-    z = (F.col("ones") - F.col("texts") * share) / F.sqrt(F.col("texts"))
-    found = word_counts(texts)
-    words = found.where("texts >= 3").orderBy(z.desc(), "word").limit(4 * LANDMARKS).unionByName(found.orderBy(F.desc("texts"), "word").limit(4 * CLEAN_LANDMARKS)).dropDuplicates(["word"]).collect()
-    picked = choose_landmarks(sorted(tuple(r) for r in words), share)
-    if not picked:
-        return Model(None, None, (0.0, 0.0), prior)
-    landmarks = Landmarks(picked)
-    sent = docs.sparkSession.sparkContext.broadcast(landmarks)
-
-    def run(batches):
-        own = Featuriser(sent.value)
-        for batch in batches:
-            x = own.texts([t.as_py() or "" for t in batch.column("text")]).astype(np.float32)
-            yield pa.RecordBatch.from_arrays([pa.array([r.tobytes() for r in x], pa.binary()), batch.column("toxic")], ["x", "toxic"])
-
-    rows = texts.mapInArrow(run, "x binary, toxic int").collect()
-    x = np.array([np.frombuffer(r["x"], np.float32) for r in rows]).astype(float)
-    y = np.array([r["toxic"] for r in rows])
-    if len(set(y)) < 2:
-        return Model(None, None, (0.0, 0.0), prior)
-    gram = landmarks.likeness(picked)
-    value, vector = np.linalg.eigh((gram + gram.T) / 2)
-    root = vector * (1 / np.sqrt(np.maximum(value, 1e-2))) @ vector.T
-    w = train_machine(x @ root, y)
-    weights = np.append(root @ w[:-1], w[-1])
-    margin = x @ weights[:-1] + weights[-1]
-    balance = np.where(y > 0, prior / max(1e-9, (y > 0).mean()), (1 - prior) / max(1e-9, (y <= 0).mean()))
-    return Model(landmarks, weights, fit_curve(margin, y, balance), prior)
+    found = cut(word_counts(texts))
+    pure = found.where((F.col("ones") >= 2) & (F.col("ones") * (1 - share) >= PURITY * (F.col("ones") * (1 - share) + (F.col("texts") - F.col("ones")) * share)))
+    candidates = [r["word"] for r in pure.orderBy(F.desc("ones"), "word").limit(CANDIDATES).collect()]
+    with_label = cover(_held_words(texts, candidates), WORDS_WITH)
+    plain = found.where(F.col("ones") <= F.col("texts") * share * 1.2).orderBy(F.desc("texts"), "word").limit(WORDS_WITHOUT)
+    without = {r["word"]: r["texts"] for r in plain.collect()}
+    table = train_table(with_label, without)
+    if table is None:
+        return Model(None, (0.0, 0.0), prior)
+    rows = _standing_out(texts, table)
+    for _ in range(MINING):
+        for word, n in Counter(w for y, _, w in rows if not y and w).items():
+            without[word] = max(without.get(word, 0), 10 * n)
+        table = train_table(with_label, without)
+        rows = _standing_out(texts, table)
+    margin, y = np.array([r[1] for r in rows]), np.array([r[0] for r in rows])
+    balance = np.where(y > 0, prior / (y > 0).mean(), (1 - prior) / (y <= 0).mean())
+    return Model(table, fit_curve(margin, y, balance), prior)
 
 
 def score_documents(docs: DataFrame, model: Model, keep: list[str] | None = None) -> DataFrame:
@@ -326,10 +374,10 @@ def score_documents(docs: DataFrame, model: Model, keep: list[str] | None = None
 
     def run(batches):
         model = sent.value
-        own = Featuriser(model.landmarks) if model.landmarks else None
+        own = Scorer(model.table) if model.table is not None else None
         for batch in batches:
             texts = [t.as_py() or "" for t in batch.column("text__")]
-            score = model.scores(own.texts(texts)) if own else np.full(len(texts), model.prior)
+            score = model.scores(np.array([m for m, _ in own.texts(texts)])) if own else np.full(len(texts), model.prior)
             yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), batch.column("held_out__"), pa.array(score), pa.array((score >= THRESHOLD).astype(np.int32))], [*names, "held_out", "score", "predicted"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields)

@@ -120,13 +120,28 @@ def test_toxicity(spark, tables):
     assert {r["score"] for r in bare} == {0.0}
 
 
-def test_bound_is_above_likeness():
-    marks = toxicity.Landmarks(["idiot", "worthless", "scum"])
+def test_table_is_the_kernel():
+    """Scores by a landmark's table equal kernel values by counting triples."""
+
+    def vector(word):
+        c, out = toxicity._codes(word), {}
+        for i in range(len(c)):
+            for j in range(i + 1, len(c)):
+                for k in range(j + 1, min(len(c), i + toxicity.SPAN)):
+                    key = (c[i], c[j], c[k])
+                    out[key] = out.get(key, 0) + toxicity.DECAY ** (k - i + 1)
+        squares = sum(max(len(c) - a - b, 0) * w * w for (a, b), w in zip(toxicity.GAPS, toxicity.WEIGHTS))
+        return {k: v / squares**0.5 for k, v in out.items()}
+
     draw = random.Random(6)
-    words = ["".join(draw.choice("idotscumwrhle") for _ in range(draw.randrange(1, 12))) for _ in range(500)]
-    floor, toxicity.FLOOR = toxicity.FLOOR, 0.0
-    try:
-        assert (marks.upper_bounds(words) + 1e-5 >= marks.likeness(words).max(1)).all()
-        assert marks.likeness(["idiot"])[0, 0] == pytest.approx(1.0)
-    finally:
-        toxicity.FLOOR = floor
+    marks = ["idiot", "worthless", "scum", "x"]
+    words = ["".join(draw.choice("idotscumwrhlé") for _ in range(draw.randrange(12))) for _ in range(60)]
+    values = toxicity.likeness(words, marks)
+    for i, w in enumerate(words):
+        for j, m in enumerate(marks):
+            a, b = vector(w), vector(m)
+            assert values[i, j] == pytest.approx(sum(v * b.get(k, 0) for k, v in a.items()), abs=1e-9)
+    owner, key, value = toxicity.sparse_rows(["idiot"])
+    table = __import__("numpy").bincount(key, value, toxicity.SYMBOLS**3).astype("float32")
+    assert toxicity.table_scores(table, words) == pytest.approx(values[:, 0], abs=1e-5)
+    assert toxicity.likeness(["idi.ot".replace(".", "x")], ["idiot"])[0, 0] > 0.4
