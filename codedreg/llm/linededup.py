@@ -33,6 +33,7 @@ BUCKETS_PER_TASK = 4
 MASK_BITS = 22
 BATCH_CHARS = 1 << 16
 WINDOW_LINES = 100_000
+HASHES_HELD = 2_000_000
 
 _ODD = (mix64(np.arange(7, 7 + BANDS * ROWS, dtype=np.uint64)) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
 _ADD = (mix64(np.arange(907, 907 + BANDS * ROWS, dtype=np.uint64)) >> np.uint64(32)).astype(np.uint32)
@@ -53,6 +54,14 @@ def shingles(line: str) -> set[str]:
     return {line[i : i + SHINGLE] for i in range(max(1, len(line) - SHINGLE + 1))}
 
 
+def shingle_hashes(line: str) -> np.ndarray:
+    """Distinct 64-bit hashes of the line's shingles, sorted."""
+    codes = np.frombuffer(normal_line(line).ljust(SHINGLE, "\0").encode("utf-32-le"), np.uint32).astype(np.uint64)
+    with np.errstate(over="ignore"):
+        m = len(codes) - SHINGLE + 1
+        return np.unique(mix64(sum(codes[i : i + m] * _STEPS[i] for i in range(SHINGLE))))
+
+
 def alike(a: str, b: str) -> bool:
     x, y = shingles(a), shingles(b)
     both = len(x & y)
@@ -180,22 +189,20 @@ PAIR = np.dtype([("band", np.uint64), ("key", np.int64)])
 
 
 def pairs_of(held: list[np.ndarray]) -> pa.RecordBatch:
-    """In each band value, every line with the leader (the smallest after mixing key and band) and with its neighbour."""
+    """In each band value, every line with the leader (the smallest key) and with the neighbour before it.
+
+    The same order in all bands lets most bands propose the same pairs.
+    """
     flat = np.concatenate(held)
-    with np.errstate(over="ignore"):
-        rank = mix64(flat["key"].view(np.uint64) if flat["key"].flags.c_contiguous else flat["key"].copy().view(np.uint64))
-        rank = mix64(rank ^ flat["band"])
-    order = np.lexsort((rank, flat["band"]))
+    order = np.lexsort((flat["key"], flat["band"]))
     band, key = flat["band"][order], flat["key"][order]
     fresh = np.concatenate([[True], (band[1:] != band[:-1]) | (key[1:] != key[:-1])])
     band, key = band[fresh], key[fresh]
     new = np.concatenate([[True], band[1:] != band[:-1]])
     head = np.maximum.accumulate(np.where(new, np.arange(len(band)), 0))
     later = np.flatnonzero(~new)
-    a = np.concatenate([key[head[later]], key[later - 1]])
-    b = np.concatenate([key[later], key[later]])
-    both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0) if len(a) else np.zeros((0, 2), np.int64)
-    both = both[both[:, 0] != both[:, 1]]
+    both = np.stack([np.concatenate([key[head[later]], key[later - 1]]), np.concatenate([key[later], key[later]])], 1)
+    both = np.unique(both, axis=0) if len(both) else both
     return pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], ["a", "b"])
 
 
@@ -226,7 +233,23 @@ def line_links(docs: DataFrame) -> DataFrame:
 
     def compare(batches):
         for batch in batches:
-            keep = [i for i, (x, y) in enumerate(zip(batch.column("x"), batch.column("y"))) if alike(x.as_py(), y.as_py())]
+            keys = zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())
+            lines = zip(batch.column("x"), batch.column("y"))
+            known: dict[int, np.ndarray] = {}
+            size, keep = 0, []
+            for i, (pair, texts) in enumerate(zip(keys, lines)):
+                for key, text in zip(pair, texts):
+                    if key not in known:
+                        known[key] = shingle_hashes(text.as_py())
+                        size += len(known[key])
+                x, y = known[pair[0]], known[pair[1]]
+                if SIMILAR * max(len(x), len(y)) <= min(len(x), len(y)):
+                    both = len(np.intersect1d(x, y, assume_unique=True))
+                    if both >= SIMILAR * (len(x) + len(y) - both):
+                        keep.append(i)
+                if size > HASHES_HELD:
+                    known.clear()
+                    size = 0
             yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
 
     a = texts.select(F.col("key").alias("a"), F.col("line").alias("x"))
