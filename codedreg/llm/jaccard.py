@@ -40,6 +40,8 @@ FREQUENT = 8
 FREQUENT_MAX = 1 << 18
 WINDOW = 2_000_000
 BLOCK = 2048
+SMALL = 256
+PAIRS_HELD = 500_000
 MASK_BITS = 20
 BATCH_BYTES = 1 << 20
 
@@ -257,49 +259,63 @@ def _resolve(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> Dat
 
 
 def _crossing(columns: DataFrame, labels: DataFrame, index: DataFrame, percent: int) -> DataFrame:
-    """Pairs of one column and different components that the bounds allow."""
-    entries = columns.select("h", F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    """Pairs of one column and different components that the bounds allow, beside those with the smallest id.
+
+    Of columns up to SMALL documents the pairs of fitting sizes meet the bitmaps after the same pairs of other columns
+    have become one; larger columns carry the bitmaps along and pass on only what the bounds allow.
+    """
+    heads = columns.groupBy("h").agg(F.min("a").alias("doc_id"), F.min("n_a").alias("n"), (F.count("*") + 1).alias("size")).where("size > 2")
+    entries = columns.join(heads.select("h"), "h", "left_semi").select("h", F.col("b").alias("doc_id"), F.col("n_b").alias("n")).unionByName(heads.select("h", "doc_id", "n"))
     marked = entries.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     mixed = marked.groupBy("h").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("size")).where("low <> high")
-    mixed = mixed.select("h", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks"))
-    rows = marked.join(mixed, "h").join(index.select("doc_id", "n", "bits"), "doc_id")
-    own = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
+    rows = cut(marked.join(mixed.select("h", "size"), "h"))
+    width = shuffle_width(columns.sparkSession)
+
+    few = rows.where(F.col("size") <= SMALL).select("h", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(0).alias("own"), "doc_id", "component", "n", F.lit(b"").alias("bits"))
+    few = few.repartition(width, "h").sortWithinPartitions("h").mapInArrow(_meet(percent, False), "a long, b long").distinct()
+
+    many = rows.where(F.col("size") > SMALL).withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int"))
+    many = many.join(index.select("doc_id", "bits"), "doc_id").withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
     grid = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda i: F.struct(F.least(i, F.col("own")).alias("i"), F.greatest(i, F.col("own")).alias("j")))
-    rows = rows.withColumn("own", own).withColumn("cell", F.explode(grid)).select("h", "cell.i", "cell.j", "own", "doc_id", "component", "n", "bits")
-    rows = rows.repartition(shuffle_width(columns.sparkSession), "h", "i", "j").sortWithinPartitions("h", "i", "j")
+    many = many.withColumn("cell", F.explode(grid)).select("h", "cell.i", "cell.j", "own", "doc_id", "component", "n", "bits")
+    many = many.repartition(width, "h", "i", "j").sortWithinPartitions("h", "i", "j").mapInArrow(_meet(percent, True), "a long, b long").distinct()
+    return _with_bits(few, index, percent).unionByName(many)
+
+
+def _meet(percent: int, bounded: bool):
+    """Pairs of the rows of each cell, of different components and fitting sizes, each once a task."""
 
-    def cell_pairs(own, doc, component, n, bits, diagonal):
-        found = []
+    def pairs(own, doc, component, n, bits, diagonal):
         order = np.argsort(n, kind="stable")
         for p, i in enumerate(order):
             for j in order[p + 1 :]:
                 if 100 * n[i] < percent * n[j]:
                     break
-                if component[i] != component[j] and (diagonal or own[i] != own[j]) and may_link(bits[i], bits[j], n[i], n[j], percent):
-                    found.append((min(doc[i], doc[j]), max(doc[i], doc[j])))
-        return found
+                if component[i] != component[j] and (diagonal or own[i] != own[j]) and (not bounded or may_link(bits[i], bits[j], n[i], n[j], percent)):
+                    yield min(doc[i], doc[j]), max(doc[i], doc[j])
 
-    def run(batches):
-        key, held = None, []
-
-        def flush():
-            own, doc, component, n, bits = zip(*held)
-            found = cell_pairs(own, doc, component, n, bits, key[1] == key[2]) if len(set(component)) > 1 else []
-            a, b = zip(*found) if found else ((), ())
-            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+    def out_of(found):
+        a, b = zip(*found) if found else ((), ())
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
+    def run(batches):
+        key, held, found = None, [], set()
         for batch in batches:
             d = batch.to_pydict()
             for row in zip(d["h"], d["i"], d["j"], d["own"], d["doc_id"], d["component"], d["n"], d["bits"]):
                 if row[:3] != key:
                     if held:
-                        yield flush()
+                        found.update(pairs(*zip(*held), key[1] == key[2]))
                     key, held = row[:3], []
                 held.append(row[3:])
+                if len(found) > PAIRS_HELD:
+                    yield out_of(found)
+                    found.clear()
         if held:
-            yield flush()
+            found.update(pairs(*zip(*held), key[1] == key[2]))
+        yield out_of(found)
 
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return run
 
 
 def jaccard_links(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> tuple[DataFrame, DataFrame]:
