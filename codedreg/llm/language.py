@@ -30,7 +30,8 @@ WORDS = 20_000
 GRAMS = 10_000
 LONGEST = 5
 SMOOTHING = 0.5
-CACHE_ENTRIES = 300_000
+#: Numbers held for the words met, over all languages.
+CACHE_NUMBERS = 2_000_000
 #: Evidence of at most so many words sharpens a score.
 EVIDENCE_WORDS = 20
 
@@ -85,55 +86,71 @@ class Model:
         raw: dict[int, dict[str, np.ndarray]] = defaultdict(dict)
         for lang, n, gram, c in rows:
             raw[n].setdefault(gram, np.zeros(len(place)))[place[lang]] += c
-        self.tables = {}
+        self.tables: dict[int, dict[str, int]] = {}
+        self.rows: dict[int, np.ndarray] = {}
         for n, own in raw.items():
             counts = np.array(list(own.values())) + SMOOTHING
-            self.tables[n] = dict(zip(own, np.log(counts / counts.sum(0))))
+            self.tables[n] = {gram: i for i, gram in enumerate(own)}
+            self.rows[n] = np.log(counts / counts.sum(0))
         totals = sum(raw[0].values()) if raw[0] else np.zeros(len(place))
         self.default = int(np.argmax(totals)) if len(place) else 0
 
     def word(self, word: str) -> np.ndarray | None:
-        known = self.tables.get(0, {}).get(word)
-        if known is not None:
-            return known
-        for n in range(LONGEST, 0, -1):
-            table = self.tables.get(n, {})
-            found = [table[g] for g in grams_of(word, n) if g in table]
-            if found:
-                return np.mean(found, axis=0)
+        at = self.tables.get(0, {}).get(word)
+        if at is not None:
+            return self.rows[0][at]
+        padded = f" {word} "
+        for n in range(min(LONGEST, len(padded)), 0, -1):
+            table = self.tables.get(n)
+            if table:
+                found = [at for i in range(len(padded) - n + 1) if (at := table.get(padded[i : i + n])) is not None]
+                if found:
+                    return self.rows[n][found[0]] if len(found) == 1 else self.rows[n][found].sum(0) / len(found)
         return None
 
 
 class Scorer:
-    """A model with a bounded table of the words it has met."""
+    """A model with a bounded table of the words it has met; row 0 stands for words without evidence."""
 
     def __init__(self, model: Model):
-        self.model, self.places, self.rows = model, {}, [np.zeros(len(model.langs))]
+        self.model = model
+        self.most = max(1000, CACHE_NUMBERS // max(1, len(model.langs)))
+        self.rows = np.zeros((self.most + 1, len(model.langs)))
+        self.places: dict[str, int] = {}
+        self.used = 1
+
+    def learn(self, words: set[str]) -> None:
+        for w in words:
+            vector = self.model.word(w)
+            if vector is None:
+                self.places[w] = 0
+                continue
+            if self.used == len(self.rows):
+                self.rows = np.vstack([self.rows, np.zeros_like(self.rows)])
+            self.rows[self.used] = vector
+            self.places[w] = self.used
+            self.used += 1
 
     def text(self, text: str) -> tuple[str, float]:
         model = self.model
         words = words_of(text)
-        if not model.langs or not any(c.isalpha() for w in words for c in w):
+        if not model.langs or not any(map(str.isalpha, words)) and not any(c.isalpha() for w in words for c in w):
             return "und", 0.0
         places = list(map(self.places.get, words))
         if None in places:
             missing = {w for w, p in zip(words, places) if p is None}
-            if len(self.places) + len(missing) > CACHE_ENTRIES:
-                self.places, self.rows = {}, self.rows[:1]
-                missing = set(words)
-            for w in missing:
-                vector = model.word(w)
-                self.places[w] = 0 if vector is None else len(self.rows)
-                if vector is not None:
-                    self.rows.append(vector)
+            if len(self.places) + len(missing) > self.most:
+                self.places, self.used, missing = {}, 1, set(words)
+                self.rows = self.rows[: self.most + 1]
+            self.learn(missing)
             places = list(map(self.places.__getitem__, words))
-        used = [p for p in places if p]
-        if not used:
+        own = np.array(places)
+        count = int(np.count_nonzero(own))
+        if not count:
             return model.langs[model.default], 1 / len(model.langs)
-        counts = Counter(used)
-        total = sum(self.rows[p] * c for p, c in counts.items())
+        total = self.rows[own].sum(0)
         best = int(np.argmax(total))
-        sharp = (total - total[best]) * min(1.0, EVIDENCE_WORDS / len(used))
+        sharp = (total - total[best]) * min(1.0, EVIDENCE_WORDS / count)
         return model.langs[best], float(1 / np.exp(sharp).sum())
 
 

@@ -102,7 +102,7 @@ def test_language(spark, tables):
 
 def test_unknown_words_fall_back():
     model = language.Model([("aa", 0, "lumo", 5), ("bb", 0, "stein", 5), ("aa", 3, "umo", 5), ("bb", 3, "tei", 5), ("aa", 1, "o", 1), ("bb", 1, "t", 1)])
-    assert (model.word("lumo") == model.tables[0]["lumo"]).all()
+    assert (model.word("lumo") == model.rows[0][model.tables[0]["lumo"]]).all()
     assert model.word("xumo").argmax() == 0 and model.word("xteix").argmax() == 1 and model.word("qt").argmax() == 1 and model.word("qqq") is None
 
 
