@@ -49,9 +49,15 @@ def grams_of(word: str, n: int) -> list[str]:
 
 
 def sample_ids(labelled: DataFrame, by: str, most: int) -> DataFrame:
-    """At most so many rows of each class, those with the lowest hashes; only ids are ranked."""
-    order = Window.partitionBy(by).orderBy("h", "doc_id")
-    ranked = labelled.select("doc_id", by, F.xxhash64("doc_id").alias("h")).withColumn("i", F.row_number().over(order))
+    """At most so many rows of each class, those with the lowest hashes; only ids are ranked.
+
+    A threshold from the class's size leaves about twice as many for the ranking, however large the class is.
+    """
+    sizes = labelled.groupBy(by).agg(F.count("*").alias("n__"))
+    hashed = labelled.select("doc_id", by, F.xxhash64("doc_id").alias("h"))
+    low = F.pmod(F.col("h"), F.lit(1 << 40)).cast("double") * F.col("n__") <= F.lit((1 << 40) * 2.0 * most + (1 << 44))
+    order = Window.partitionBy(by).orderBy(F.pmod(F.col("h"), F.lit(1 << 40)), "h", "doc_id")
+    ranked = hashed.join(F.broadcast(sizes), by).where(low).withColumn("i", F.row_number().over(order))
     return ranked.where(F.col("i") <= most).select("doc_id", by)
 
 
