@@ -1,11 +1,15 @@
 """Fuzzy line deduplication by MinHash.
 
 A line's shingles are the SHINGLE-character substrings of its lower-cased text with white space collapsed (the whole
-of it, if shorter).  BANDS bands of ROWS minima each propose partners: in a band's bucket every line meets the one that
-leads it and its neighbour.  Two lines are alike if the exact Jaccard similarity of their shingles is SIMILAR or more;
-distributed union-find joins alike lines into components, and of every component (a line's own copies included) just
-the first occurrence stays, by (doc_id, line number).  At the similarity of 0.8 a pair is proposed with a probability
-of 1 - (1 - 0.8^4)^12 = 0.998, and more above.
+of it, if shorter).  BANDS bands of ROWS minima each deal the lines into buckets.  Two lines are alike if the exact
+Jaccard similarity of their shingles is SIMILAR or more; distributed union-find joins alike lines into components, and
+of every component (a line's own copies included) just the first occurrence stays, by (doc_id, line number).
+
+Lines are compared in two rounds.  First, every line of a bucket meets the one that leads it and its neighbour, which
+joins most alike lines with a pair a line.  Then all lines of a bucket that still lie in different components are
+compared, in blocks of BLOCK: sizes and parity bitmaps discard only pairs that are certainly not alike, the rest is
+resolved exactly.  So alike lines that share a bucket always end in one component; at the similarity of 0.8 they share
+one with a probability of 1 - (1 - 0.8^4)^12 = 0.998, and more above.
 
 A line is known by the 64-bit hash of its text.  Bands travel as blocks of bytes, one for each task and bucket; texts
 are fetched only for proposed lines, which a mask of fixed size lets through.
@@ -34,6 +38,9 @@ MASK_BITS = 22
 BATCH_CHARS = 1 << 16
 WINDOW_LINES = 100_000
 HASHES_HELD = 2_000_000
+#: Lines of a block of a bucket, and places of all bitmaps of two blocks together.
+BLOCK = 1024
+PLACES_HELD = 1 << 24
 
 _ODD = (mix64(np.arange(7, 7 + BANDS * ROWS, dtype=np.uint64)) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
 _ADD = (mix64(np.arange(907, 907 + BANDS * ROWS, dtype=np.uint64)) >> np.uint64(32)).astype(np.uint32)
@@ -142,7 +149,8 @@ def _distinct_lines(batches):
 
 
 def _proposals(docs: DataFrame) -> DataFrame:
-    """Distinct pairs (a, b) of line keys that meet in some bucket."""
+    """Distinct rows: pairs (a, b) of line keys for the first round (member false), and for buckets of more than two
+    lines the bucket's digest as a and each line's key as b (member true)."""
     width = shuffle_width(docs.sparkSession)
     buckets = width * BUCKETS_PER_TASK
 
@@ -182,16 +190,18 @@ def _proposals(docs: DataFrame) -> DataFrame:
             yield pairs_of(held)
 
     dealt = docs.select("text").mapInArrow(bands, "bucket long, entries binary").repartition(width, "bucket").sortWithinPartitions("bucket")
-    return dealt.mapInArrow(meet, "a long, b long").distinct()
+    return dealt.mapInArrow(meet, "member boolean, a long, b long").distinct()
 
 
 PAIR = np.dtype([("band", np.uint64), ("key", np.int64)])
 
 
 def pairs_of(held: list[np.ndarray]) -> pa.RecordBatch:
-    """In each band value, every line with the leader (the smallest key) and with the neighbour before it.
+    """In each band value, every line with the leader (the smallest key) and with the neighbour before it, and the members.
 
-    The same order in all bands lets most bands propose the same pairs.
+    The same order in all bands lets most bands propose the same pairs; of two lines these are all pairs.  Larger
+    buckets also name their members under a digest of their keys, so equal buckets of several bands become one (and
+    different ones of equal digest are merely compared together).
     """
     flat = np.concatenate(held)
     order = np.lexsort((flat["key"], flat["band"]))
@@ -203,7 +213,14 @@ def pairs_of(held: list[np.ndarray]) -> pa.RecordBatch:
     later = np.flatnonzero(~new)
     both = np.stack([np.concatenate([key[head[later]], key[later - 1]]), np.concatenate([key[later], key[later]])], 1)
     both = np.unique(both, axis=0) if len(both) else both
-    return pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], ["a", "b"])
+    heads = np.flatnonzero(new)
+    sizes = np.diff(heads, append=len(band))
+    with np.errstate(over="ignore"):
+        digests = np.add.reduceat(mix64(key.view(np.uint64)), heads)
+    inside = np.repeat(sizes > 2, sizes)
+    members = np.stack([np.repeat(digests, sizes)[inside].view(np.int64), key[inside]], 1)
+    out = np.concatenate([both, members])
+    return pa.RecordBatch.from_arrays([pa.array(np.arange(len(out)) >= len(both)), pa.array(out[:, 0].copy()), pa.array(out[:, 1].copy())], ["member", "a", "b"])
 
 
 def _texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -225,43 +242,130 @@ def _texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return found.groupBy("key").agg(F.first("line").alias("line"))
 
 
-def line_links(docs: DataFrame) -> DataFrame:
-    """Pairs (a, b) of keys of alike lines."""
-    proposed = cut(_proposals(docs))
+class Known:
+    """Shingle hashes of lines by key, as long as they fit."""
+
+    def __init__(self):
+        self.sets, self.size = {}, 0
+
+    def of(self, key: int, line: str) -> np.ndarray:
+        own = self.sets.get(key)
+        if own is None:
+            if self.size > HASHES_HELD:
+                self.sets, self.size = {}, 0
+            own = self.sets[key] = shingle_hashes(line)
+            self.size += len(own)
+        return own
+
+
+def sets_alike(x: np.ndarray, y: np.ndarray) -> bool:
+    if SIMILAR * max(len(x), len(y)) > min(len(x), len(y)):
+        return False
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return both >= SIMILAR * (len(x) + len(y) - both)
+
+
+def _bitmaps(sets, n: np.ndarray) -> np.ndarray:
+    """One row of parity bits for each set; n are the sets' sizes."""
+    places = 64
+    while places < 4 * n.max() and 2 * places * len(n) <= PLACES_HELD:
+        places *= 2
+    out = np.empty((len(n), places // 64), np.uint64)
+    for i, own in enumerate(sets):
+        bits = np.bincount((own >> np.uint64(8) & np.uint64(places - 1)).astype(np.int64), minlength=places) & 1
+        out[i] = np.packbits(bits.astype(np.uint8), bitorder="little").view(np.uint64)
+    return out
+
+
+def crossing_links(rows: list[tuple[int, int, int, str]], diagonal: bool, known: Known) -> list[tuple[int, int]]:
+    """Of rows (block, key, component, line), alike pairs that join all components which alike pairs of the rows join.
+
+    Off the diagonal only pairs of different blocks count.
+    """
+    n = np.array([len(known.of(key, line)) for _, key, _, line in rows])
+    order = np.argsort(n, kind="stable")
+    rows, n = [rows[i] for i in order], n[order]
+    bits = _bitmaps((known.of(key, line) for _, key, _, line in rows), n)
+    block = np.array([r[0] for r in rows])
+    component = np.unique([r[2] for r in rows], return_inverse=True)[1]
+    found = []
+    for i in range(len(rows) - 1):
+        stop = np.searchsorted(n, n[i] / SIMILAR + 1e-6, side="right")
+        open_ = component[i + 1 : stop] != component[i]
+        if not diagonal:
+            open_ &= block[i + 1 : stop] != block[i]
+        at = np.flatnonzero(open_) + i + 1
+        if not len(at):
+            continue
+        least = np.bitwise_count(bits[at] ^ bits[i]).sum(1, dtype=np.int64)
+        for j in at[(1 + SIMILAR) * least <= (1 - SIMILAR) * (n[i] + n[at]) + 1e-6].tolist():
+            if component[i] != component[j] and sets_alike(known.of(rows[i][1], rows[i][3]), known.of(rows[j][1], rows[j][3])):
+                component[component == component[j]] = component[i]
+                found.append((rows[i][1], rows[j][1]))
+    return found
+
+
+def _crossing(members: DataFrame, labels: DataFrame, texts: DataFrame) -> DataFrame:
+    """Alike pairs (a, b) of one bucket and different components."""
+    marked = members.join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
+    mixed = marked.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("size")).where("low <> high")
+    rows = marked.join(mixed.select("bucket", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks")), "bucket")
+    rows = rows.withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
+    grid = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda i: F.struct(F.least(i, F.col("own")).alias("i"), F.greatest(i, F.col("own")).alias("j")))
+    rows = rows.join(texts, "key").withColumn("cell", F.explode(grid)).select("bucket", "cell.i", "cell.j", "own", "key", "component", "line")
+
+    def run(batches):
+        known, cell, held = Known(), None, []
+
+        def links():
+            a, b = zip(*found) if (found := crossing_links(held, cell[1] == cell[2], known)) else ((), ())
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+        for batch in batches:
+            d = batch.to_pydict()
+            for row in zip(*(d[k] for k in ("bucket", "i", "j", "own", "key", "component", "line"))):
+                if row[:3] != cell:
+                    if held:
+                        yield links()
+                    cell, held = row[:3], []
+                held.append(row[3:])
+        if held:
+            yield links()
+
+    width = shuffle_width(members.sparkSession)
+    return rows.repartition(width, "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j").mapInArrow(run, "a long, b long").distinct()
+
+
+def line_groups(docs: DataFrame) -> DataFrame:
+    """node (a line's key), component of all lines that are alike another one."""
+    dealt = cut(_proposals(docs))
+    proposed = dealt.where("not member").select("a", "b")
+    members = dealt.where("member").select(F.col("a").alias("bucket"), F.col("b").alias("key"))
     wanted = proposed.select(F.explode(F.array("a", "b")).alias("key")).distinct()
     texts = cut(_texts(docs, wanted))
 
     def compare(batches):
+        known = Known()
         for batch in batches:
             keys = zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())
             lines = zip(batch.column("x"), batch.column("y"))
-            known: dict[int, np.ndarray] = {}
-            size, keep = 0, []
-            for i, (pair, texts) in enumerate(zip(keys, lines)):
-                for key, text in zip(pair, texts):
-                    if key not in known:
-                        known[key] = shingle_hashes(text.as_py())
-                        size += len(known[key])
-                x, y = known[pair[0]], known[pair[1]]
-                if SIMILAR * max(len(x), len(y)) <= min(len(x), len(y)):
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                    if both >= SIMILAR * (len(x) + len(y) - both):
-                        keep.append(i)
-                if size > HASHES_HELD:
-                    known.clear()
-                    size = 0
+            keep = [i for i, ((a, b), (x, y)) in enumerate(zip(keys, lines)) if sets_alike(known.of(a, x.as_py()), known.of(b, y.as_py()))]
             yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
 
     a = texts.select(F.col("key").alias("a"), F.col("line").alias("x"))
     b = texts.select(F.col("key").alias("b"), F.col("line").alias("y"))
-    return proposed.join(a, "a").join(b, "b").select("a", "b", "x", "y").mapInArrow(compare, "a long, b long")
+    labels = cut(connected_components(proposed.join(a, "a").join(b, "b").select("a", "b", "x", "y").mapInArrow(compare, "a long, b long")))
+    more = cut(_crossing(members, labels, texts))
+    if more.isEmpty():
+        return labels
+    return connected_components(labels.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
 
 
 def dropped_lines(docs: DataFrame) -> DataFrame:
     """doc_id, drop (numbers of the lines that go), for documents that lose any."""
     rows = cut(_occurrences(docs))
     seen = rows.groupBy("key").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n"))
-    groups = connected_components(line_links(docs)).withColumnRenamed("node", "key")
+    groups = line_groups(docs).withColumnRenamed("node", "key")
     known = seen.join(groups, "key", "left").where("n > 1 or component is not null").withColumn("component", F.coalesce("component", "key"))
     known = cut(known)
     kept = known.groupBy("component").agg(F.min("first").alias("keep"))

@@ -173,6 +173,33 @@ def test_lines(spark):
     assert linededup.dedup_lines(frame.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("block", [7, 1024])
+def test_lines_of_a_template(spark, monkeypatch, block):
+    """Lines that share much but are mostly not alike fill the same buckets; the alike ones among them must still meet."""
+    monkeypatch.setattr(linededup, "BLOCK", block)
+    rng = random.Random(12)
+    draw = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(7))
+    shared = [draw() for _ in range(17)]
+    heads = []
+    for _ in range(100):
+        own = list(shared)
+        for place in (4, 9, 15):
+            own.insert(place, draw())
+        heads.append(own)
+    lines = [" ".join(x) for x in heads]
+    for own in heads:
+        # one more word: alike its own head only
+        other = list(own)
+        other[4] = draw()
+        lines.append(" ".join(other))
+    rng.shuffle(lines)
+    texts = [(i, "\n".join(lines[4 * i : 4 * i + 4])) for i in range(50)]
+    wanted = brute_lines(texts)
+    assert sum(t.count("\n") + 1 for t in wanted.values() if t) < 120
+    out = linededup.dedup_lines(spark.createDataFrame(texts, "doc_id long, text string").repartition(3))
+    assert {r["doc_id"]: r["text"] for r in out.collect()} == wanted
+
+
 def test_fingerprints(spark):
     texts = {i: " ".join(f"word{(i * j) % 977}" for j in range(1, 40 * (i % 7) + 2)) for i in range(60)} | {70: "", 71: "é" * 10, 72: "long text here " * 3000, 73: "long text here " * 3000}
     frame = spark.createDataFrame([(i, t, "s") for i, t in texts.items()] + [(99, None, "s")], "doc_id long, text string, g string").repartition(5)
