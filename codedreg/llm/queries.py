@@ -14,7 +14,7 @@ from codedreg.llm.jaccard import jaccard_components
 from codedreg.llm.linededup import summary as line_summary
 from codedreg.llm.packing import pack_documents
 from codedreg.llm.pii import find_pii
-from codedreg.llm.shards import manifest, order_documents
+from codedreg.llm.shards import materialise
 from codedreg.llm.topk import ORACLE as TOP_K_SQL
 from codedreg.llm.topk import integer_vectors, queries_of, top_k
 
@@ -53,7 +53,7 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return manifest(order_documents(_documents(spark, sf_dir), TOKENIZER, PATTERN))
+    return materialise(_documents(spark, sf_dir), TOKENIZER, PATTERN)
 
 
 def op8_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

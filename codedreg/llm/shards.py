@@ -6,6 +6,10 @@ falls inside, which makes it a permutation of 0..n-1.  Slot s lies in shard s //
 shard_slots; every record has the same number of bytes (its length, then ids, zero-filled), so a reader finds any slot
 by arithmetic and can resume at any record.
 
+Shards are folders of Parquet rows, one record a row in slot order, as Spark writes no raw bytes to every store; Parquet
+packs the zeros.  A byte offset is thus a place in the shard's records laid end to end, not an address in a Parquet file.
+The manifest of written shards comes from the records read back.
+
 The index of a sequence is its place in its input partition plus the counts of earlier partitions; the counts (one
 number per partition) are the only thing the driver sees.  The tokenised rows are written to the shared folder first,
 so a lost executor cannot shift indices.
@@ -16,6 +20,7 @@ each; extra columns are not read.
 
 from __future__ import annotations
 
+import uuid
 import zlib
 
 import numpy as np
@@ -24,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from codedreg.llm.common import cut, shuffle_width
+from codedreg.llm.common import cut, ensure_checkpoint_dir, shuffle_width
 from codedreg.llm.tokens import file_coder
 
 STRIDE = 2048
@@ -36,6 +41,9 @@ HALF_BITS_MAX = 30
 
 SEQUENCES = "doc_id long, start long, n_tokens long, ids binary, part long, local long"
 BATCH_BYTES = 4 << 20
+WRITERS, BLOCK_BYTES = 64, 16 << 20
+MANIFEST = "doc_id long, start long, n_tokens long, slot long, shard long, byte_offset long, record_crc32 long"
+MANIFEST_NAMES = [x.split()[0] for x in MANIFEST.split(", ")]
 
 
 def half_bits(n: int) -> int:
@@ -154,16 +162,26 @@ def order_documents(docs: DataFrame, tokenizer: str, pattern: str, stride: int =
 
 
 def write_shards(ordered: DataFrame, path: str, stride: int = STRIDE) -> None:
-    """Folders shard=N, each with its fixed-size records in slot order."""
-    schema = "shard long, slot long, record binary"
+    """Folders shard=N, each with its fixed-size records in slot order, beside the place each was cut from."""
+    names = ["shard", "slot", "doc_id", "start", "record"]
 
     def run(batches):
         for batch in batches:
-            rows = batch.to_pydict()
-            records = [record(ids, n, stride) for ids, n in zip(rows["ids"], rows["n_tokens"])]
-            yield pa.RecordBatch.from_arrays([pa.array(rows["shard"], pa.int64()), pa.array(rows["slot"], pa.int64()), pa.array(records, pa.binary())], ["shard", "slot", "record"])
-
-    ordered.mapInArrow(run, schema).write.partitionBy("shard").mode("errorifexists").parquet(path)
+            step = max(1, BATCH_BYTES // (4 * stride))
+            for at in range(0, batch.num_rows, step):
+                part = batch.slice(at, step)
+                records = [record(ids.as_py(), n, stride) for ids, n in zip(part.column("ids"), part.column("n_tokens").to_pylist())]
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in names[:-1]), pa.array(records, pa.binary())], names)
+
+    made = ordered.mapInArrow(run, "shard long, slot long, doc_id long, start long, record binary")
+    spark, name = ordered.sparkSession, "spark.sql.maxConcurrentOutputFileWriters"
+    was = spark.conf.get(name)
+    # with several open writers Spark does not sort the wide records again, and they stay in slot order
+    spark.conf.set(name, str(WRITERS))
+    try:
+        made.write.partitionBy("shard").option("compression", "zstd").option("parquet.block.size", BLOCK_BYTES).mode("errorifexists").parquet(path)
+    finally:
+        spark.conf.set(name, was)
 
 
 def read_shards(spark: SparkSession, path: str, start_slot: int = 0, shard_slots: int = SHARD_SLOTS) -> DataFrame:
@@ -180,13 +198,37 @@ def read_shards(spark: SparkSession, path: str, start_slot: int = 0, shard_slots
 
 def manifest(ordered: DataFrame, stride: int = STRIDE) -> DataFrame:
     """What each shard holds: the record's place and the checksum of its fixed-stride bytes."""
-    schema = "doc_id long, start long, n_tokens long, slot long, shard long, byte_offset long, record_crc32 long"
-    names = [x.split()[0] for x in schema.split(", ")]
 
     def run(batches):
         for batch in batches:
             sums = [zlib.crc32(record(ids.as_py(), n, stride)) for ids, n in zip(batch.column("ids"), batch.column("n_tokens").to_pylist())]
             at = np.asarray(batch.column("position")).astype(np.int64) * (4 + 4 * stride)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), batch.column("n_tokens"), batch.column("slot"), batch.column("shard"), pa.array(at), pa.array(sums, pa.int64())], names)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), batch.column("n_tokens"), batch.column("slot"), batch.column("shard"), pa.array(at), pa.array(sums, pa.int64())], MANIFEST_NAMES)
+
+    return ordered.mapInArrow(run, MANIFEST)
 
-    return ordered.mapInArrow(run, schema)
+
+def written_manifest(spark: SparkSession, path: str, stride: int = STRIDE, shard_slots: int = SHARD_SLOTS) -> DataFrame:
+    """The manifest of the shards in a folder, from their records as read back."""
+    rows = spark.read.schema("slot long, doc_id long, start long, record binary, shard long").parquet(path)
+
+    def run(batches):
+        for batch in batches:
+            records = [r.as_py() for r in batch.column("record")]
+            if any(len(r) != 4 + 4 * stride for r in records):
+                raise ValueError("a record has not the stride's number of bytes")
+            slot = batch.column("slot").to_numpy(zero_copy_only=False)
+            n = [int.from_bytes(r[:4], "little") for r in records]
+            at = slot % shard_slots * (4 + 4 * stride)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("start"), pa.array(n, pa.int64()), batch.column("slot"), batch.column("shard"), pa.array(at, pa.int64()), pa.array(map(zlib.crc32, records), pa.int64())], MANIFEST_NAMES)
+
+    return rows.mapInArrow(run, MANIFEST)
+
+
+def materialise(docs: DataFrame, tokenizer: str, pattern: str, stride: int = STRIDE, shard_slots: int = SHARD_SLOTS, path: str | None = None) -> DataFrame:
+    """Write the shards, by default to a new folder beside the checkpoints, and return their manifest."""
+    spark = docs.sparkSession
+    ensure_checkpoint_dir(spark)
+    path = path or f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/shards-{uuid.uuid4().hex}"
+    write_shards(order_documents(docs, tokenizer, pattern, stride, shard_slots), path, stride)
+    return written_manifest(spark, path, stride, shard_slots)

@@ -1,7 +1,9 @@
 import random
 import zlib
+from pathlib import Path
 
 import public_tokenizers as P
+import pyarrow.parquet as pq
 import pytest
 import tiktoken
 from tokenizers import Tokenizer
@@ -124,3 +126,22 @@ def test_shards_round_trip(spark, docs, tmp_path):
     later = shards.read_shards(spark, str(tmp_path / "s"), start_slot=120, shard_slots=50).collect()
     assert sorted(r["slot"] for r in later) == list(range(120, n))
     assert shards.manifest(shards.order_documents(docs.limit(0), FILE, P.PATTERN)).count() == 0
+
+
+def test_query_writes_what_it_lists(spark, sf_dir, docs, tmp_path):
+    from codedreg.llm import queries
+
+    before = set(Path(spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:")).glob("shards-*")) if spark.sparkContext._jsc.sc().getCheckpointDir().isDefined() else set()
+    listed = queries.op7_training_order(spark, sf_dir).toPandas()
+    (path,) = set(Path(spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:")).glob("shards-*")) - before
+    written = {r["slot"]: bytes(r["record"]) for r in spark.read.parquet(str(path)).collect()}
+    assert len(written) == len(listed) and all(len(r) == 4 + 4 * shards.STRIDE for r in written.values())
+    assert all(zlib.crc32(written[s]) == c for s, c in zip(listed["slot"], listed["record_crc32"]))
+    found = shards.materialise(docs, FILE, P.PATTERN, 64, 50, str(tmp_path / "s"))
+    wanted = shards.manifest(shards.order_documents(docs, FILE, P.PATTERN, 64, 50), 64)
+    assert sorted(map(str, found.collect())) == sorted(map(str, wanted.collect()))
+    for part in (tmp_path / "s").glob("shard=*"):
+        (file,) = part.glob("*.parquet")
+        slots = pq.ParquetFile(file).read(["slot"]).column("slot").to_pylist()
+        assert slots == sorted(slots) and len({s // 50 for s in slots}) == 1
+    assert shards.materialise(docs.limit(0), FILE, P.PATTERN, 64, 50, str(tmp_path / "none")).count() == 0
