@@ -35,19 +35,52 @@ def matrix_rows(spark: SparkSession, values: np.ndarray, name: str = "g") -> Dat
     return spark.createDataFrame([(j, float(v)) for j, v in enumerate(np.ravel(values))], f"j int, {name} double").select("j", *r(name))
 
 
+#: Components of a whole embedding, and the width of its Fourier features.
+WHOLE, FOURIER = 64, 2000
+_WIDTH = [D]
+
+
+def width() -> int:
+    """Components that queries see: D beside their SQL, all of them in the _whole queries."""
+    return _WIDTH[0]
+
+
+def scale() -> int:
+    """Work, payload and deadline grow with the width, so that as many clients arrive."""
+    return width() // D
+
+
+def examples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tables.small_examples(spark, sf_dir, width())
+
+
+def whole(f: Query) -> Query:
+    """The query over whole embeddings, without SQL."""
+
+    def run(spark, sf_dir):
+        _WIDTH[0] = WHOLE
+        try:
+            return f(spark, sf_dir)
+        finally:
+            _WIDTH[0] = D
+
+    run.__name__ = f"{f.__name__}_whole"
+    return query(run)
+
+
 def shards(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return partition.partition_clients(tables.embedding_rows(spark, sf_dir, D), tables.CLIENTS)
+    return partition.partition_clients(tables.embedding_rows(spark, sf_dir, width()), tables.CLIENTS)
 
 
 def half_teacher() -> np.ndarray:
-    return tables.teacher(D, 1) / 2
+    return tables.teacher(width(), 1) / 2
 
 
 def loaded(spark: SparkSession, sf_dir: str, ex: DataFrame | None = None) -> DataFrame:
     """Profiles with loads and times; without examples, of 25 rows a client."""
     rows = delay.client_profiles(tables.read(spark, sf_dir, "nation"))
     rows = delay.with_loads(rows, ex, b=B) if ex is not None else rows.withColumns({"b": F.lit(B).cast("long"), "l": F.lit(25).cast("long")})
-    return delay.with_times(rows, N_MAC, PAYLOAD)
+    return delay.with_times(rows, N_MAC * scale(), PAYLOAD * scale())
 
 
 def arrived(spark: SparkSession, sf_dir: str, epochs: int = 50) -> DataFrame:
@@ -104,8 +137,8 @@ def text_features(spark, sf_dir):
 
 @query
 def fourier_features(spark, sf_dir):
-    rows = features.scale_unit(tables.embedding_rows(spark, sf_dir, D)).select("row_id", "x")
-    return long_form(features.fourier_features(rows, 4), ["row_id"]).select("row_id", "j", *r("v"))
+    rows = features.scale_unit(tables.embedding_rows(spark, sf_dir, width())).select("row_id", "x")
+    return long_form(features.fourier_features(rows, 4 if width() == D else FOURIER), ["row_id"]).select("row_id", "j", *r("v"))
 
 
 @query
@@ -191,35 +224,35 @@ def _coded(df: DataFrame, keys: list[str]) -> DataFrame:
 
 @query
 def encode_clients(spark, sf_dir):
-    return _coded(coding.encode_clients(tables.small_examples(spark, sf_dir), C), ["client", "k"])
+    return _coded(coding.encode_clients(examples(spark, sf_dir), C), ["client", "k"])
 
 
 @query
 def encode_clients_noisy(spark, sf_dir):
-    return _coded(coding.encode_clients(tables.small_examples(spark, sf_dir), C, SIGMA), ["client", "k"])
+    return _coded(coding.encode_clients(examples(spark, sf_dir), C, SIGMA), ["client", "k"])
 
 
 @query
 def encode_labels(spark, sf_dir):
-    coded = coding.encode_clients(tables.small_examples(spark, sf_dir), C)
+    coded = coding.encode_clients(examples(spark, sf_dir), C)
     return coded.select("client", "k", rounded(F.col("y")[0]).alias("v"))
 
 
 @query
 def encode_weighted(spark, sf_dir):
-    ex = tables.small_examples(spark, sf_dir).withColumn("weight", F.sqrt((F.col("row_id") % 5) / 5.0))
+    ex = examples(spark, sf_dir).withColumn("weight", F.sqrt((F.col("row_id") % 5) / 5.0))
     return _coded(coding.encode_clients(ex, C, weight="weight"), ["client", "k"])
 
 
 @query
 def composite(spark, sf_dir):
-    return _coded(coding.compose(coding.encode_clients(tables.small_examples(spark, sf_dir), C, SIGMA)), ["k"])
+    return _coded(coding.compose(coding.encode_clients(examples(spark, sf_dir), C, SIGMA)), ["k"])
 
 
 @query
 def composite_incremental(spark, sf_dir):
     """All rows but a third, then that third added, a tenth added twice and taken away once."""
-    ex = tables.small_examples(spark, sf_dir)
+    ex = examples(spark, sf_dir)
     coded = lambda where: coding.compose(coding.encode_clients(ex.where(where), C))
     table = coding.update_composite(coded("row_id % 3 > 0"), coded("row_id % 3 = 0"))
     table = coding.update_composite(coding.update_composite(table, coded("row_id % 10 = 0")), coded("row_id % 10 = 0"), -1)
@@ -227,7 +260,7 @@ def composite_incremental(spark, sf_dir):
 
 
 def _sized(spark, sf_dir):
-    ex = tables.small_examples(spark, sf_dir)
+    ex = examples(spark, sf_dir)
     return ex.join(F.broadcast(ex.groupBy("client").agg(F.count("*").alias("l"))), "client").withColumn("b", F.least(F.lit(B), F.col("l")))
 
 
@@ -243,19 +276,19 @@ def batch_bernoulli(spark, sf_dir):
 
 @query
 def batch_subset(spark, sf_dir):
-    rows = partition.split_subsets(tables.small_examples(spark, sf_dir).select("row_id", "client"), 5)
+    rows = partition.split_subsets(examples(spark, sf_dir).select("row_id", "client"), 5)
     return sampling.sample_batch(rows, 7, "subset", parts=5).select("epoch", "client", "row_id")
 
 
 @query
 def loss(spark, sf_dir):
-    ex = tables.small_examples(spark, sf_dir)
+    ex = examples(spark, sf_dir)
     return spark.createDataFrame([(ex.count(), grad.loss(ex, half_teacher()))], "n long, loss double").select("n", *r("loss"))
 
 
 @query
 def full_gradient(spark, sf_dir):
-    return matrix_rows(spark, grad.full_gradient(tables.small_examples(spark, sf_dir), half_teacher()))
+    return matrix_rows(spark, grad.full_gradient(examples(spark, sf_dir), half_teacher()))
 
 
 def _server_batch(spark, sf_dir, ex):
@@ -265,7 +298,7 @@ def _server_batch(spark, sf_dir, ex):
 
 @query
 def server_gradient(spark, sf_dir):
-    return matrix_rows(spark, _server_batch(spark, sf_dir, tables.small_examples(spark, sf_dir)))
+    return matrix_rows(spark, _server_batch(spark, sf_dir, examples(spark, sf_dir)))
 
 
 def _client_gradients(ex):
@@ -281,50 +314,51 @@ def client_gradients(spark, sf_dir):
 @query
 def aggregated_gradient(spark, sf_dir):
     ex, w = _sized(spark, sf_dir), half_teacher()
-    times = delay.simulate_arrivals(loaded(spark, sf_dir, ex), DEADLINE, EPOCHS).where("epoch = 0")
+    times = delay.simulate_arrivals(loaded(spark, sf_dir, ex), DEADLINE * scale(), EPOCHS).where("epoch = 0")
     met = grad.reweight_arrivals(_client_gradients(ex), times)
-    clients = np.sum([row["v"] for row in met.collect()] or [np.zeros(D)], axis=0).reshape(w.shape)
+    clients = np.sum([row["v"] for row in met.collect()] or [np.zeros(width())], axis=0).reshape(w.shape)
     server = _server_batch(spark, sf_dir, ex) + grad.bias_correction(w, tables.CLIENTS, SIGMA)
     return matrix_rows(spark, 0.5 * (clients + server))
 
 
 @query
 def privacy_budget(spark, sf_dir):
-    return privacy.privacy_budget(tables.small_examples(spark, sf_dir), C, SIGMA).select("client", *r("h2", "eps_bits"))
+    return privacy.privacy_budget(examples(spark, sf_dir), C, SIGMA).select("client", *r("h2", "eps_bits"))
 
 
 @query
 def sigma_for_budget(spark, sf_dir):
-    return privacy.sigma_for_budget(privacy.cover_by_client(tables.small_examples(spark, sf_dir)), C, 0.9).select("client", *r("sigma"))
+    return privacy.sigma_for_budget(privacy.cover_by_client(examples(spark, sf_dir)), C, 0.9).select("client", *r("sigma"))
 
 
 @query
 def coded_rows_for_budget(spark, sf_dir):
-    return privacy.coded_rows_for_budget(privacy.cover_by_client(tables.small_examples(spark, sf_dir)), 2.0, SIGMA)
+    return privacy.coded_rows_for_budget(privacy.cover_by_client(examples(spark, sf_dir)), 2.0, SIGMA)
 
 
 @query
 def privacy_grid(spark, sf_dir):
-    return privacy.privacy_grid(privacy.cover_by_client(tables.small_examples(spark, sf_dir)), [16, 64, 256], [0, 0.3, 1]).select("c", "sigma", *r("eps_bits"))
+    return privacy.privacy_grid(privacy.cover_by_client(examples(spark, sf_dir)), [16, 64, 256], [0, 0.3, 1]).select("c", "sigma", *r("eps_bits"))
 
 
 @query
 def data_constants(spark, sf_dir):
-    return theory.data_constants(tables.small_examples(spark, sf_dir), half_teacher()).select("client", "l", *r("zeta", "kappa"))
+    return theory.data_constants(examples(spark, sf_dir), half_teacher()).select("client", "l", *r("zeta", "kappa"))
 
 
-SETTING = theory.Setting(C, B_SERVER, SIGMA, D, float((half_teacher() ** 2).sum()))
+def setting() -> theory.Setting:
+    return theory.Setting(C, B_SERVER, SIGMA, width(), float((half_teacher() ** 2).sum()))
 
 
 def _clients(spark, sf_dir):
     """client, l, b, p_arrive, zeta, kappa."""
-    ex = tables.small_examples(spark, sf_dir)
-    times = delay.arrival_probability(loaded(spark, sf_dir, ex), DEADLINE).select("client", "b", "p_arrive")
+    ex = examples(spark, sf_dir)
+    times = delay.arrival_probability(loaded(spark, sf_dir, ex), DEADLINE * scale()).select("client", "b", "p_arrive")
     return theory.data_constants(ex, half_teacher()).join(F.broadcast(times), "client")
 
 
 def _bound(spark, sf_dir, mode):
-    rho = theory.variance_bound(_clients(spark, sf_dir), SETTING, mode)
+    rho = theory.variance_bound(_clients(spark, sf_dir), setting(), mode)
     exponent = F.floor(F.log10("rho"))
     return rho.select(exponent.alias("exponent"), F.round(F.col("rho") / F.pow(F.lit(10.0), exponent), 6).alias("mantissa"))
 
@@ -346,26 +380,26 @@ def variance_bound_rederived(spark, sf_dir):
 
 def _rho_zeta(spark, sf_dir):
     clients = _clients(spark, sf_dir)
-    return theory.variance_bound(clients, SETTING, "rederived").first()["rho"], clients.agg(F.sum("zeta")).first()[0]
+    return theory.variance_bound(clients, setting(), "rederived").first()["rho"], clients.agg(F.sum("zeta")).first()[0]
 
 
 @query
 def gap_bound(spark, sf_dir):
     rho, zeta = _rho_zeta(spark, sf_dir)
-    rows = [(n, theory.gap_bound(rho, zeta, SETTING.phi2, n)) for n in (10, 100, 1000)]
+    rows = [(n, theory.gap_bound(rho, zeta, setting().phi2, n)) for n in (10, 100, 1000)]
     return spark.createDataFrame(rows, "epochs int, bound double").select("epochs", *r("bound", digits=4))
 
 
 @query
 def time_to_gap(spark, sf_dir):
     rho, zeta = _rho_zeta(spark, sf_dir)
-    rows = [(g, theory.time_to_gap(rho, zeta, SETTING.phi2, DEADLINE, g)) for g in (1.0, 10.0, 100.0)]
+    rows = [(g, theory.time_to_gap(rho, zeta, setting().phi2, DEADLINE * scale(), g)) for g in (1.0, 10.0, 100.0)]
     return spark.createDataFrame(rows, "gap double, seconds double").select("gap", *r("seconds", digits=4))
 
 
 def _variances(spark, sf_dir):
     ex = _sized(spark, sf_dir)
-    times = delay.arrival_probability(loaded(spark, sf_dir, ex), DEADLINE)
+    times = delay.arrival_probability(loaded(spark, sf_dir, ex), DEADLINE * scale())
     return ex, theory.client_variance(ex, half_teacher()), times
 
 
@@ -377,7 +411,7 @@ def exact_client_variance(spark, sf_dir):
 
 @query
 def exact_server_variance(spark, sf_dir):
-    table = coding.composite_table(tables.small_examples(spark, sf_dir), C, SIGMA)
+    table = coding.composite_table(examples(spark, sf_dir), C, SIGMA)
     return theory.exact_server_variance(table, half_teacher(), B_SERVER).select(*r("server_variance"))
 
 
@@ -385,19 +419,19 @@ def exact_server_variance(spark, sf_dir):
 def exact_gradient_variance(spark, sf_dir):
     ex, variances, times = _variances(spark, sf_dir)
     totals = theory.data_constants(ex, half_teacher()).agg(F.sum("zeta").alias("zeta"), F.sum("kappa").alias("kappa")).first().asDict()
-    value = theory.exact_gradient_variance(variances, times, totals, SETTING, half_teacher(), grad.full_gradient(ex, half_teacher()), tables.CLIENTS)
+    value = theory.exact_gradient_variance(variances, times, totals, setting(), half_teacher(), grad.full_gradient(ex, half_teacher()), tables.CLIENTS)
     return spark.createDataFrame([(value,)], "variance double").select(*r("variance", digits=4))
 
 
 def _train(rule: str) -> Query:
     def run(spark, sf_dir):
         sigma = SIGMA if rule in ("corrected", "server_only") else 0.0
-        config = training.Config(epochs=EPOCHS, coded_rows=C, b_server=B_SERVER, sigma=sigma, deadline=DEADLINE, lr=LR, drop=DROP, n_mac=N_MAC)
+        config = training.Config(epochs=EPOCHS, coded_rows=C, b_server=B_SERVER, sigma=sigma, deadline=DEADLINE * scale(), lr=LR, drop=DROP, n_mac=N_MAC * scale())
         ex = _sized(spark, sf_dir)
         if rule == "weighted_full":
             ex = ex.withColumn("b", F.col("l"))
         profiles = delay.client_profiles(tables.read(spark, sf_dir, "nation")).join(F.broadcast(ex.groupBy("client").agg(F.max("l").alias("l"), F.max("b").alias("b"))), "client")
-        epochs = training.Epochs(delay.with_times(profiles, N_MAC, PAYLOAD), config)
+        epochs = training.Epochs(delay.with_times(profiles, N_MAC * scale(), PAYLOAD * scale()), config)
         weights = training.missing_weights(epochs) if rule.startswith("weighted") else None
         table = None if rule == "first_arrivals" else training.make_composite(ex, config, weights)
         done = training.run(rule, training.RowSource(ex, config), epochs, table, config)
@@ -414,7 +448,18 @@ for _rule in ("corrected", "first_arrivals", "weighted_full", "weighted_mini", "
 
 @query
 def exact_solution(spark, sf_dir):
-    return matrix_rows(spark, grad.exact_solution(tables.small_examples(spark, sf_dir)), "w")
+    return matrix_rows(spark, grad.exact_solution(examples(spark, sf_dir)), "w")
+
+
+for _query in """
+    fourier_features encode_clients encode_clients_noisy encode_labels encode_weighted composite
+    composite_incremental loss full_gradient server_gradient client_gradients aggregated_gradient
+    privacy_budget sigma_for_budget coded_rows_for_budget privacy_grid data_constants variance_bound_printed
+    variance_bound_fixed variance_bound_rederived gap_bound time_to_gap exact_client_variance
+    exact_server_variance exact_gradient_variance train_corrected_5 train_first_arrivals_5
+    train_weighted_full_5 train_weighted_mini_5 train_server_only_5 exact_solution
+""".split():
+    whole(QUERIES[_query])
 
 
 @query
