@@ -264,6 +264,7 @@ def build() -> dict[str, str]:
     out["holdout_antijoin"] = "select source, count(*) as n from documents d where not exists (select 1 from benchmark b where b.text = d.text) group by 1"
     out["range_join_attempts"] = query([*timed(), ("k", "select unnest(range(1, 6)) as k")], f"select client, k::int as k, round(t_c + t_d + k * tau, 9) as t from timed join k on k * tau <= {DEADLINE}::double - t_c - t_d")
     out["asof_model_version"] = "with v as (select epoch_us(date_trunc('day', ts)) // 1000000 as s, max(value) as version from events where event_type = 'purchase' group by 1) select e.event_id, v.version from (select event_id, epoch_us(ts) // 1000000 as s from events where event_id % 10 = 0) e asof left join v on e.s >= v.s"
+    out["asof_model_version_all"] = "with v as (select epoch_us(date_trunc('day', ts)) // 1000000 as s, max(value) as version from events where event_type = 'purchase' group by 1) select e.event_id, v.version from (select event_id, epoch_us(ts) // 1000000 as s from events) e asof left join v on e.s >= v.s"
     up = "select event_id, (user_id % 20)::int as client, ts, value as payload from events"
     closed = [("u", up), ("w", "select to_timestamp((epoch_us(ts) // 1000000 // 3600) * 3600)::timestamp as start, client, count(*) as n, round(sum(payload), 6) as payload from u group by 1, 2"), ("lim", "select max(ts) - interval 10 minute as l from u")]
     out["stream_epoch_aggregate"] = query(closed, "select epoch_us(start) // 1000000 as start, client, n, payload from w, lim where start + interval 1 hour <= l")

@@ -554,8 +554,7 @@ def range_join_attempts(spark, sf_dir):
     return loaded(spark, sf_dir).join(F.broadcast(tries), fits).select("client", "k", rounded(F.col("t_c") + F.col("t_d") + F.col("k") * F.col("tau"), 9).alias("t"))
 
 
-@query
-def asof_model_version(spark, sf_dir):
+def _asof(spark, sf_dir, where):
     """Which daily model version an update was computed with: the last one at or before it.
 
     Versions and updates share one ordered pass within each day; a day without an earlier version takes the last of
@@ -563,13 +562,25 @@ def asof_model_version(spark, sf_dir):
     """
     events = tables.read(spark, sf_dir, "events").withColumn("s", F.unix_timestamp(F.col("ts").cast("timestamp")))
     versions = events.where("event_type = 'purchase'").groupBy((F.col("s") - F.col("s") % 86400).alias("v_s")).agg(F.max("value").alias("version"))
-    asked = events.where("event_id % 10 = 0").select("event_id", "s", (F.col("s") - F.col("s") % 86400).alias("day"))
+    asked = events.where(where).select("event_id", "s", (F.col("s") - F.col("s") % 86400).alias("day"))
     days = asked.select(F.col("day").alias("v_s")).distinct().join(versions, "v_s", "full")
     order = Window.orderBy("v_s").rowsBetween(Window.unboundedPreceding, 0)
     filled = days.select(F.col("v_s").alias("day"), F.last("version", ignorenulls=True).over(order).alias("version"))
     return asked.join(F.broadcast(filled), "day", "left").select("event_id", "version")
 
 
+@query
+def asof_model_version(spark, sf_dir):
+    """Of every tenth update."""
+    return _asof(spark, sf_dir, "event_id % 10 = 0")
+
+
+@query
+def asof_model_version_all(spark, sf_dir):
+    """Of every update."""
+    return _asof(spark, sf_dir, "true")
+
+
 _RUNS = {"n": 0}
 
 
