@@ -38,8 +38,8 @@ MASK_BITS = 22
 BATCH_CHARS = 1 << 16
 WINDOW_LINES = 100_000
 HASHES_HELD = 2_000_000
-#: Lines of a block of a bucket, and places of all bitmaps of two blocks together.
-BLOCK = 1024
+#: Lines and characters of a block of a bucket, and places of all bitmaps of two blocks together.
+BLOCK, BLOCK_CHARS = 8192, 8 << 20
 PLACES_HELD = 1 << 24
 
 _ODD = (mix64(np.arange(7, 7 + BANDS * ROWS, dtype=np.uint64)) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
@@ -307,9 +307,10 @@ def crossing_links(rows: list[tuple[int, int, int, str]], diagonal: bool, known:
 
 def _crossing(members: DataFrame, labels: DataFrame, texts: DataFrame) -> DataFrame:
     """Alike pairs (a, b) of one bucket and different components."""
-    marked = members.join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
-    mixed = marked.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("size")).where("low <> high")
-    rows = marked.join(mixed.select("bucket", F.ceil(F.col("size") / BLOCK).cast("int").alias("blocks")), "bucket")
+    lengths = texts.select("key", F.length("line").alias("chars")).join(labels.withColumnRenamed("node", "key"), "key", "left")
+    marked = members.join(lengths, "key").withColumn("component", F.coalesce("component", "key"))
+    mixed = marked.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.greatest(F.count("*") / BLOCK, F.sum("chars") / BLOCK_CHARS).alias("fill")).where("low <> high")
+    rows = marked.join(mixed.select("bucket", F.ceil("fill").cast("int").alias("blocks")), "bucket")
     rows = rows.withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
     grid = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda i: F.struct(F.least(i, F.col("own")).alias("i"), F.greatest(i, F.col("own")).alias("j")))
     rows = rows.join(texts, "key").withColumn("cell", F.explode(grid)).select("bucket", "cell.i", "cell.j", "own", "key", "component", "line")
