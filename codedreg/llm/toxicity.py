@@ -4,7 +4,9 @@ The kernel of two words sums, over all letter triples that both hold in order, D
 take in either word, for spans of at most SPAN; word ends count as letters, and the value is divided by a function of
 either length (the norm of a word of that length without repeated triples).  Gaps and inserted characters thus lower a
 likeness without breaking it.  Before that a token loses what is not a letter, digits and signs that imitate letters
-inside it become these letters, and runs of single letters join into one token.
+inside it become these letters, and runs of single letters join into one token.  A token with signs between letters
+stands both for the joined letters and for each part, and words over LONGEST_WORD letters for windows of that many that
+overlap by half, so that every letter counts.
 
 Words that go with the label are found by covering: of the words seen almost only in labelled texts, again and again the
 one that most labelled texts not yet covered hold, so that what merely stands beside an insult, or in copies of one
@@ -59,6 +61,7 @@ PAD = SPAN
 GAPS = [(a, b) for a in range(1, SPAN - 1) for b in range(1, SPAN - a)]
 WEIGHTS = np.array([DECAY ** (a + b + 1) for a, b in GAPS])
 NOT_LETTERS = re.compile(r"[\W\d_]+")
+SIGNS = re.compile(r"[\W_]+")
 EDGES = re.compile(r"^[\W\d_]+|[\W\d_]+$")
 SINGLES = re.compile(r"(?<!\S)[^\W\d_](?:[ .*_-]{1,2}[^\W\d_](?!\w)){3,}")
 #: Signs that imitate letters.
@@ -75,6 +78,24 @@ def normal_word(token: str) -> str:
     return inner
 
 
+def windows(word: str) -> list[str]:
+    if len(word) <= LONGEST_WORD:
+        return [word]
+    step = LONGEST_WORD // 2
+    return [word[i : i + LONGEST_WORD] for i in range(0, len(word) - step, step)]
+
+
+def words_of(token: str) -> list[str]:
+    """The words a token stands for: all its letters joined, and the parts between its signs."""
+    if token.isalpha():
+        return windows(token)
+    out = windows(normal_word(token))
+    parts = [x for x in SIGNS.split(token) if x]
+    if len(parts) > 1:
+        out += [w for x in parts for w in windows(normal_word(x)) if w]
+    return out
+
+
 def tokens_of(text: str) -> list[str]:
     low = text.lower()
     out = low.split()
@@ -85,7 +106,7 @@ def tokens_of(text: str) -> list[str]:
 
 def _codes(word: str) -> list[int]:
     """Word ends and letters as numbers from 1; other letters than a-z share what is left."""
-    return [27, *((o - 96) if 97 <= (o := ord(c)) <= 122 else 29 + o % 35 for c in word[:LONGEST_WORD]), 28]
+    return [27, *((o - 96) if 97 <= (o := ord(c)) <= 122 else 29 + o % 35 for c in word), 28]
 
 
 def _flat(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -158,7 +179,15 @@ class Scorer:
     def learn(self, tokens: list[str]) -> None:
         if len(self.known) + len(tokens) > CACHE_ENTRIES:
             self.known = {}
-        self.known.update(zip(tokens, table_scores(self.table, [normal_word(t) for t in tokens]).tolist()))
+        words = [words_of(t) for t in tokens]
+        starts = np.concatenate([[0], np.cumsum([len(x) for x in words])[:-1]])
+        scores = table_scores(self.table, [w for x in words for w in x])
+        self.known.update(zip(tokens, np.maximum.reduceat(scores, starts).tolist()))
+
+    def word(self, token: str) -> str:
+        """Of a token's words the one of the highest margin."""
+        words = words_of(token)
+        return words[int(table_scores(self.table, words).argmax())]
 
     def texts(self, texts: list[str]) -> list[tuple[float, str]]:
         """(margin, token) of the word that stands out most in each text; 0 and none without words."""
@@ -232,11 +261,11 @@ def word_counts(texts: DataFrame) -> DataFrame:
         for batch in batches:
             ones, alls = Counter(), Counter()
             for text, label in zip(batch.column("text"), batch.column("toxic").to_pylist()):
-                words = {normal_word(t) for t in tokens_of(text.as_py() or "")}
+                words = {w for t in tokens_of(text.as_py() or "") for w in words_of(t)}
                 alls.update(words)
                 if label:
                     ones.update(words)
-            words = [w for w in alls if 3 <= len(w) <= LONGEST_WORD]
+            words = [w for w in alls if len(w) >= 3]
             yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array([ones[w] for w in words], pa.int64()), pa.array([alls[w] for w in words], pa.int64())], ["word", "ones", "texts"])
 
     found = texts.select("text", "toxic").mapInArrow(run, "word string, ones long, texts long")
@@ -314,7 +343,7 @@ def _standing_out(texts: DataFrame, table: np.ndarray) -> list[tuple[int, float,
         own = Scorer(sent.value)
         for batch in batches:
             found = own.texts([t.as_py() or "" for t in batch.column("text")])
-            yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array([m for m, _ in found], pa.float64()), pa.array([normal_word(w) for _, w in found], pa.string())], ["toxic", "margin", "word"])
+            yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array([m for m, _ in found], pa.float64()), pa.array([own.word(w) if w else "" for _, w in found], pa.string())], ["toxic", "margin", "word"])
 
     return [tuple(r) for r in texts.mapInArrow(run, "toxic int, margin double, word string").collect()]
 
@@ -325,7 +354,7 @@ def _held_words(texts: DataFrame, words: list[str]) -> list[list[str]]:
 
     def run(batches):
         for batch in batches:
-            held = [sorted({normal_word(t) for t in tokens_of(x.as_py() or "")} & sent.value) for x in batch.column("text")]
+            held = [sorted({w for t in tokens_of(x.as_py() or "") for w in words_of(t)} & sent.value) for x in batch.column("text")]
             yield pa.RecordBatch.from_arrays([pa.array(held, pa.list_(pa.string()))], ["held"])
 
     return [list(r["held"]) for r in texts.where("toxic = 1").select("text").mapInArrow(run, "held array<string>").collect()]

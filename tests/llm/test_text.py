@@ -145,3 +145,14 @@ def test_table_is_the_kernel():
     table = __import__("numpy").bincount(key, value, toxicity.SYMBOLS**3).astype("float32")
     assert toxicity.table_scores(table, words) == pytest.approx(values[:, 0], abs=1e-5)
     assert toxicity.likeness(["idi.ot".replace(".", "x")], ["idiot"])[0, 0] > 0.4
+
+
+def test_toxicity_reads_every_letter(spark, tables):
+    docs, labels, _ = tables
+    model = toxicity.fit(docs, labels)
+    calm = "lumotiranolasatoperi" * 8
+    texts = [calm + "blokhead", calm[:70] + "blokhead" + calm, "lumo,tira,nola,sato,peri,lumo,tira,nola,sato,peri,lumo,tira,nola,sato,blokhead", "lumo/blokhead_tira", calm, "lumo,tira_nola/sato.peri"]
+    found = toxicity.score_documents(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), model).collect()
+    score = {r["doc_id"]: r["score"] for r in found}
+    assert score[0] > score[4] and score[1] > score[4] and score[2] > score[5] and score[3] > score[5]
+    assert {r["doc_id"]: r["predicted"] for r in found if r["doc_id"] in (2, 3, 5)} == {2: 1, 3: 1, 5: 0}
