@@ -4,9 +4,9 @@ Every byte stands for one printable character, every vocabulary entry for one pi
 rank, and the normaliser is the identity.  Merging the best-scored adjacent pair first is then the same as merging
 the lowest rank first, so each pre-token gets the ids the rank file defines.  Decoding maps pieces back to bytes.
 
-Null texts count as empty and give no ids.  What a worker has encoded it keeps in tables of bounded size, of two
-generations: a full one becomes the older, and what is used again moves to the new one.  This costs or saves time and
-never changes a result.
+Null texts count as empty and give no ids.  What a worker has encoded it keeps in tables of bounded size: words in a
+table looked up for many texts at once, pre-tokens in two generations (a full one becomes the older, and what is used
+again moves to the new one).  This costs or saves time and never changes a result.
 """
 
 from __future__ import annotations
@@ -26,8 +26,10 @@ import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
 
-CACHE_ENTRIES = 300_000
-GROUP_CHARS = 200_000
+from codedreg.llm.wordtable import SPACE, TEXT, WordTable, spread
+
+CACHE_ENTRIES = 200_000
+GROUP_CHARS = 500_000
 #: Printable stand-ins for the 256 bytes start here.
 BYTE_BASE = 0x100
 
@@ -128,8 +130,6 @@ def split_pieces(pattern: str, text: str) -> list[str]:
     return splitter(pattern, last).findall(text)
 
 
-#: Marks that the published pattern takes as a pre-token of their own after a word and before a space.
-MARKS = frozenset(".,;:!?")
 #: Fixed value: the published pre-token pattern.
 GPT_PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
@@ -175,31 +175,25 @@ class Generations:
 
 
 class PieceCoder:
-    """Encodes texts to little-endian id bytes through tables of what pre-tokens and spaced words encode to."""
+    """Encodes texts to little-endian id bytes through tables of what words and pre-tokens encode to."""
 
     def __init__(self, pattern: str):
         self.find = functools.partial(split_pieces, pattern)
         self.plain = pattern == GPT_PATTERN
         self.known = Generations(self.learn)
-        self.words = Generations(self.learn_words)
+        self.words = WordTable(self.learn_words)
 
     def learn(self, missing: list[str]) -> dict[str, bytes]:
         """What these pre-tokens encode to."""
         raise NotImplementedError
 
-    def pieces(self, word: str) -> list[str]:
-        """Pre-tokens of a space and a word; words of letters alone, or with one mark after them, need no search."""
-        if self.plain:
-            if word.isalpha():
-                return [" " + word]
-            if word[-1:] in MARKS and word[:-1].isalpha():
-                return [" " + word[:-1], word[-1]]
-        return self.find(" " + word)
-
-    def learn_words(self, missing: list[str]) -> dict[str, bytes]:
-        own = [self.pieces(x) for x in missing]
-        coded = iter(self.known.all([p for x in own for p in x]))
-        return {x: next(coded) if len(p) == 1 else b"".join([next(coded) for _ in p]) for x, p in zip(missing, own)}
+    def learn_words(self, words: list[bytes]) -> list[bytes]:
+        own = []
+        for x in words:
+            text = x.decode() if x[0] != TEXT else x[1:].decode()
+            own.append([text] if x[0] == SPACE and text[1:].isalpha() else self.find(text))
+        coded = self.learn(list({p for x in own for p in x}))
+        return [coded[p[0]] if len(p) == 1 else b"".join([coded[x] for x in p]) for p in own]
 
     def encode(self, text: str) -> bytes:
         return self._together([text])[0]
@@ -216,18 +210,10 @@ class PieceCoder:
         yield from self._together(held)
 
     def _together(self, texts: list[str]) -> list[bytes]:
-        pieces, words, spans = [], [], []
-        for text in texts:
-            p, w = len(pieces), len(words)
-            if crowded(text):
-                pieces += self.find(text)
-            else:
-                first, *rest = text.split(" ")
-                pieces += self.find(first)
-                words += rest
-            spans.append((p, len(pieces), w, len(words)))
-        pieces, words = self.known.all(pieces), self.words.all(words)
-        return [b"".join(pieces[a:b]) + b"".join(words[c:d]) for a, b, c, d in spans]
+        """Texts where white space stands alone or in runs of line feeds go through the words, others through the pattern."""
+        by_words = [self.plain and not crowded(x) for x in texts]
+        coded = iter(self.words.encode(b"".join(b"\xff" + x.encode() for x, plain in zip(texts, by_words) if plain)))
+        return [next(coded) if plain else b"".join(self.known.all(self.find(x))) for x, plain in zip(texts, by_words)]
 
 
 class Coder(PieceCoder):
@@ -237,14 +223,21 @@ class Coder(PieceCoder):
         super().__init__(pattern)
         self.model = sentencepiece.SentencePieceProcessor(model_proto=serialise_model(tokens))
         back = {chr(BYTE_BASE + b): b for b in range(256)}
-        self.vocabulary = [bytes(back[c] for c in self.model.id_to_piece(i)) for i in range(len(tokens))]
+        vocabulary = [bytes(back[c] for c in self.model.id_to_piece(i)) for i in range(len(tokens))]
+        self.laid = np.frombuffer(b"".join(vocabulary), np.uint8)
+        self.sizes = np.array([len(x) for x in vocabulary], np.int64)
+        self.places = np.cumsum(self.sizes) - self.sizes
+
+    def vocabulary_size(self) -> int:
+        return len(self.sizes)
 
     def learn(self, missing: list[str]) -> dict[str, bytes]:
         coded = self.model.encode(stand_ins(missing), num_threads=1)
         return {piece: array("I", ids).tobytes() for piece, ids in zip(missing, coded)}
 
     def decode(self, ids: bytes) -> bytes:
-        return b"".join(map(self.vocabulary.__getitem__, memoryview(ids).cast("I").tolist()))
+        own = np.frombuffer(ids, "<u4")
+        return self.laid[spread(self.places[own], self.sizes[own])].tobytes()
 
 
 @functools.cache

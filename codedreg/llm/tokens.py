@@ -18,6 +18,9 @@ class FileCoder(PieceCoder):
         super().__init__(GPT_PATTERN)
         self.model = model
 
+    def vocabulary_size(self) -> int:
+        return self.model.get_vocab_size(with_added_tokens=True)
+
     def _together(self, texts: list[str]) -> list[bytes]:
         return [array("I", x.ids).tobytes() for x in self.model.encode_batch(texts, add_special_tokens=False)]
 
