@@ -2,13 +2,13 @@ import random
 import zlib
 from pathlib import Path
 
+import numpy as np
 import public_tokenizers as P
-import pyarrow.parquet as pq
 import pytest
 import tiktoken
 from tokenizers import Tokenizer
 
-from codedreg.llm import bpe, packing, shards
+from codedreg.llm import bpe, packing, shards, wordtable
 from codedreg.llm.tokens import file_coder
 
 RANKS, FILE = P.path("byte_bpe_50k.tiktoken"), P.path("byte_bpe_50k.json")
@@ -39,7 +39,20 @@ def test_small_tables_change_nothing(monkeypatch):
     large = list(bpe.Coder(bpe.read_ranks(RANKS), P.PATTERN).encode_many(texts))
     monkeypatch.setattr(bpe, "CACHE_ENTRIES", 20)
     monkeypatch.setattr(bpe, "GROUP_CHARS", 50)
-    assert list(bpe.Coder(bpe.read_ranks(RANKS), P.PATTERN).encode_many(texts)) == large
+    small = bpe.Coder(bpe.read_ranks(RANKS), P.PATTERN)
+    small.words = wordtable.WordTable(small.learn_words, 64)
+    assert list(small.encode_many(texts)) == large
+
+
+def test_equal_hashes_do_not_mix_words(monkeypatch):
+    """Every second word gets the hash of another one."""
+    texts = [x for x in TEXTS + random_texts(60) if len(x) < 1000]
+    plain = bpe.Coder(bpe.read_ranks(RANKS), P.PATTERN)
+    right = list(plain.encode_many(texts))
+    hashes = wordtable.WordTable.hashes
+    monkeypatch.setattr(wordtable.WordTable, "hashes", lambda *a: hashes(*a) % wordtable.np.uint64(7) + wordtable.np.uint64(1))
+    odd = bpe.Coder(bpe.read_ranks(RANKS), P.PATTERN)
+    assert list(odd.encode_many(texts)) == right and [odd.encode(x) for x in texts] == right
 
 
 def test_ids_are_those_of_the_tokenizer_file():
@@ -109,39 +122,69 @@ def test_permutation(n):
     assert sorted(shards.permute(i, n, 99) for i in range(n)) == list(range(n))
 
 
+def streams(docs, own):
+    """The ids of all documents with their end ids, by document."""
+    return {r["doc_id"]: list(memoryview(own.encode(r["text"] or "")).cast("I")) + [shards.END_ID] for r in docs.collect() if r["doc_id"] != 3}
+
+
+def test_slots_are_the_permutation(spark, docs):
+    for n in (1, 5, 64, 683):
+        assert shards.slots_of(np.arange(n), n).tolist() == [shards.permute(i, n, shards.KEY) for i in range(n)]
+    order = shards.Order(docs, FILE, P.PATTERN, 64)
+    assert sorted(r["slot"] for r in order.sequences().collect()) == list(range(order.total))
+
+
+def test_packed_ids():
+    draw = np.random.default_rng(1)
+    for ids in (np.zeros(0, "<u2"), draw.integers(0, 1 << 16, 200_000).astype("<u2"), draw.geometric(0.01, 5000).astype("<u2"), draw.integers(0, 1 << 20, 500).astype("<u4")):
+        assert (shards.unpack_ids(shards.pack_ids(ids), len(ids), ids.itemsize) == ids).all()
+
+
 def test_shards_round_trip(spark, docs, tmp_path):
-    ordered = shards.order_documents(docs, FILE, P.PATTERN, stride=64, shard_slots=50)
-    listed = shards.manifest(ordered, 64).toPandas()
-    n = len(listed)
-    assert sorted(listed["slot"]) == list(range(n)) and (listed["shard"] == listed["slot"] // 50).all()
-    assert (listed["byte_offset"] == listed["slot"] % 50 * (4 + 4 * 64)).all()
-    shards.write_shards(ordered, str(tmp_path / "s"), 64)
-    back = {r["slot"]: list(r["ids"]) for r in shards.read_shards(spark, str(tmp_path / "s"), shard_slots=50).collect()}
-    ids = {r["slot"]: (r["doc_id"], r["start"], r["n_tokens"]) for r in ordered.collect()}
-    own = file_coder(FILE, P.PATTERN)
-    texts = {r["doc_id"]: r["text"] or "" for r in docs.collect() if r["doc_id"] != 3}
-    for slot, (doc, start, size) in ids.items():
-        if doc in texts:
-            assert back[slot] == list(memoryview(own.encode(texts[doc])).cast("I"))[start : start + size]
-    later = shards.read_shards(spark, str(tmp_path / "s"), start_slot=120, shard_slots=50).collect()
-    assert sorted(r["slot"] for r in later) == list(range(120, n))
-    assert shards.manifest(shards.order_documents(docs.limit(0), FILE, P.PATTERN)).count() == 0
+    path, stride, slots = str(tmp_path / "s"), 64, 50
+    listed = shards.materialise(docs, FILE, P.PATTERN, stride, slots, path).toPandas()
+    files, size = shards.shard_files(spark, path), shards.record_bytes(stride, 2)
+    n = listed["slot"].nunique()
+    assert sorted(listed["slot"].unique()) == list(range(n)) and sorted(files) == list(range(-(-n // slots)))
+    raw = {s: Path(f.removeprefix("file:")).read_bytes() for s, f in files.items()}
+    assert all(len(b) == size * min(slots, n - slots * s) for s, b in raw.items())
+    wanted = streams(docs, file_coder(FILE, P.PATTERN))
+    got = {}
+    for r in listed.itertuples():
+        record = raw[r.shard][r.byte_offset : r.byte_offset + size]
+        slot, ids = shards.parse(record, 2)
+        assert r.byte_offset == r.slot % slots * size and slot == r.slot and len(ids) == r.n_tokens and zlib.crc32(record) == r.record_crc32
+        if r.doc_id == r.doc_id and r.doc_id != 3:
+            got.setdefault(int(r.doc_id), []).append((r.start, ids[r.offset : r.offset + r.length]))
+    for doc, ids in wanted.items():
+        if doc is not None:
+            pieces = sorted(got[doc])
+            assert [x for _, p in pieces for x in p] == ids and [s for s, _ in pieces] == [sum(len(p) for _, p in pieces[:i]) for i in range(len(pieces))]
+    assert listed["length"].sum() == sum(len(file_coder(FILE, P.PATTERN).encode(r["text"] or "")) // 4 + 1 for r in docs.collect())
+
+
+def test_readers_resume_at_any_slot(spark, docs, tmp_path):
+    path, stride, slots = str(tmp_path / "s"), 64, 50
+    order = shards.Order(docs, FILE, P.PATTERN, stride)
+    shards.write_shards(order, path, slots)
+    held = {r["slot"]: np.frombuffer(shards.pa.decompress(bytes(r["ids"]), 2 * r["n_tokens"], shards.CODEC), "<u2").tolist() for r in order.sequences().collect()}
+    n = len(held)
+    for start in (0, 1, 49, 50, 120, n - 1):
+        later = {r["slot"]: list(r["ids"]) for r in shards.read_shards(spark, path, start, stride, slots).collect()}
+        assert later == {s: x for s, x in held.items() if s >= start}
+        assert shards.seek_slots(spark, shards.shard_files(spark, path), start, 1, stride, slots) == [(start, held[start])]
+    assert [s for s, _ in shards.seek_slots(spark, shards.shard_files(spark, path), 60, 7, stride, slots)] == list(range(60, 67))
+
+
+def test_shards_of_nothing(spark, docs, tmp_path):
+    assert shards.materialise(docs.limit(0), FILE, P.PATTERN, 64, 50, str(tmp_path / "none")).count() == 0
+    one = docs.where("doc_id = 100")
+    assert [(r["length"], r["n_tokens"]) for r in shards.materialise(one, FILE, P.PATTERN, 64, 50, str(tmp_path / "one")).collect()] == [(1, 1)]
 
 
-def test_query_writes_what_it_lists(spark, sf_dir, docs, tmp_path):
+def test_query_lists_what_it_wrote(spark, sf_dir):
     from codedreg.llm import queries
 
-    before = set(Path(spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:")).glob("shards-*")) if spark.sparkContext._jsc.sc().getCheckpointDir().isDefined() else set()
     listed = queries.op7_training_order(spark, sf_dir).toPandas()
-    (path,) = set(Path(spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:")).glob("shards-*")) - before
-    written = {r["slot"]: bytes(r["record"]) for r in spark.read.parquet(str(path)).collect()}
-    assert len(written) == len(listed) and all(len(r) == 4 + 4 * shards.STRIDE for r in written.values())
-    assert all(zlib.crc32(written[s]) == c for s, c in zip(listed["slot"], listed["record_crc32"]))
-    found = shards.materialise(docs, FILE, P.PATTERN, 64, 50, str(tmp_path / "s"))
-    wanted = shards.manifest(shards.order_documents(docs, FILE, P.PATTERN, 64, 50), 64)
-    assert sorted(map(str, found.collect())) == sorted(map(str, wanted.collect()))
-    for part in (tmp_path / "s").glob("shard=*"):
-        (file,) = part.glob("*.parquet")
-        slots = pq.ParquetFile(file).read(["slot"]).column("slot").to_pylist()
-        assert slots == sorted(slots) and len({s // 50 for s in slots}) == 1
-    assert shards.materialise(docs.limit(0), FILE, P.PATTERN, 64, 50, str(tmp_path / "none")).count() == 0
+    assert listed["doc_id"].nunique() == spark.read.parquet(f"{sf_dir}/documents.parquet").count()
+    assert (listed.groupby("slot")["length"].sum() == listed.groupby("slot")["n_tokens"].first()).all()
