@@ -61,6 +61,14 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+def distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted distinct values; sorting is several times faster here than numpy's hash table."""
+    x = np.sort(x)
+    keep = np.ones(len(x), bool)
+    keep[1:] = x[1:] != x[:-1]
+    return x[keep]
+
+
 def slices(sizes, budget: int):
     """(start, stop) runs of rows whose summed sizes stay near the budget; a larger single row stands alone."""
     start, total = 0, 0

@@ -113,46 +113,80 @@ def test_toxicity(spark, tables):
     held = [i for i, r in rows.items() if r["held_out"] and i in truth]
     assert held and sum(rows[i]["predicted"] == truth[i] for i in held) >= 0.97 * len(held)
     assert all(0 <= r["score"] <= 1 for r in rows.values()) and rows[9001]["predicted"] == 0
-    odd = spark.createDataFrame([(1, "lumo tira blok-he.ad nola"), (2, "lumo g r u m f o o l peri"), (3, "peri b1okhead tira"), (4, "nola blokheead sato"), (5, "lumo tira nola peri")], "doc_id long, text string")
-    assert {r["doc_id"]: r["predicted"] for r in toxicity.score_documents(odd, model).collect()} == {1: 1, 2: 1, 3: 1, 4: 1, 5: 0}
+    odd = ["lumo tira blok-he.ad nola", "lumo g r u m f o o l peri", "peri b1okhead tira", "nola blokheead sato", "nola blok head sato", "lumo tira,blokhead", "lumo tira nola peri"]
+    found = toxicity.score_documents(spark.createDataFrame(list(enumerate(odd)), "doc_id long, text string"), model).collect()
+    assert {r["doc_id"]: r["predicted"] for r in found} == {0: 1, 1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 6: 0}
+    again = toxicity.score_documents(docs, toxicity.fit(docs.repartition(7), labels.repartition(3))).collect()
+    assert {r["doc_id"]: round(r["score"], 6) for r in again} == {i: round(r["score"], 6) for i, r in rows.items()}
+    clash = docs.withColumn("score", docs["doc_id"]).withColumn("held_out", docs["lang"])
+    assert sorted(map(str, toxicity.score_documents(clash, model).collect())) == sorted(map(str, rows.values()))
     assert toxicity.score_documents(docs.limit(0), model).count() == 0
     bare = toxicity.score_documents(docs, toxicity.fit(docs, labels.limit(0))).collect()
     assert {r["score"] for r in bare} == {0.0}
 
 
+def written(parts):
+    """Symbols of each sentence as (letters, marks as spaces)."""
+    c, starts, size, owner = parts
+    back = {toxicity.MARK: " "} | {i: chr(96 + i) for i in range(1, 27)}
+    return [("".join(back.get(x, "?") for x in c[a : a + n].tolist()), o) for a, n, o in zip(starts.tolist(), size.tolist(), owner.tolist())]
+
+
+def test_sentences():
+    texts = ["You, id-iot!  Go a w a y now. 1d1ot sc0 ", "", "x", "one\ntwo? three.four", "É 5 $$ m0r0n"]
+    assert written(toxicity.sentences(texts)) == [(" you idiot ", 0), (" go away now ", 0), (" diot sc ", 0), (" one ", 3), (" two ", 3), (" threefour ", 3), (" ? moron ", 4)]
+    long = "ab " * 100
+    parts = [x for x, _ in written(toxicity.sentences([long]))]
+    assert all(len(x) <= toxicity.LONGEST for x in parts) and len(parts) > 5 and parts[0].startswith(" ab") and parts[-1].endswith("ab ")
+
+
 def test_table_is_the_kernel():
-    """Scores by a landmark's table equal kernel values by counting triples."""
-
-    def vector(word):
-        c, out = toxicity._codes(word), {}
-        for i in range(len(c)):
-            for j in range(i + 1, len(c)):
-                for k in range(j + 1, min(len(c), i + toxicity.SPAN)):
-                    key = (c[i], c[j], c[k])
-                    out[key] = out.get(key, 0) + toxicity.DECAY ** (k - i + 1)
-        squares = sum(max(len(c) - a - b, 0) * w * w for (a, b), w in zip(toxicity.GAPS, toxicity.WEIGHTS))
+    """Scores by a sentence's table equal kernel values by counting subsequences of whole sentences."""
+    import itertools
+
+    import numpy as np
+
+    def vector(c):
+        out = {}
+        for at in itertools.combinations(range(len(c)), toxicity.ORDER):
+            if at[-1] - at[0] < toxicity.SPAN:
+                key = tuple(c[i] for i in at)
+                out[key] = out.get(key, 0) + toxicity.DECAY ** (at[-1] - at[0] + 1)
+        squares = sum(max(len(c) - p[-1], 0) * float(w) ** 2 for p, w in zip(toxicity.PLACES, toxicity.WEIGHTS))
         return {k: v / squares**0.5 for k, v in out.items()}
 
     draw = random.Random(6)
-    marks = ["idiot", "worthless", "scum", "x"]
-    words = ["".join(draw.choice("idotscumwrhlé") for _ in range(draw.randrange(12))) for _ in range(60)]
-    values = toxicity.likeness(words, marks)
-    for i, w in enumerate(words):
-        for j, m in enumerate(marks):
-            a, b = vector(w), vector(m)
-            assert values[i, j] == pytest.approx(sum(v * b.get(k, 0) for k, v in a.items()), abs=1e-9)
-    owner, key, value = toxicity.sparse_rows(["idiot"])
-    table = __import__("numpy").bincount(key, value, toxicity.SYMBOLS**3).astype("float32")
-    assert toxicity.table_scores(table, words) == pytest.approx(values[:, 0], abs=1e-5)
-    assert toxicity.likeness(["idi.ot".replace(".", "x")], ["idiot"])[0, 0] > 0.4
+    texts = ["you idiot", "what a worthless scum", "xy z"] + ["".join(draw.choice("idot scumwrhl é") for _ in range(draw.randrange(4, 30))) for _ in range(30)]
+    c, starts, size, owner = toxicity.sentences(texts)
+    own = [c[a : a + n] for a, n in zip(starts, size)]
+    sample = toxicity.Sample(np.concatenate(own).astype(np.uint8), size, np.arange(len(size)), np.zeros(len(size), int))
+    values = toxicity.likeness(sample, np.arange(len(size)), np.arange(3))
+    for i, s in enumerate(own):
+        for j in range(3):
+            a, b = vector(s.tolist()), vector(own[j].tolist())
+            assert values[i, j] == pytest.approx(sum(v * b.get(k, 0) for k, v in a.items()), abs=1e-5)
+    _, key, value = toxicity.sparse_rows(*sample.laid(np.array([0])))
+    table = np.bincount(key, value, toxicity.KEYS).astype("float32")
+    assert sample.margins(table) == pytest.approx(values[:, 0], abs=1e-5)
 
 
 def test_toxicity_reads_every_letter(spark, tables):
     docs, labels, _ = tables
     model = toxicity.fit(docs, labels)
     calm = "lumotiranolasatoperi" * 8
-    texts = [calm + "blokhead", calm[:70] + "blokhead" + calm, "lumo,tira,nola,sato,peri,lumo,tira,nola,sato,peri,lumo,tira,nola,sato,blokhead", "lumo/blokhead_tira", calm, "lumo,tira_nola/sato.peri"]
+    texts = [calm + "blokhead", calm[:70] + "blokhead" + calm, "lumo,tira,nola,sato,peri,lumo,tira,nola,sato,peri,lumo,tira,nola,sato,blokhead", calm, "lumo,tira_nola/sato.peri", "lumo tira nola. " * 40_000 + "you blokhead", "lumo tira nola. " * 40_000]
     found = toxicity.score_documents(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), model).collect()
     score = {r["doc_id"]: r["score"] for r in found}
-    assert score[0] > score[4] and score[1] > score[4] and score[2] > score[5] and score[3] > score[5]
-    assert {r["doc_id"]: r["predicted"] for r in found if r["doc_id"] in (2, 3, 5)} == {2: 1, 3: 1, 5: 0}
+    assert score[0] > score[3] and score[1] > score[3] and score[2] > score[4] and score[5] > score[6]
+
+
+def test_toxicity_on_the_given_tables(spark):
+    """Held out: figures of the README."""
+    folder = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
+    marked = labels.where("toxic is not null").groupBy("doc_id").agg({"toxic": "max"}).toDF("doc_id", "toxic")
+    rows = toxicity.score_documents(docs, toxicity.fit(docs, labels)).where("held_out").join(marked, "doc_id").select("score", "predicted", "toxic").toPandas()
+    rank, y = rows["score"].rank(), rows["toxic"]
+    auc = (rank[y == 1].sum() - y.sum() * (y.sum() + 1) / 2) / (y.sum() * (1 - y).sum())
+    caught = rows[(rows["predicted"] == 1) & (y == 1)].shape[0]
+    assert auc > 0.94 and caught >= 0.85 * y.sum() and caught >= 0.8 * rows["predicted"].sum(), (auc, caught, rows["predicted"].sum(), y.sum())
