@@ -12,14 +12,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codedreg.functions.hashrand import gauss, philox_gauss
+from codedreg.functions.hashrand import PRIMES, gauss, philox_gauss
 from codedreg.functions.vectors import sum_vectors
 from codedreg.storage import cut
 
 GAUSS_SEED, NOISE_SEED, LABEL_NOISE_SEED = 101, 202, 303
 BLOCK_ROWS, BLOCK_CODED = 2048, 128
-#: Sums for this many clients are held in a task before they are passed on.
-CLIENTS_HELD = 64
+#: Sums of clients up to this size are held in a task before they are passed on.
+HELD_BYTES = 128 << 20
 
 
 def dense(column) -> np.ndarray:
@@ -58,19 +58,21 @@ def encode_clients(ex: DataFrame, c: int, sigma: float = 0.0, seed: int = 0, wei
             x = dense(batch.column("x"))
             width = x.shape[1]
             rows = np.hstack([x, dense(batch.column("y"))])
+            if generator == "portable" and ids.max(initial=0) >= PRIMES[0]:
+                raise ValueError("row ids of 2^31 - 1 or more need generator='philox'")
             if weight:
                 rows = rows * np.asarray(batch.column(weight)).astype(float)[:, None]
             for client in np.unique(clients).tolist():
                 own = np.flatnonzero(clients == client)
+                if client not in sums and (len(sums) + 1) * 8 * c * rows.shape[1] > HELD_BYTES and sums:
+                    yield flush()
+                    sums.clear()
                 total = sums.setdefault(client, np.zeros((c, rows.shape[1])))
                 for a in range(0, len(own), BLOCK_ROWS):
                     part = own[a : a + BLOCK_ROWS]
                     for k in range(0, c, BLOCK_CODED):
                         coded = np.arange(k, min(k + BLOCK_CODED, c))
                         total[coded] += draw(coded, ids[part]) @ rows[part]
-                if len(sums) > CLIENTS_HELD:
-                    yield flush()
-                    sums.clear()
         if sums:
             yield flush()
 
@@ -98,6 +100,13 @@ def add_noise(coded: DataFrame, sigma: float, seed: int = 0, noise_labels: bool
     return coded.select("client", "k", "x", "y").mapInArrow(run, "client int, k int, x array<double>, y array<double>")
 
 
+def weight_clients(coded: DataFrame, weights: dict[int, float]) -> DataFrame:
+    """The coded tables as if each client's rows had been multiplied by its weight before coding, which is linear."""
+    pairs = [x for i, v in sorted(weights.items()) for x in (F.lit(i), F.lit(float(v)))]
+    weight = F.coalesce(F.create_map(*pairs)[F.col("client")], F.lit(1.0))
+    return coded.withColumn("weight", weight).select("client", "k", *[F.transform(c, lambda v: v * F.col("weight")).alias(c) for c in ("x", "y")])
+
+
 def compose(coded: DataFrame) -> DataFrame:
     """k, x, y: the clients' tables added element by element."""
     return sum_vectors(coded, ["k"], ["x", "y"])

@@ -95,16 +95,17 @@ def epoch_times(arrivals: DataFrame, drop: float = 0.0) -> DataFrame:
     return lasting.withColumn("sim_time", F.sum("duration").over(Window.orderBy("epoch")))
 
 
-def load_candidates(profiles: DataFrame, n_mac: float, payload: float, deadlines: list[float], attempts_max: int = 64) -> DataFrame:
-    """For each client, deadline and number of attempts: the largest batch that leaves time for them, and its worth.
+def load_candidates(profiles: DataFrame, n_mac: float, payload: float, deadlines: list[float]) -> DataFrame:
+    """For each client, deadline and number of attempts that fits: the largest batch that leaves time for them, and its worth.
 
-    Batch times arrival probability only peaks where a whole number of attempts fills the time left, so these few
-    candidates decide.
+    Batch times arrival probability only peaks where a whole number of attempts fills the time left, so these candidates
+    decide.  A client that cannot take part by a deadline has none.
     """
     spark = profiles.sparkSession
     times = spark.createDataFrame([(float(t),) for t in deadlines], "deadline double")
     tau, t_d = F.lit(float(payload)) / F.col("up_bps"), F.lit(float(payload)) / F.col("down_bps")
-    wide = profiles.crossJoin(F.broadcast(times)).withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(attempts_max))))
+    fits = F.floor((F.col("deadline") - t_d) / tau).cast("int")
+    wide = profiles.crossJoin(F.broadcast(times)).where(fits >= 1).withColumn("k", F.explode(F.sequence(F.lit(1), fits)))
     most = F.floor(F.col("mac_rate") / F.lit(float(n_mac)) * (F.col("deadline") - t_d - F.col("k") * tau) + F.lit(1e-9))
     wide = wide.withColumn("load", F.least(F.col("l"), most)).where("load >= 1")
     return wide.withColumn("worth", F.col("load") * _chance(F.col("k").cast("double")))
@@ -122,6 +123,28 @@ def smallest_deadline(plan: DataFrame, target: float) -> DataFrame:
     return totals.agg(F.min(F.struct("deadline", "expected")).alias("m")).select("m.deadline", "m.expected")
 
 
+def deadline_grid(profiles: DataFrame, n_mac: float, payload: float, points: int = 64) -> list[float]:
+    """Deadlines from the first at which any client can send a row to the last at which each could send all its rows at
+    the tenth attempt, in equal ratios."""
+    tau, t_d = F.lit(float(payload)) / F.col("up_bps"), F.lit(float(payload)) / F.col("down_bps")
+    row = F.lit(float(n_mac)) / F.col("mac_rate")
+    low, high = profiles.agg(F.min(t_d + tau + row), F.max(t_d + 10 * tau + row * F.col("l"))).first()
+    ratio = (high / low) ** (1 / (points - 1)) if points > 1 else 1.0
+    return [low * ratio**i * (1 + 1e-9) for i in range(points)]
+
+
+def planned(profiles: DataFrame, n_mac: float, payload: float, target: float, points: int = 64) -> tuple[float, dict[int, int]]:
+    """The least deadline of the grid by which the target number of rows is expected, and every client's load for it (0: cannot
+    take part)."""
+    plan = plan_loads(profiles, n_mac, payload, deadline_grid(profiles, n_mac, payload, points))
+    found = smallest_deadline(plan, target).first()
+    if found is None or found["deadline"] is None:
+        raise ValueError("no deadline of the grid meets the target")
+    loads = {r["client"]: 0 for r in profiles.select("client").collect()}
+    loads |= {r["client"]: int(r["load"]) for r in plan.where(F.col("deadline") == found["deadline"]).collect()}
+    return found["deadline"], loads
+
+
 def communication_cost(profiles: DataFrame, c: int, d: int, o: int) -> DataFrame:
     """client, one-time upload of coded data (bits, expected seconds), bits up and down in an epoch."""
     bits = 32.0 * c * (d + o)

@@ -61,6 +61,58 @@ def gradient_sums(ex: DataFrame, w: np.ndarray, keys: list[str]) -> DataFrame:
     return _by_key(ex, keys, lambda x, y: (x.T @ (x @ w - y)).ravel())
 
 
+def weighted_gradients(ex: DataFrame, weights: list[np.ndarray], coefficients: list[dict[int, float]]) -> list[np.ndarray]:
+    """For each of several weight matrices the sum over rows of the coefficient of the row's client times the row's gradient.
+
+    One pass serves them all; what leaves a task is one d x o sum for each of them, whatever the number of clients.
+    """
+    d, o = weights[0].shape
+    wide, many = np.hstack(weights), len(weights)
+
+    def run(batches):
+        total = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x, y = dense(batch.column("x")), dense(batch.column("y"))
+            names, inverse = np.unique(np.asarray(batch.column("client")), return_inverse=True)
+            share = np.array([[c.get(i, 0.0) for c in coefficients] for i in names.tolist()])[inverse]
+            rest = (x @ wide - np.tile(y, many)) * np.repeat(share, o, axis=1)
+            part = x.T @ rest
+            total = part if total is None else total + part
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([lists(total.reshape(1, -1))], ["v"])
+
+    clients = sorted({i for c in coefficients for i, v in c.items() if v})
+    if not clients:
+        return [np.zeros((d, o)) for _ in weights]
+    rows = ex.where(F.col("client").isin(clients)).select("client", "x", "y").mapInArrow(run, "v array<double>")
+    found = sum_vectors(rows, [], ["v"]).first()["v"]
+    table = np.array(found).reshape(d, many * o) if found else np.zeros((d, many * o))
+    return [table[:, i * o : (i + 1) * o] for i in range(many)]
+
+
+def losses(ex: DataFrame, weights: list[np.ndarray]) -> list[tuple[float, float]]:
+    """(half the squared residuals, share of rows whose largest output is the target's) of several weight matrices, in one pass."""
+    o, wide = weights[0].shape[1], np.hstack(weights)
+
+    def run(batches):
+        total = np.zeros((2, len(weights)))
+        n = 0
+        for batch in batches:
+            if batch.num_rows:
+                x, y = dense(batch.column("x")), dense(batch.column("y"))
+                out = (x @ wide).reshape(len(x), -1, o)
+                total[0] += 0.5 * ((out - y[:, None, :]) ** 2).sum((0, 2))
+                total[1] += (out.argmax(2) == y.argmax(1)[:, None]).sum(0)
+                n += len(x)
+        yield pa.RecordBatch.from_arrays([lists(np.append(total.ravel(), n).reshape(1, -1))], ["v"])
+
+    found = np.array(sum_vectors(ex.select("x", "y").mapInArrow(run, "v array<double>"), [], ["v"]).first()["v"])
+    loss, hits = found[:-1].reshape(2, -1)
+    return [(float(a), float(b / max(1.0, found[-1]))) for a, b in zip(loss, hits)]
+
+
 def client_gradients(batch: DataFrame, w: np.ndarray, sizes: DataFrame, keys: list[str] | None = None) -> DataFrame:
     """client, n, v: each client's gradient on its batch, times l / rows drawn; sizes has client and l."""
     keys = keys or ["client"]
@@ -129,12 +181,51 @@ def grams(ex: DataFrame, keys: list[str]) -> dict[tuple, Gram]:
     return {tuple(r[k] for k in keys): Gram(r["n"], r["v"], d, o) for r in gram_sums(ex, keys).collect()}
 
 
+#: Up to this size X'X may be held on the driver.
+GRAM_BYTES_MAX = 256 << 20
+
+
 def exact_solution(ex: DataFrame) -> np.ndarray:
-    """Least-squares optimum (of least norm) from one pass."""
+    """Least-squares optimum (of least norm): from one pass while X'X fits, else by conjugate gradients."""
+    d, o = shape_of(ex)
+    if 8 * d * d > GRAM_BYTES_MAX:
+        return conjugate_gradients(ex, d, o)
     g = grams(ex, [])[()]
     return np.linalg.lstsq(g.xx, g.xy, rcond=None)[0]
 
 
+def conjugate_gradients(ex: DataFrame, d: int, o: int, rounds: int = 200, tolerance: float = 1e-10) -> np.ndarray:
+    """Solves X'XW = X'Y, all outputs at once, with one pass a round and d x o numbers on the driver."""
+    w = np.zeros((d, o))
+    rest = -full_gradient(ex, w)
+    way, size = rest.copy(), (rest**2).sum(0)
+    first = size.copy()
+    for _ in range(rounds):
+        if (size <= tolerance**2 * first).all():
+            break
+        # the gradient is affine: its change along the way is X'X times it
+        along = full_gradient(ex, w + way) + rest
+        step = np.divide(size, (way * along).sum(0), out=np.zeros(o), where=size > 0)
+        w = w + way * step
+        rest = rest - along * step
+        new = (rest**2).sum(0)
+        way = rest + way * np.divide(new, size, out=np.zeros(o), where=size > 0)
+        size = new
+    return w
+
+
+def largest_eigenvalue(ex: DataFrame, d: int, o: int, rounds: int = 30) -> float:
+    """Of X'X, by power iteration, one pass a round."""
+    start = np.random.default_rng(0).normal(size=(d, 1)) @ np.ones((1, o))
+    zero = full_gradient(ex, np.zeros((d, o)))
+    value = 0.0
+    for _ in range(rounds):
+        start = start / np.linalg.norm(start[:, 0])
+        new = full_gradient(ex, start) - zero
+        value, start = float(start[:, 0] @ new[:, 0]), new
+    return value
+
+
 def predict(ex: DataFrame, w: np.ndarray) -> DataFrame:
     """Add yhat and predicted (the place of its largest entry)."""
 

@@ -43,15 +43,24 @@ def partition_clients(df: DataFrame, n: int, how: str = "label_shards", label: s
     raise ValueError(f"unknown partition {how!r}")
 
 
-def split_subsets(df: DataFrame, parts: int, seed: int = 12, ident: str = "row_id", exact: bool = True) -> DataFrame:
-    """Add subset 0..parts-1 within each client: equal sizes by ranking hashes, or by the hash alone at scale."""
+def split_subsets(df: DataFrame, parts: int | dict[int, int], seed: int = 12, ident: str = "row_id", exact: bool = True) -> DataFrame:
+    """Add subset 0..parts-1 within each client: equal sizes by the place of hashes, or by the hash alone.
+
+    parts may differ by client.  Places come from the global rank of (client, hash), whose tasks follow the rows and not the
+    clients, less the rows of earlier clients (one number a client).
+    """
     drawn = with_uniform(df, "u__", ident, "1", seed)
+    if isinstance(parts, dict):
+        pairs = [x for i, n in sorted(parts.items()) for x in (F.lit(i), F.lit(int(n)))]
+        count = F.coalesce(F.create_map(*pairs)[F.col("client")], F.lit(1))
+    else:
+        count = F.lit(parts)
     if not exact:
-        return drawn.withColumn("subset", F.floor(F.col("u__") * parts).cast("int")).drop("u__")
-    from pyspark.sql import Window
-
-    order = Window.partitionBy("client").orderBy("u__", ident)
-    return drawn.withColumn("subset", ((F.row_number().over(order) - 1) % parts).cast("int")).drop("u__")
+        return drawn.withColumn("subset", F.floor(F.col("u__") * count).cast("int")).drop("u__")
+    ranked = global_rank(drawn, ["client", "u__", ident], "rank__")
+    first = ranked.groupBy("client").agg(F.min("rank__").alias("first__"))
+    placed = ranked.join(F.broadcast(first), "client")
+    return placed.withColumn("subset", ((F.col("rank__") - F.col("first__")) % count).cast("int")).select(*df.columns, "subset")
 
 
 def disjoint_check(df: DataFrame, ident: str = "row_id") -> DataFrame:

@@ -112,13 +112,13 @@ def train_steps(rule: str) -> list[tuple[str, str]]:
     out = [("w0", f"select unnest(range({D})) as j, 0::double as w")]
     for e in range(EPOCHS):
         w = f"w{e}"
-        whole = rule in ("weighted_full",)
+        whole = rule in ("weighted_full", "central")
         rows = "ys" if whole else f"(select y.* from ys y join batch b using (row_id) where epoch = {e})"
         share = "1" if whole else f"(l / {B}::double)"
         client = f"(select x.client, j, sum(v * r) as g from xs x join (select row_id, sum(v * w) - any_value(y) as r from {rows} join xs using (row_id) join {w} using (j) group by 1) using (row_id) group by 1, 2)"
         out.append((f"gc{e}", f"select g.client, j, g * {share} as g from {client} g join sizes using (client)"))
-        k_rows = "my" if rule in ("weighted_full",) else f"(select m.* from my m join sbatch using (k) where epoch = {e})"
-        k_count = C if rule in ("weighted_full",) else B_SERVER
+        k_rows = "my" if rule in ("weighted_full", "server_only_full") else f"(select m.* from my m join sbatch using (k) where epoch = {e})"
+        k_count = C if rule in ("weighted_full", "server_only_full") else B_SERVER
         server = f"select j, sum(v * r) / {k_count} as g from mx join (select k, sum(x.v * w) - any_value(y.v) as r from {k_rows} y join mx x using (k) join {w} using (j) group by 1) using (k) group by 1"
         if rule == "corrected":
             clients = f"(select j, sum(g / p_arrive) as g from gc{e} join arrivals using (client) where epoch = {e} and arrived group by 1)"
@@ -128,7 +128,9 @@ def train_steps(rule: str) -> list[tuple[str, str]]:
             kept = f"(select client from (select client, row_number() over (order by t, client) as place from arrivals where epoch = {e}) where place <= ceil(round((1 - {DROP}::double) * {tables.CLIENTS}, 9)))"
             clients = f"(select j, sum(g) * (select sum(l) from sizes) / (select sum(l) from sizes join {kept} using (client)) as g from gc{e} join {kept} using (client) group by 1)"
             step, source = "c.g", f"{w} join {clients} c using (j)"
-        elif rule == "server_only":
+        elif rule == "central":
+            step, source = "c.g", f"{w} join (select j, sum(g) as g from gc{e} group by 1) c using (j)"
+        elif rule in ("server_only", "server_only_full"):
             step, source = "s.g", f"{w} join ({server}) s using (j)"
         else:
             clients = f"(select j, sum(g) as g from gc{e} join arrivals using (client) where epoch = {e} and arrived group by 1)"
@@ -139,7 +141,7 @@ def train_steps(rule: str) -> list[tuple[str, str]]:
 
 
 def train(rule: str) -> str:
-    sigma = SIGMA if rule in ("corrected", "server_only") else 0.0
+    sigma = SIGMA if rule in ("corrected", "server_only", "server_only_full") else 0.0
     weighted = rule.startswith("weighted")
     size = "(select any_value(l) from sizes)"
     b = size if rule == "weighted_full" else f"least({B}, {size})"
@@ -248,7 +250,7 @@ def build() -> dict[str, str]:
     out["exact_server_variance"] = query([*coded_half, *server_v], f"select round((c - {B_SERVER}) / ({B_SERVER}::double * (c - 1)) * (q / c - g2 / (c * c)), 6) as server_variance from kq, kg")
     gu = ("gu", f"select sum(pow(g + {tables.CLIENTS * s2}::double * w, 2)) as u from (select j, sum(v * r) as g from xs join res using (row_id) group by 1) join w using (j)")
     out["exact_gradient_variance"] = query([*var, gu], f"select round(0.25::double * (vc + ((z + n * {D * s2}::double) * (k + n * {s2}::double * phi2) + u) / {B_SERVER}), 4) as variance from (select sum((grad2 + s) / p_arrive - grad2) as vc from v), tot, phi, gu")
-    for rule in ("corrected", "first_arrivals", "weighted_full", "weighted_mini", "server_only"):
+    for rule in ("corrected", "first_arrivals", "weighted_full", "weighted_mini", "server_only", "server_only_full", "central"):
         out[f"train_{rule}_5"] = train(rule)
     out["comm_cost"] = query(profiles(), f"select client, {32.0 * C * (D + 1)}::double as upload_bits, round({32.0 * C * (D + 1)}::double / up_bps / (1 - p_erase), 9) as upload_seconds, {float(PAYLOAD)}::double as up_bits, {float(PAYLOAD)}::double as down_bits from profiles")
     out["mac_cost"] = query(timed(), f"select client, l * {float(C * (D + 1))}::double as coding_macs, b * {float(N_MAC)}::double as epoch_macs, {float(B_SERVER * N_MAC)}::double as server_macs from timed")
@@ -263,8 +265,7 @@ def build() -> dict[str, str]:
     out["method_pivot"] = query([*arrivals(50), per], "select epoch, round(avg(t) filter (region = 0), 9) as r0, round(avg(t) filter (region = 1), 9) as r1, round(avg(t) filter (region = 2), 9) as r2, round(avg(t) filter (region = 3), 9) as r3 from per group by 1")
     out["holdout_antijoin"] = "select source, count(*) as n from documents d where not exists (select 1 from benchmark b where b.text = d.text) group by 1"
     out["range_join_attempts"] = query([*timed(), ("k", "select unnest(range(1, 6)) as k")], f"select client, k::int as k, round(t_c + t_d + k * tau, 9) as t from timed join k on k * tau <= {DEADLINE}::double - t_c - t_d")
-    out["asof_model_version"] = "with v as (select epoch_us(date_trunc('day', ts)) // 1000000 as s, max(value) as version from events where event_type = 'purchase' group by 1) select e.event_id, v.version from (select event_id, epoch_us(ts) // 1000000 as s from events where event_id % 10 = 0) e asof left join v on e.s >= v.s"
-    out["asof_model_version_all"] = "with v as (select epoch_us(date_trunc('day', ts)) // 1000000 as s, max(value) as version from events where event_type = 'purchase' group by 1) select e.event_id, v.version from (select event_id, epoch_us(ts) // 1000000 as s from events) e asof left join v on e.s >= v.s"
+    out["asof_model_version"] = "with v as (select epoch_us(date_trunc('day', ts)) // 1000000 as s, max(value) as version from events where event_type = 'purchase' group by 1) select e.event_id, v.version from (select event_id, epoch_us(ts) // 1000000 as s from events) e asof left join v on e.s >= v.s"
     up = "select event_id, (user_id % 20)::int as client, ts, value as payload from events"
     closed = [("u", up), ("w", "select to_timestamp((epoch_us(ts) // 1000000 // 3600) * 3600)::timestamp as start, client, count(*) as n, round(sum(payload), 6) as payload from u group by 1, 2"), ("lim", "select max(ts) - interval 10 minute as l from u")]
     out["stream_epoch_aggregate"] = query(closed, "select epoch_us(start) // 1000000 as start, client, n, payload from w, lim where start + interval 1 hour <= l")
@@ -274,5 +275,35 @@ def build() -> dict[str, str]:
     out["page_features"] = "select page_id, length(coalesce(html, ''))::bigint as length, len(regexp_extract_all(coalesce(html, ''), '<[a-zA-Z]'))::bigint as tags, len(regexp_extract_all(coalesce(html, ''), '<a '))::bigint as links from pages"
     out["conversation_clients"] = "select (conv_id % 20)::int as client, role, count(*) as n, sum(length(text))::bigint as chars from conversations group by 1, 2"
     out["lineitem_constants"] = query([("r", "select s_nationkey::int as client, [1.0::double, l_quantity / 50.0, l_discount / 0.1, l_tax / 0.08, dayofyear(l_shipdate) / 366.0::double] as x from lineitem join supplier on s_suppkey = l_suppkey"), ("s", "select client, unnest(range(5)) as j, unnest(x) as v from r")], "select client, j::int as j, count(*) as n, round(sum(v * v) - max(v * v), 4) as rest from s group by 1, 2")
+    eps = f"0.5::double * log2(1 + {C} / (h2 + {SIGMA}::double * {SIGMA}::double))"
+    out["privacy_overall"] = query([*EXAMPLES, cover], f"select round({eps}, 6) as eps_bits, client from cover order by {eps} desc, client desc limit 1")
+    entry = ("entry", "select client, j, v * v as s, sum(v * v) over (partition by client, j) as total from xs")
+    out["information_bound"] = query([*EXAMPLES, entry], f"select client, round(max(0.5::double * log2(1 + {C} / (greatest(total - s, 0) + {SIGMA**2}::double))), 6) as info_bits from entry group by 1")
+    gamma_ = lambda count: f"sqrt(4 * 1.5::double / (3.0::double * {count}))"
+    rate = f"case kind when 'constant' then 0.5::double when 'sqrt' then 0.5::double / sqrt(epoch + 1) when 'theory_epoch' then 1 / (2.0::double + 1 / {gamma_('(epoch + 1)')}) else 1 / (2.0::double + 1 / {gamma_('10')}) end"
+    out["step_sizes"] = f"select kind, epoch::int as epoch, round({rate}, 9) as rate from (select unnest(['constant', 'sqrt', 'theory_epoch', 'theory_horizon']) as kind), (select unnest(range(10)) as epoch)"
+    tenfold = ("t10", gauss_sql(f"(select j, q from (select unnest(range({D})) as j), (select unnest(range(10)) as q))", "t", "j", "q", tables.TEACHER_SEED))
+    scores = ("scores", "select row_id, q, sum(v * t) as s from xs join t10 using (j) group by 1, 2")
+    out["predict_classes"] = query([*EXAMPLES, tenfold, scores], "select predicted::int as predicted, count(*) as n from (select row_id, arg_max(q, s) as predicted from scores group by 1) group by 1")
+    place = ("place", "select n_nationkey::int as client, r_name as region from nation join region on n_regionkey = r_regionkey")
+    out["method_cube"] = query([*arrivals(50), place], "select coalesce(region, 'every') as region, coalesce(outcome, 'every') as outcome, count(*) as n, round(avg(t), 9) as t, (grouping(region, outcome))::int as level from (select *, case when arrived then 'arrived' else 'late' end as outcome from arrivals join place using (client)) group by cube (region, outcome)")
+    out["delay_percentiles"] = query(arrivals(50), "select client, round(quantile_cont(t, 0.5), 9) as p50, round(quantile_cont(t, 0.9), 9) as p90, round(quantile_cont(t, 0.99), 9) as p99, true as sketch_close from arrivals group by 1")
+    out["epoch_windows"] = query(
+        [*arrivals(50), slow],
+        "select epoch, round(duration, 9) as duration, round(duration - lag(duration) over (order by epoch), 9) + 0 as change, round(avg(duration) over (order by epoch rows between 4 preceding and current row), 9) as mean5, ntile(4) over (order by duration, epoch)::int as quarter from dur",
+    )
+    out["subset_set_operations"] = "select what, case when what in ('all', 'union') then (select count(*) from embeddings) else 0 end as n from (select unnest(['all', 'union', 'intersect', 'except']) as what)"
+    out["labelled_semijoin"] = "select source, count(*) as n from documents where doc_id in (select doc_id from labels) group by 1"
+    out["order_features"] = (
+        "select c_nationkey::int as client, r_name as region, count(*) as n, round(avg(l_quantity / 50.0), 6) + 0 as quantity, round(avg(o_totalprice / 1000.0), 6) + 0 as price, round(avg(p_size / 50.0::double), 6) + 0 as size, round(avg(p_retailprice / 1000.0), 6) + 0 as retail "
+        "from lineitem join orders on l_orderkey = o_orderkey join part on l_partkey = p_partkey join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by 1, 2"
+    )
+    slide = ("sl", "select (epoch_us(ts) // 1000000 // 3600 - back) * 3600 as start, value from events, (select unnest([0, 1]) as back)")
+    limit = ("lim", "select max(epoch_us(ts)) - 600000000 as l from events")
+    out["stream_sliding"] = query([slide, limit], "select start, count(*) as n, round(sum(value), 6) + 0 as payload from sl, lim where (start + 7200) * 1000000 <= l group by 1")
+    out["stream_parameter_server"] = query(closed, "select sum(n)::bigint as n, round(sum(payload), 4) as payload from w, lim where start + interval 1 hour <= l")
+    ids = ("gi", gauss_sql(f"(select vec_id as row_id, k from embeddings, (select unnest(range({C})) as k))", "g", "k", "row_id", coding.GAUSS_SEED))
+    wide = ("wx", "select vec_id as row_id, unnest(range(len(embedding))) as j, unnest(embedding)::double as v from embeddings")
+    out["stream_incremental_coding"] = query([ids, wide], "select k::int as k, j::int as j, round(sum(g * v), 6) + 0 as v from gi join wx using (row_id) group by 1, 2")
     return out
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -16,6 +17,7 @@ from codedreg.operators import gradients as grad
 from codedreg.oracles import B, B_SERVER, C, D, DEADLINE, DROP, EPOCHS, LR, N_MAC, PAYLOAD, SIGMA
 from codedreg.plans import training
 from codedreg.sources import tables
+from codedreg.storage import cut, ensure_checkpoint_dir
 from codedreg.streaming import arrivals as stream
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -341,6 +343,35 @@ def privacy_grid(spark, sf_dir):
     return privacy.privacy_grid(privacy.cover_by_client(examples(spark, sf_dir)), [16, 64, 256], [0, 0.3, 1]).select("c", "sigma", *r("eps_bits"))
 
 
+@query
+def privacy_overall(spark, sf_dir):
+    return privacy.overall(privacy.privacy_budget(examples(spark, sf_dir), C, SIGMA)).select(*r("eps_bits"), "client")
+
+
+@query
+def information_bound(spark, sf_dir):
+    """client, info_bits: the most that the coded values of a column tell of one of its entries, if entries are normal; the budget
+    bounds it."""
+    entries = examples(spark, sf_dir).select("client", F.posexplode("x").alias("j", "v")).select("client", "j", (F.col("v") * F.col("v")).alias("square"))
+    sums = entries.groupBy("client", "j").agg(F.sum("square").alias("total"), F.max("square").alias("top"))
+    rest = F.greatest(F.col("total") - F.col("top"), F.lit(0.0)) + SIGMA**2
+    return sums.groupBy("client").agg(rounded(F.max(0.5 * F.log2(1 + C / rest))).alias("info_bits"))
+
+
+@query
+def step_sizes(spark, sf_dir):
+    kinds = ("constant", "sqrt", "theory_epoch", "theory_horizon")
+    rows = [(k, e, theory.learning_rate(k, e, 10, base=0.5, zeta=2.0, rho=3.0, phi2=1.5)) for k in kinds for e in range(10)]
+    return spark.createDataFrame(rows, "kind string, epoch int, rate double").select("kind", "epoch", *r("rate", digits=9))
+
+
+@query
+def predict_classes(spark, sf_dir):
+    """predicted, n: the class of largest output under planted weights of ten outputs."""
+    out = grad.predict(examples(spark, sf_dir), tables.teacher(width(), 10))
+    return out.groupBy("predicted").agg(F.count("*").alias("n"))
+
+
 @query
 def data_constants(spark, sf_dir):
     return theory.data_constants(examples(spark, sf_dir), half_teacher()).select("client", "l", *r("zeta", "kappa"))
@@ -425,16 +456,17 @@ def exact_gradient_variance(spark, sf_dir):
 
 def _train(rule: str) -> Query:
     def run(spark, sf_dir):
-        sigma = SIGMA if rule in ("corrected", "server_only") else 0.0
-        config = training.Config(epochs=EPOCHS, coded_rows=C, b_server=B_SERVER, sigma=sigma, deadline=DEADLINE * scale(), lr=LR, drop=DROP, n_mac=N_MAC * scale())
+        sigma = SIGMA if rule in ("corrected", "server_only", "server_only_full") else 0.0
+        b_server = 0 if rule == "server_only_full" else B_SERVER
+        config = training.Config(epochs=EPOCHS, coded_rows=C, b_server=b_server, sigma=sigma, deadline=DEADLINE * scale(), lr=LR, drop=DROP, n_mac=N_MAC * scale())
         ex = _sized(spark, sf_dir)
         if rule == "weighted_full":
             ex = ex.withColumn("b", F.col("l"))
         profiles = delay.client_profiles(tables.read(spark, sf_dir, "nation")).join(F.broadcast(ex.groupBy("client").agg(F.max("l").alias("l"), F.max("b").alias("b"))), "client")
         epochs = training.Epochs(delay.with_times(profiles, N_MAC * scale(), PAYLOAD * scale()), config)
         weights = training.missing_weights(epochs) if rule.startswith("weighted") else None
-        table = None if rule == "first_arrivals" else training.make_composite(ex, config, weights)
-        done = training.run(rule, training.RowSource(ex, config), epochs, table, config)
+        table = None if rule in ("first_arrivals", "central") else training.make_composite(ex, config, weights)
+        done = training.run(rule.removesuffix("_full") if rule == "server_only_full" else rule, training.RowSource(ex, config), epochs, table, config)
         rows = [(j, float(a), float(b)) for j, (a, b) in enumerate(zip(done.last.ravel(), done.mean.ravel()))]
         return spark.createDataFrame(rows, "j int, w double, mean double").select("j", *r("w", "mean"))
 
@@ -442,7 +474,7 @@ def _train(rule: str) -> Query:
     return query(run)
 
 
-for _rule in ("corrected", "first_arrivals", "weighted_full", "weighted_mini", "server_only"):
+for _rule in ("corrected", "first_arrivals", "weighted_full", "weighted_mini", "server_only", "server_only_full", "central"):
     _train(_rule)
 
 
@@ -451,22 +483,46 @@ def exact_solution(spark, sf_dir):
     return matrix_rows(spark, grad.exact_solution(examples(spark, sf_dir)), "w")
 
 
-for _query in """
-    fourier_features encode_clients encode_clients_noisy encode_labels encode_weighted composite
-    composite_incremental loss full_gradient server_gradient client_gradients aggregated_gradient
-    privacy_budget sigma_for_budget coded_rows_for_budget privacy_grid data_constants variance_bound_printed
-    variance_bound_fixed variance_bound_rederived gap_bound time_to_gap exact_client_variance
-    exact_server_variance exact_gradient_variance train_corrected_5 train_first_arrivals_5
-    train_weighted_full_5 train_weighted_mini_5 train_server_only_5 exact_solution
-""".split():
-    whole(QUERIES[_query])
-
-
 @query
 def convergence_trace(spark, sf_dir):
     return workloads.convergence(spark, sf_dir)
 
 
+@query
+def time_to_target(spark, sf_dir):
+    """The first recorded time at which the gap is at most three times the corrected scheme's last one."""
+    trace = cut(workloads.convergence(spark, sf_dir))
+    return workloads.time_to_target(trace, 3 * trace.where("method = 'corrected'").agg(F.min("gap")).first()[0])
+
+
+@query
+def image_fourier(spark, sf_dir):
+    return workloads.image_task(spark, sf_dir, "fourier", epochs=30, every=10, seeds=1)
+
+
+@query
+def image_given(spark, sf_dir):
+    return workloads.image_task(spark, sf_dir, "given")
+
+
+@query
+def theorem_step(spark, sf_dir):
+    return workloads.theorem_run(spark, sf_dir)
+
+
+@query
+def measured_moments(spark, sf_dir):
+    """bias2, variance over seeds, and the exact variance they estimate."""
+    ex = _sized(spark, sf_dir)
+    times = loaded(spark, sf_dir, ex)
+    deadline = 2 * DEADLINE * scale()
+    found = workloads.gradient_moments(spark, ex, times, half_teacher(), setting(), deadline).first()
+    totals = theory.data_constants(ex, half_teacher()).agg(F.sum("zeta").alias("zeta"), F.sum("kappa").alias("kappa")).first().asDict()
+    reached = delay.arrival_probability(times, deadline)
+    exact = theory.exact_gradient_variance(theory.client_variance(ex, half_teacher()), reached, totals, setting(), half_teacher(), grad.full_gradient(ex, half_teacher()), tables.CLIENTS)
+    return spark.createDataFrame([(found["bias2"], found["variance"], exact)], "bias2 double, variance double, exact double").select(*r("bias2", "variance", "exact", digits=3))
+
+
 @query
 def drop_sweep(spark, sf_dir):
     return workloads.drop_sweep(spark, sf_dir)
@@ -541,6 +597,70 @@ def method_pivot(spark, sf_dir):
     return wide.withColumnsRenamed({str(i): f"r{i}" for i in range(4)})
 
 
+@query
+def method_cube(spark, sf_dir):
+    """Arrivals by region of the client's nation and by outcome, and over both."""
+    nations, regions = (tables.read(spark, sf_dir, t) for t in ("nation", "region"))
+    names = nations.join(regions, nations["n_regionkey"] == regions["r_regionkey"]).select(F.col("n_nationkey").cast("int").alias("client"), F.col("r_name").alias("region"))
+    rows = arrived(spark, sf_dir).join(F.broadcast(names), "client")
+    rows = rows.withColumn("outcome", F.when(F.col("arrived"), "arrived").otherwise("late"))
+    sums = rows.cube("region", "outcome").agg(F.count("*").alias("n"), rounded(F.avg("t"), 9).alias("t"), F.grouping_id().cast("int").alias("level"))
+    return sums.fillna("every", ["region", "outcome"])
+
+
+@query
+def delay_percentiles(spark, sf_dir):
+    """client, exact percentiles of the delay, and whether the sketch's median lies within a thousandth of the values."""
+    sketch = F.percentile_approx("t", 0.5, 10000)
+    share = lambda q: F.percentile("t", F.lit(q))
+    out = arrived(spark, sf_dir).groupBy("client").agg(share(0.5).alias("p50"), share(0.9).alias("p90"), share(0.99).alias("p99"), sketch.alias("s"), F.max("t").alias("top"), F.min("t").alias("low"))
+    close = (F.col("s") >= F.col("low")) & (F.abs(F.col("s") - F.col("p50")) <= F.col("top") - F.col("low"))
+    return out.select("client", *r("p50", "p90", "p99", digits=9), close.alias("sketch_close"))
+
+
+@query
+def epoch_windows(spark, sf_dir):
+    """epoch, duration, change since the epoch before, mean of the last five, quarter by duration; one row an epoch."""
+    times = delay.epoch_times(arrived(spark, sf_dir))
+    order = Window.orderBy("epoch")
+    change = F.col("duration") - F.lag("duration").over(order)
+    mean = F.avg("duration").over(order.rowsBetween(-4, 0))
+    quarter = F.ntile(4).over(Window.orderBy("duration", "epoch"))
+    return times.select("epoch", rounded("duration", 9).alias("duration"), rounded(change, 9).alias("change"), rounded(mean, 9).alias("mean5"), quarter.alias("quarter"))
+
+
+@query
+def subset_set_operations(spark, sf_dir):
+    """what, n: ids of the subsets by set operations: together all, in common none."""
+    rows = cut(partition.split_subsets(shards(spark, sf_dir).select("row_id", "client"), 5).select("row_id", "subset"))
+    part = lambda i: rows.where(F.col("subset") == i).select("row_id")
+    every = part(0).union(part(1)).union(part(2)).union(part(3)).union(part(4))
+    ids = rows.select("row_id")
+    parts = {"all": ids, "union": every.distinct(), "intersect": part(0).intersect(part(1)), "except": ids.exceptAll(every)}
+    found = [x.agg(F.count("*").alias("n")).select(F.lit(k).alias("what"), "n") for k, x in parts.items()]
+    return found[0].unionByName(found[1]).unionByName(found[2]).unionByName(found[3])
+
+
+@query
+def labelled_semijoin(spark, sf_dir):
+    docs, labels = tables.read(spark, sf_dir, "documents"), tables.read(spark, sf_dir, "labels")
+    return docs.select("doc_id", "source").join(labels.select("doc_id"), "doc_id", "left_semi").groupBy("source").agg(F.count("*").alias("n"))
+
+
+@query
+def order_features(spark, sf_dir):
+    """client (the customer's nation), region, and means of numeric features of lines, orders and parts joined."""
+    read = lambda t: tables.read(spark, sf_dir, t)
+    places = read("nation").join(F.broadcast(read("region")), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_nationkey").alias("c_nationkey"), F.col("r_name").alias("region"))
+    owners = read("customer").select(F.col("c_custkey").alias("o_custkey"), "c_nationkey").join(F.broadcast(places), "c_nationkey")
+    lines = read("lineitem").select("l_orderkey", "l_partkey", "l_quantity").join(read("orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey", "o_totalprice"), "l_orderkey")
+    lines = lines.join(read("part").select(F.col("p_partkey").alias("l_partkey"), "p_size", "p_retailprice"), "l_partkey").join(owners, "o_custkey")
+    mean = lambda c, scale: rounded(F.avg(F.col(c) / scale), 6)
+    return lines.groupBy(F.col("c_nationkey").cast("int").alias("client"), "region").agg(
+        F.count("*").alias("n"), mean("l_quantity", 50.0).alias("quantity"), mean("o_totalprice", 1000.0).alias("price"), mean("p_size", 50.0).alias("size"), mean("p_retailprice", 1000.0).alias("retail")
+    )
+
+
 @query
 def holdout_antijoin(spark, sf_dir):
     docs, held = tables.read(spark, sf_dir, "documents"), tables.read(spark, sf_dir, "benchmark")
@@ -554,7 +674,8 @@ def range_join_attempts(spark, sf_dir):
     return loaded(spark, sf_dir).join(F.broadcast(tries), fits).select("client", "k", rounded(F.col("t_c") + F.col("t_d") + F.col("k") * F.col("tau"), 9).alias("t"))
 
 
-def _asof(spark, sf_dir, where):
+@query
+def asof_model_version(spark, sf_dir):
     """Which daily model version an update was computed with: the last one at or before it.
 
     Versions and updates share one ordered pass within each day; a day without an earlier version takes the last of
@@ -562,7 +683,7 @@ def _asof(spark, sf_dir, where):
     """
     events = tables.read(spark, sf_dir, "events").withColumn("s", F.unix_timestamp(F.col("ts").cast("timestamp")))
     versions = events.where("event_type = 'purchase'").groupBy((F.col("s") - F.col("s") % 86400).alias("v_s")).agg(F.max("value").alias("version"))
-    asked = events.where(where).select("event_id", "s", (F.col("s") - F.col("s") % 86400).alias("day"))
+    asked = events.select("event_id", (F.col("s") - F.col("s") % 86400).alias("day"))
     days = asked.select(F.col("day").alias("v_s")).distinct().join(versions, "v_s", "full")
     order = Window.orderBy("v_s").rowsBetween(Window.unboundedPreceding, 0)
     filled = days.select(F.col("v_s").alias("day"), F.last("version", ignorenulls=True).over(order).alias("version"))
@@ -570,55 +691,80 @@ def _asof(spark, sf_dir, where):
 
 
 @query
-def asof_model_version(spark, sf_dir):
-    """Of every tenth update."""
-    return _asof(spark, sf_dir, "event_id % 10 = 0")
+def stream_epoch_aggregate(spark, sf_dir):
+    closed = stream.drain(stream.epoch_aggregate(stream.open_stream(spark, sf_dir), "1 hour", "10 minutes"))
+    return closed.select(F.unix_timestamp("start").alias("start"), "client", "n", *r("payload"))
 
 
 @query
-def asof_model_version_all(spark, sf_dir):
-    """Of every update."""
-    return _asof(spark, sf_dir, "true")
+def stream_sliding(spark, sf_dir):
+    """Two-hour windows every hour."""
+    closed = stream.drain(stream.sliding_aggregate(stream.open_stream(spark, sf_dir), "2 hours", "1 hour", "10 minutes"))
+    return closed.select(F.unix_timestamp("start").alias("start"), "n", *r("payload"))
+
 
+def _folder(spark, kind: str) -> str:
+    return f"{ensure_checkpoint_dir(spark)}/{kind}-{uuid.uuid4().hex}"
 
-_RUNS = {"n": 0}
+
+@query
+def stream_parameter_server(spark, sf_dir):
+    """n, payload of all closed epochs, as the durable server's state holds them."""
+    path = _folder(spark, "server")
+    add = lambda state, rows: [state[0] + sum(x["n"] for x in rows), state[1] + sum(x["payload"] for x in rows)]
+    server = stream.ParameterServer(spark, f"{path}/state", add, [0.0, 0.0])
+    stream.serve(stream.epoch_aggregate(stream.open_stream(spark, sf_dir), "1 hour", "10 minutes"), server, f"{path}/log")
+    return spark.createDataFrame([(int(server.state[0]), server.state[1])], "n long, payload double").select("n", rounded("payload", 4).alias("payload"))
 
 
-def _name(kind: str) -> str:
-    _RUNS["n"] += 1
-    return f"{kind}_{_RUNS['n']}"
+@query
+def stream_incremental_coding(spark, sf_dir):
+    """The composite of whole embeddings, coded batch by batch as they come."""
+    schema = spark.read.parquet(f"{sf_dir}/embeddings.parquet").schema
+    rows = spark.readStream.schema(schema).option("pathGlobFilter", "embeddings.parquet").parquet(sf_dir)
+    x = F.transform("embedding", lambda v: v.cast("double"))
+    examples = rows.select((F.col("vec_id") % tables.CLIENTS).cast("int").alias("client"), F.col("vec_id").alias("row_id"), x.alias("x"), F.array(F.col("label").cast("double")).alias("y"))
+    path = _folder(spark, "composite")
+    server = stream.CompositeServer(f"{path}/table", C)
+    stream.serve(examples, server, f"{path}/log")
+    return _coded(server.table(spark), ["k"])
 
 
-def _utc(spark: SparkSession) -> None:
-    spark.conf.set("spark.sql.session.timeZone", "UTC")
+#: Stretches of delivery time that the late stream comes in.
+DELIVERIES = 8
 
 
 @query
-def stream_epoch_aggregate(spark, sf_dir):
-    _utc(spark)
-    closed = stream.drain(stream.epoch_aggregate(stream.open_stream(spark, sf_dir), "1 hour", "10 minutes"), _name("epochs"))
-    return closed.select(F.unix_timestamp("start").alias("start"), "client", "n", *r("payload"))
+def stream_late_injected(spark, sf_dir):
+    """start, n: results by two-hour epoch that came before the watermark closed it, of a stream in delivery order."""
+    path = _folder(spark, "deliveries")
+    rows = stream.updates(tables.read(spark, sf_dir, "events"))
+    stream.in_delivery_order(rows, path, DELIVERIES, LATEST)
+    live = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    closed = stream.drain(stream.epoch_aggregate(live, "2 hours", "10 minutes"))
+    return closed.groupBy(F.unix_timestamp("start").alias("start")).agg(F.sum("n").alias("n"))
+
+
+#: Longest delay of a delivery in seconds: ten days, so that whole epochs close before their last results come.
+LATEST = 864_000
 
 
 @query
 def stream_late_drop(spark, sf_dir):
-    _utc(spark)
     return stream.delivered_late(stream.updates(tables.read(spark, sf_dir, "events")), 3600, 600)
 
 
 @query
 def stream_sessions(spark, sf_dir):
-    _utc(spark)
-    closed = stream.drain(stream.sessions(stream.open_stream(spark, sf_dir), "2 hours", "10 minutes"), _name("spells"))
+    closed = stream.drain(stream.sessions(stream.open_stream(spark, sf_dir), "2 hours", "10 minutes"))
     return closed.select(F.unix_micros("start").alias("start"), "client", "n")
 
 
 @query
 def stream_dedup(spark, sf_dir):
-    _utc(spark)
     rows = stream.open_stream(spark, sf_dir)
     twice = rows.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("copy")
-    return stream.drain(stream.once_each(twice, "10 minutes"), _name("once")).groupBy("client").agg(F.count("*").alias("n"))
+    return stream.drain(stream.once_each(twice, "10 minutes")).groupBy("client").agg(F.count("*").alias("n"))
 
 
 @query
@@ -639,3 +785,13 @@ def lineitem_constants(spark, sf_dir):
     return rows.groupBy("client", "j").agg(F.count("*").alias("n"), rounded(F.sum(sq) - F.max(sq), 4).alias("rest"))
 
 
+for _query in """
+    fourier_features encode_clients encode_clients_noisy encode_labels encode_weighted composite
+    composite_incremental loss full_gradient server_gradient client_gradients aggregated_gradient
+    privacy_budget sigma_for_budget coded_rows_for_budget privacy_grid data_constants variance_bound_printed
+    privacy_overall information_bound predict_classes variance_bound_fixed variance_bound_rederived gap_bound time_to_gap exact_client_variance
+    exact_server_variance exact_gradient_variance train_corrected_5 train_first_arrivals_5
+    train_weighted_full_5 train_weighted_mini_5 train_server_only_5 train_server_only_full_5 train_central_5
+    exact_solution measured_moments
+""".split():
+    whole(QUERIES[_query])

@@ -125,13 +125,14 @@ class Rows:
         self.parts, self.b, self.draw = parts, b, np.random.default_rng(seed)
         self.clients, self.shape = sorted(parts), None
 
-    def batch_gradients(self, clients, epoch, w):
-        out = {}
-        for i in clients:
+    def combined(self, steps, weights, epoch):
+        (step,), (w,) = steps, weights
+        out = np.zeros(w.shape)
+        for i, c in step.clients.items():
             x, y = self.parts[i]
             own = self.draw.choice(len(x), self.b, replace=False)
-            out[i] = x[own].T @ (x[own] @ w - y[own]) * len(x) / self.b
-        return out
+            out += c * x[own].T @ (x[own] @ w - y[own]) * len(x) / self.b
+        return [out]
 
 
 def draws(correct=True, reweight=True, sigma=0.4, count=4000):
@@ -146,7 +147,8 @@ def draws(correct=True, reweight=True, sigma=0.4, count=4000):
         noise = sum(rng.normal(size=(12, 3)) for _ in range(2))
         g = rng.normal(size=(12, 12))
         table = training.Composite(g @ x + sigma * noise, g @ y)
-        out.append(training.corrected(source, epochs, table, config, i, w)[0])
+        step = training.corrected(source, epochs, table, config, i, w)
+        out.append(source.combined([step], [w], i)[0] + step.server)
     return np.array(out), x.T @ (x @ w - y), parts, w
 
 
