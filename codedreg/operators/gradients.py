@@ -87,8 +87,8 @@ def weighted_gradients(ex: DataFrame, weights: list[np.ndarray], coefficients: l
     if not clients:
         return [np.zeros((d, o)) for _ in weights]
     rows = ex.where(F.col("client").isin(clients)).select("client", "x", "y").mapInArrow(run, "v array<double>")
-    found = sum_vectors(rows, [], ["v"]).first()["v"]
-    table = np.array(found).reshape(d, many * o) if found else np.zeros((d, many * o))
+    found = dense(sum_vectors(rows, [], ["v"]).toArrow().column("v").combine_chunks())
+    table = found.reshape(d, many * o) if found.size else np.zeros((d, many * o))
     return [table[:, i * o : (i + 1) * o] for i in range(many)]
 
 
@@ -178,7 +178,9 @@ def shape_of(ex: DataFrame) -> tuple[int, int]:
 
 def grams(ex: DataFrame, keys: list[str]) -> dict[tuple, Gram]:
     d, o = shape_of(ex)
-    return {tuple(r[k] for k in keys): Gram(r["n"], r["v"], d, o) for r in gram_sums(ex, keys).collect()}
+    found = gram_sums(ex, keys).toArrow().combine_chunks()
+    names = zip(*(found.column(k).to_pylist() for k in keys)) if keys else [()] * found.num_rows
+    return {name: Gram(n, v.values.to_numpy(), d, o) for name, n, v in zip(names, found.column("n").to_pylist(), found.column("v"))}
 
 
 #: Up to this size X'X may be held on the driver.

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from codedreg.functions.hashrand import uniform
 from codedreg.operators import delay
 from codedreg.operators.coding import add_noise, collect_composite, compose, encode_clients, weight_clients
-from codedreg.operators.gradients import GRAM_BYTES_MAX, Gram, bias_correction, exact_solution, grams, largest_eigenvalue, losses, server_gradient, shape_of, weighted_gradients
+from codedreg.operators.gradients import GRAM_BYTES_MAX, Gram, bias_correction, conjugate_gradients, grams, largest_eigenvalue, losses, server_gradient, shape_of, weighted_gradients
 from codedreg.operators.sampling import SERVER_SEED, sample_batch
 from codedreg.operators.theory import learning_rate
 from codedreg.storage import laid_out
@@ -152,6 +152,7 @@ class RowSource:
             self.drawn = b if config.sampler == "bernoulli" else {i: min(n, self.sizes[i]) for i, n in b.items()}
         self.clients = sorted(self.sizes)
         self.prepared: tuple[int, DataFrame] | None = None
+        self.gram: Gram | None = None
 
     def rows(self, client: int) -> int:
         return self.sizes[client]
@@ -192,14 +193,21 @@ class RowSource:
     def losses(self, weights: list[np.ndarray]) -> list[float]:
         return [a for a, _ in losses(self.ex, weights)] if weights else []
 
+    def _gram(self) -> Gram | None:
+        """Sums of squares of all rows, while they fit."""
+        if 8 * self.shape[0] ** 2 > GRAM_BYTES_MAX:
+            return None
+        if self.gram is None:
+            self.gram = grams(self.ex, [])[()]
+        return self.gram
+
     def optimum(self) -> np.ndarray:
-        return exact_solution(self.ex)
+        g = self._gram()
+        return np.linalg.lstsq(g.xx, g.xy, rcond=None)[0] if g else conjugate_gradients(self.ex, *self.shape)
 
     def steepest(self) -> float:
-        d, o = self.shape
-        if 8 * d * d > GRAM_BYTES_MAX:
-            return largest_eigenvalue(self.ex, d, o)
-        return float(np.linalg.eigvalsh(grams(self.ex, [])[()].xx)[-1])
+        g = self._gram()
+        return float(np.linalg.eigvalsh(g.xx)[-1]) if g else largest_eigenvalue(self.ex, *self.shape)
 
 
 def parts_of(parts: int | dict[int, int], client: int) -> int:

@@ -219,6 +219,8 @@ def tradeoff_grid(spark: SparkSession, sf_dir: str, coded: tuple[int, ...] = (10
 #: Width of the Fourier features and subsets of a client in the first image task, subsets in the second.
 FOURIER_WIDTH, FOURIER_PARTS, GIVEN_PARTS = 2000, 30, 20
 GAMMA = 0.05
+#: Of the full gradient's safe step, as batches of a row or two a client are noisy.
+IMAGE_STEP = 0.3
 
 
 def image_task(spark: SparkSession, sf_dir: str, kind: str, epochs: int = 60, every: int = 15, seeds: int = 3, width: int = FOURIER_WIDTH, **more) -> DataFrame:
@@ -236,7 +238,8 @@ def image_task(spark: SparkSession, sf_dir: str, kind: str, epochs: int = 60, ev
     lab = Experiment(spark, sf_dir, ex.where(~held), FOURIER_PARTS if kind == "fourier" else GIVEN_PARTS)
     test, rows = cut(ex.where(held)), {}
     for regime, factor in REGIMES.items():
-        runs = [(method, run) for seed in range(seeds) for method, run in rivals(lab, factor, seed, epochs=epochs, **more).items()]
+        step = IMAGE_STEP * lab.config(factor).lr
+        runs = [(method, run) for seed in range(seeds) for method, run in rivals(lab, factor, seed, epochs=epochs, lr=step, **more).items()]
         for (method, _), done in zip(runs, training.run_many(lab.source(factor), [x for _, x in runs], every)):
             for epoch, time, w in done.trace:
                 rows.setdefault((regime, method, epoch), []).append((time, w))
