@@ -95,15 +95,28 @@ DIGIT_WORDS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "fo
 DIGIT_RUN_MIN = 3
 
 WORD = "(?:" + "|".join(DIGIT_WORDS) + ")"
-BETWEEN = "(?:[ ,.-]{1,2}|[ ]dot[ ])"
-SPELLED = re.compile(rf"(?<!\w)(?:(plus)[ ]+)?({WORD}(?:{BETWEEN}{WORD}){{{DIGIT_RUN_MIN - 1},}})(?!\w)", re.I)
+#: A number word or figures, and what may stand between two of them.
+TOKEN = f"(?:{WORD}|[0-9]+)"
+BETWEEN = r"(?:[ ]*\.[ ]*|[ ,-]{1,2}|[ ]dot[ ])"
+SPELLED = re.compile(rf"(?<!\w)(?:(plus)[ ]+|\+[ ]?)?({TOKEN}(?:{BETWEEN}{TOKEN})+)(?!\w)", re.I)
+ONE_TOKEN = re.compile(TOKEN, re.I)
 ONE_WORD = re.compile(WORD, re.I)
 BRACKETED = re.compile(r"[ \t]*(?:\[|\(|\{|<)[ \t]*(at|dot|@|\.)[ \t]*(?:\]|\)|\}|>)[ \t]*", re.I)
 PLAIN_DOT = re.compile(r"(?<=[A-Za-z0-9])[ \t]+dot[ \t]+(?=[A-Za-z0-9])", re.I)
 PLAIN_AT = re.compile(r"(?<=[A-Za-z0-9])[ \t]+at[ \t]+(?=[A-Za-z0-9-]+(?:[ \t]+dot[ \t]+|[ \t]*[\[({<][ \t]*(?:dot|\.)[ \t]*[\])}>][ \t]*)[A-Za-z0-9])", re.I)
 SPACED_AT = re.compile(r"(?<=[A-Za-z0-9])[ \t]+@[ \t]+(?=[A-Za-z0-9])")
-HINT = re.compile(rf"dot|[\[({{<][ \t]*(?:at|\.|@)[ \t]*[\])}}>]|[ \t]@[ \t]|{WORD}[ ,.-]{{1,2}}{WORD}[ ,.-]", re.I)
-FOREIGN = re.compile("[" + "".join(LOOK_ALIKES) + INVISIBLE + "\uff01-\uff5e\u2460-\u249b\U0001d400-\U0001d7ff]")
+SPACED_DOT = re.compile(r"(?<=[A-Za-z0-9])[ \t]+\.[ \t]+(?=[A-Za-z0-9])")
+#: at and dot between dashes or underscores, the former only before the latter.
+DASHED_AT = re.compile(r"(?<=[A-Za-z0-9])[ \t]*[-_]+at[-_]+[ \t]*(?=[A-Za-z0-9]+[ \t]*[-_]+dot[-_]+[ \t]*[A-Za-z0-9])", re.I)
+DASHED_DOT = re.compile(r"(?<=[A-Za-z0-9])[ \t]*[-_]+dot[-_]+[ \t]*(?=[A-Za-z0-9])", re.I)
+#: Top-level labels before which a spelled "at" counts without a spelled dot, and words that stand before a plain "at".
+TOP_LABELS = "com|org|net|edu|gov|info|biz|io|de|fr|es|uk|eu|us"
+BEFORE_AT = "look|looking|looked|me|us|you|him|her|them|it|is|are|was|were|be|been|found|available|hosted|site|page|online|here|more|visit|work|works|working|meet|see|or|and|shop|stay|arrive|live|only|also|back|up|out"
+AT_HOST = re.compile(rf"(?<![A-Za-z0-9._%+-])(?!(?:{BEFORE_AT})[ \t])[A-Za-z0-9._%+-]+([ \t]+at[ \t]+)(?=(?:[A-Za-z0-9-]+\.)+(?:{TOP_LABELS})\b)", re.I)
+HINT = re.compile(rf"dot|[\[({{<][ \t]*(?:at|\.|@)[ \t]*[\])}}>]|[ \t]@[ \t]|[ \t]at[ \t]+[a-z0-9-]+\.[a-z]|(?:{WORD}|[0-9])[ ]*[ ,.-][ ]*{WORD}|{WORD}[ ]*[ ,.-][ ]*[0-9]", re.I)
+#: Decimal digits of other scripts.
+OTHER_DIGITS = {chr(c): str(unicodedata.decimal(chr(c))) for c in range(0x80, 0x11000) if unicodedata.decimal(chr(c), None) is not None}
+FOREIGN = re.compile("[" + "".join(LOOK_ALIKES) + "".join(OTHER_DIGITS) + INVISIBLE + "！-～①-⒛\U0001d400-\U0001d7ff]")
 
 
 @functools.cache
@@ -113,6 +126,8 @@ def plain_form(c: str) -> str:
         return ""
     if c in LOOK_ALIKES:
         return LOOK_ALIKES[c]
+    if c in OTHER_DIGITS:
+        return OTHER_DIGITS[c]
     folded = unicodedata.normalize("NFKC", c)
     return folded if folded.isascii() else c
 
@@ -145,18 +160,31 @@ class Tape:
 
 
 def _digit_edits(text: str) -> list[tuple[int, int, str]]:
-    """Each word gives its digit; what stood between two words of a run goes, but for a dot that is spelled."""
+    """In a run of number words and figures with a word in it, each word gives its digit; what stood between two tokens of the run
+    goes, but for a dot.
+
+    Without figures or a plus, DIGIT_RUN_MIN words make a run.
+    """
     out = []
     for run in SPELLED.finditer(text):
+        tokens = list(ONE_TOKEN.finditer(text, run.start(2), run.end(2)))
+        words = [t for t in tokens if not t[0].isdigit()]
+        if not words and not run[1] or len(words) == len(tokens) < DIGIT_RUN_MIN and not run[1]:
+            continue
         if run[1]:
             out.append((run.start(1), run.start(2), "+"))
-        words = list(ONE_WORD.finditer(text, run.start(2), run.end(2)))
-        for word, after in zip(words, [*words[1:], None]):
-            end = after.start() if after else word.end()
-            out.append((word.start(), end, DIGIT_WORDS[word[0].lower()] + "." * ("dot" in text[word.end() : end].lower())))
+        for token, after in zip(tokens, [*tokens[1:], None]):
+            end = after.start() if after else token.end()
+            between = text[token.end() : end].lower()
+            new = token[0] if token[0].isdigit() else DIGIT_WORDS[token[0].lower()]
+            out.append((token.start(), end, new + "." * ("." in between or "dot" in between)))
     return out
 
 
+#: What is rewritten in turn: a pattern, the group that goes, and what stands for it (None: by the word found).
+REWRITES = ((PLAIN_AT, 0, "@"), (DASHED_AT, 0, "@"), (BRACKETED, 0, None), (PLAIN_DOT, 0, "."), (DASHED_DOT, 0, "."), (SPACED_AT, 0, "@"), (AT_HOST, 1, "@"))
+
+
 def disguised(text: str) -> Tape | None:
     """The rewritten text, or None if nothing in it hints at a disguise."""
     foreign = not text.isascii() and FOREIGN.search(text)
@@ -166,11 +194,18 @@ def disguised(text: str) -> Tape | None:
     if foreign:
         tape.rewrite([(m.start(), m.end(), plain_form(m[0])) for m in FOREIGN.finditer(text)])
     tape.rewrite(_digit_edits(tape.text))
-    for pattern, new in ((PLAIN_AT, "@"), (BRACKETED, None), (PLAIN_DOT, "."), (SPACED_AT, "@")):
-        tape.rewrite([(m.start(), m.end(), new or ("@" if m[1].lower() in ("at", "@") else ".")) for m in pattern.finditer(tape.text)])
+    for pattern, group, new in REWRITES:
+        tape.rewrite([(m.start(group), m.end(group), new or ("@" if m[1].lower() in ("at", "@") else ".")) for m in pattern.finditer(tape.text)])
+    # a dot between spaces counts after a host that an @ stands before
+    tape.rewrite([(m.start(), m.end(), ".") for m in SPACED_DOT.finditer(tape.text) if HOST_BEFORE.search(tape.text, max(0, m.start() - HOST_LENGTH), m.start())])
     return tape if tape.text != text else None
 
 
+#: Characters of a host label that are looked at before a dot between spaces (labels are at most 63 long).
+HOST_LENGTH = 65
+HOST_BEFORE = re.compile(r"@[A-Za-z0-9-]+\Z")
+
+
 def find_all(text: str) -> tuple[dict[str, list[Span]], dict[str, list[Span]]]:
     """Plain spans by kind, and all spans by kind."""
     base = detect(text)
@@ -183,7 +218,10 @@ def find_all(text: str) -> tuple[dict[str, list[Span]], dict[str, list[Span]]]:
         for span in map(tape.source, spans):
             while i < len(own) and own[i][1] <= span[0]:
                 i += 1
-            met = [x for x in own[i : i + 8] if x[0] < span[1]]
+            stop = i
+            while stop < len(own) and own[stop][0] < span[1]:
+                stop += 1
+            met = own[i:stop]
             if all(span[0] <= a and b <= span[1] and (a, b) != span for a, b in met):
                 merged.append(span)
         full[kind] = sorted(own + merged)
