@@ -34,29 +34,36 @@ def _recount(docs: DataFrame) -> DataFrame:
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows not predicted toxic; null and empty texts, null ids, repeated rows and extra columns stay as they are."""
     model = toxicity.fit(docs, read_table(spark, sf_dir, "labels"))
     return toxicity.score_documents(docs, model, docs.columns).where("predicted = 0").select(docs.columns)
 
 
 def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All rows; of each component of lines the first occurrence stays.  Rows without id and null texts stay as they are."""
     return _recount(dedup_lines(docs))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each group stays, once even if its row repeats; rows without doc_id stay."""
+    """The smallest doc_id of each group stays, once even if its row repeats (of rows that differ, the one of the lowest hash);
+    rows without doc_id stay, documents without words are groups of their own."""
     groups = cut(jaccard_components(docs, SHINGLE_WORDS, SIMILAR_PERCENT))
     kept = groups.where("doc_id = component_id").select("doc_id")
     named = docs.join(kept, "doc_id", "left_semi")
     if groups.count() < docs.count():
-        named = named.dropDuplicates(["doc_id"])
+        hashed = named.withColumn("hash__", F.xxhash64(*docs.columns))
+        least = hashed.groupBy("doc_id").agg(F.min("hash__").alias("hash__"))
+        named = hashed.join(least, ["doc_id", "hash__"]).dropDuplicates(["doc_id"])
     return named.select(docs.columns).unionByName(docs.where("doc_id is null"))
 
 
 def mask_pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All rows, with spans of personal data replaced by their kind; null texts stay null."""
     return _recount(masked(docs))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all rows in sequences; a null text is an empty document, repeated rows are packed once each."""
     return pack_documents(docs, vocabularies.path("byte_bpe_50k.json"), vocabularies.PATTERN)
 
 
