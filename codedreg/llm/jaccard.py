@@ -10,11 +10,14 @@ A link needs 100 * intersection >= PERCENT * union.  The bounds that follow from
   bound of it, which discards nearly all other pairs before any set is fetched.
 
 Documents of equal sets are one row of the product.  In the column of a shingle, first all documents meet the smallest
-id (a number of pairs linear in the column), and each document's closest such pair is resolved exactly.  Then only
+id (pairs linear in the column; a frequent column is split into parts whose leaders meet in turn).  The product counts in how many columns a
+pair meets; each document's fullest such pair is resolved: the documents of one leader are multiplied with the
+leader's row in blocks, which accumulates their overlaps, and those below the bound of the two sizes go.  Then only
 pairs of different components remain: those of a column are compared in blocks of BLOCK rows, tested by the bounds
-where they meet, and resolved exactly, so no link between different components is lost, while a group of thousands of
+where they meet, and resolved by the same product, so no link between different components is lost, while a group of thousands of
 near copies costs a pair a member.
 
+Words are hashed by a random table over byte and place in the word, so no pattern of bytes makes words collide.
 A document's set holds the distinct hashes of its 4-word shingles (64 bits); with fewer words, of the whole sequence;
 without words or text it is empty and linked with nothing.  Rows without doc_id are returned with their size and no
 component; of rows that repeat a doc_id the largest set counts and one row returns.  Extra columns are not read.
@@ -26,11 +29,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codedreg.llm.common import cut, mix64, shuffle_width, slices
+from codedreg.llm.common import cut, distinct, mix64, shuffle_width, slices
 from codedreg.llm.components import connected_components
 
 PERCENT = 85
@@ -38,18 +42,25 @@ WORDS = 4
 #: A hash counts as frequent from so many documents on; the table of frequent ones has a fixed size.
 FREQUENT = 8
 FREQUENT_MAX = 1 << 18
-WINDOW = 2_000_000
+#: Columns beyond this class of frequency (some 4096 documents) are split.
+PART_LEVEL = 10
+WINDOW = 1_000_000
 BLOCK = 2048
 SMALL = 256
 PAIRS_HELD = 500_000
 MASK_BITS = 20
 BATCH_BYTES = 1 << 20
+#: Longer bitmaps are folded to so many words before a block is compared.
+BITMAP_WORDS = 256
+#: Pairs of a block of a leader, and entries multiplied at once.
+ROWS_TOGETHER, ENTRIES_HELD = 2048, 1 << 20
 
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 _SPACE = np.isin(np.arange(256), [32, 9, 10, 11, 12, 13])
-_TABLE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-_BASE = np.uint64(0xD6E8FEB86659FD93)
-_INVERSE = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
+#: A random number for each place in a stretch of a word and each byte, from two rounds of mixing; further stretches mix anew.
+STRETCH = 64
+with np.errstate(over="ignore"):
+    _TABLE = mix64(mix64(np.arange(1, 256 * STRETCH + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) + np.uint64(0xD6E8FEB86659FD93))
 _STEPS = mix64(np.arange(101, 101 + 16, dtype=np.uint64)) | np.uint64(1)
 
 
@@ -58,24 +69,23 @@ class Shingler:
 
     def __init__(self, words: int = WORDS):
         self.words = words
-        self.powers = np.ones(1, np.uint64)
-        self.inverses = np.ones(1, np.uint64)
-
-    def _grow(self, n: int) -> None:
-        if len(self.powers) < n:
-            size = max(n, BATCH_BYTES * 2)
-            self.powers = np.cumprod(np.concatenate([[np.uint64(1)], np.full(size - 1, _BASE)]))
-            self.inverses = np.cumprod(np.concatenate([[np.uint64(1)], np.full(size - 1, _INVERSE)]))
 
     def _together(self, texts: list[bytes]) -> Iterator[np.ndarray]:
         raw = b" ".join(texts)
         b = np.frombuffer(raw.translate(_LOWER), np.uint8)
-        self._grow(len(b))
         letter = ~_SPACE[b]
         edge = np.flatnonzero(np.diff(letter, prepend=False, append=False))
         starts, ends = edge[::2], edge[1::2]
-        sums = np.concatenate([[np.uint64(0)], np.cumsum(_TABLE[b] * self.powers[: len(b)])])
-        word = mix64((sums[ends] - sums[starts]) * self.inverses[starts] + (ends - starts).astype(np.uint64)) if len(starts) else np.zeros(0, np.uint64)
+        size = ends - starts
+        at = np.flatnonzero(letter)
+        place = at - np.repeat(starts, size)
+        value = _TABLE[(place % STRETCH) * 256 + b[at]]
+        if len(size) and size.max() > STRETCH:
+            far = place >= STRETCH
+            value[far] = mix64(value[far] + (place[far] // STRETCH).astype(np.uint64) * _STEPS[14])
+        sums = np.concatenate([[np.uint64(0)], np.cumsum(value)])
+        stop = np.cumsum(size)
+        word = mix64(sums[stop] - sums[stop - size] + size.astype(np.uint64)) if len(starts) else np.zeros(0, np.uint64)
         k = self.words
         m = len(word) - k + 1
         shingle = mix64(sum(word[i : i + m] * _STEPS[i] for i in range(k))) if m > 0 else np.zeros(0, np.uint64)
@@ -83,7 +93,7 @@ class Shingler:
         at = np.searchsorted(starts, first)
         for a, z in zip(at[:-1].tolist(), at[1:].tolist()):
             if z - a >= k:
-                yield np.unique(shingle[a : z - k + 1])
+                yield distinct(shingle[a : z - k + 1])
             elif z > a:
                 own = np.uint64(z - a)
                 for w in word[a:z]:
@@ -93,11 +103,11 @@ class Shingler:
                 yield np.zeros(0, np.uint64)
 
     def sets(self, column) -> Iterator[np.ndarray]:
-        """One array for each text of an Arrow column; null is empty."""
-        texts = [(t.as_py() or "").encode() for t in column]
+        """One array for each text of an Arrow column; null is empty.  Few texts at a time become Python's."""
+        sizes = pyarrow.compute.binary_length(column).fill_null(0).to_pylist()
         with np.errstate(over="ignore"):
-            for a, z in slices([len(t) for t in texts], BATCH_BYTES):
-                yield from self._together(texts[a:z])
+            for a, z in slices(sizes, BATCH_BYTES):
+                yield from self._together([(t.as_py() or "").encode() for t in column.slice(a, z - a)])
 
 
 def need(n: int, percent: int = PERCENT) -> int:
@@ -131,11 +141,6 @@ def may_link(a: bytes, b: bytes, n_a: int, n_b: int, percent: int = PERCENT) ->
     return least * (100 + percent) <= (100 - percent) * (n_a + n_b)
 
 
-def linked(a: np.ndarray, b: np.ndarray, percent: int = PERCENT) -> bool:
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return 100 * both >= percent * (len(a) + len(b) - both)
-
-
 def _frequent(docs: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes that many documents hold, sorted, with the class of their frequency.
 
@@ -169,7 +174,8 @@ def _frequent(docs: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _index(docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """doc_id, n, sig (digest of the set), prefix (its part of the product), bits (parity bitmap)."""
+    """doc_id, n, sig (digest of the set), prefix (its part of the product), parts (into how many parts each one's column is
+    split, a power of two), bits (parity bitmap)."""
     sent = docs.sparkSession.sparkContext.broadcast(_frequent(docs, words))
 
     def run(batches):
@@ -180,41 +186,60 @@ def _index(docs: DataFrame, words: int, percent: int) -> DataFrame:
             for own in shingler.sets(batch.column("text")):
                 n = len(own)
                 p = n - need(n, percent) + 1 if n else 0
-                prefix = own[:p]
+                prefix, parts = own[:p], np.ones(p, np.int32)
                 if n and len(common):
                     at = np.minimum(np.searchsorted(common, own), len(common) - 1)
-                    rank = np.where(common[at] == own, level[at], 0)
-                    prefix = own[np.lexsort((own, rank))[:p]]
-                rows.append((n, xxhash.xxh3_128_digest(own.tobytes()), prefix.view(np.int64), bitmap(own) if n else b""))
+                    rank = np.where(common[at] == own, level[at], 0).astype(np.int32)
+                    first = np.lexsort((own, rank))[:p]
+                    prefix, parts = own[first], np.int32(1) << np.maximum(0, rank[first] - PART_LEVEL)
+                rows.append((n, xxhash.xxh3_128_digest(own.tobytes()), prefix.view(np.int64), parts, bitmap(own) if n else b""))
             if rows:
-                n, sig, prefix, bits = zip(*rows)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(prefix, pa.list_(pa.int64())), pa.array(bits, pa.binary())], ["doc_id", "n", "sig", "prefix", "bits"])
+                n, sig, prefix, parts, bits = zip(*rows)
+                yield pa.RecordBatch.from_arrays(
+                    [batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(prefix, pa.list_(pa.int64())), pa.array(parts, pa.list_(pa.int32())), pa.array(bits, pa.binary())],
+                    ["doc_id", "n", "sig", "prefix", "parts", "bits"],
+                )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, sig binary, prefix array<long>, bits binary")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, sig binary, prefix array<long>, parts array<int>, bits binary")
 
 
-def _columns(entries: DataFrame) -> DataFrame:
-    """From (h, doc_id, n) sorted by h: h with each of its documents and the smallest one, for columns of two or more."""
+def _leaders(entries: DataFrame) -> DataFrame:
+    """From (h, part, doc_id, n) sorted by these: each document with the smallest one of its part of the column; the first of a part,
+    with no other, as b alone."""
 
     def run(batches):
         last, lead, lead_n = None, 0, 0
         for batch in batches:
-            h, doc, n = (batch.column(k).to_numpy(zero_copy_only=False) for k in ("h", "doc_id", "n"))
+            h, part, doc, n = (batch.column(k).to_numpy(zero_copy_only=False) for k in ("h", "part", "doc_id", "n"))
             if not len(h):
                 continue
-            new = np.concatenate([[last is None or h[0] != last], h[1:] != h[:-1]])
+            new = np.concatenate([[last is None or (h[0], part[0]) != last], (h[1:] != h[:-1]) | (part[1:] != part[:-1])])
             head = np.maximum.accumulate(np.where(new, np.arange(len(h)), -1))
             leads = np.where(head >= 0, doc[np.maximum(head, 0)], lead)
             lead_ns = np.where(head >= 0, n[np.maximum(head, 0)], lead_n)
-            out = np.flatnonzero(~new)
-            yield pa.RecordBatch.from_arrays([pa.array(h[out]), pa.array(leads[out]), pa.array(lead_ns[out]), pa.array(doc[out]), pa.array(n[out])], ["h", "a", "n_a", "b", "n_b"])
-            last, lead, lead_n = h[-1], leads[-1], lead_ns[-1]
+            # the first row of an unsplit column leads it and is no pair of its own
+            out = np.flatnonzero(~new | (part >= 0))
+            first = pa.array(new[out])
+            yield pa.RecordBatch.from_arrays([pa.array(h[out]), pa.array(leads[out]), pa.array(lead_ns[out]), pa.array(doc[out]), pa.array(n[out]), first], ["h", "a", "n_a", "b", "n_b", "first"])
+            last, lead, lead_n = (h[-1], part[-1]), leads[-1], lead_ns[-1]
 
-    return entries.mapInArrow(run, "h long, a long, n_a long, b long, n_b long")
+    return entries.mapInArrow(run, "h long, a long, n_a long, b long, n_b long, first boolean")
+
+
+def _columns(single: DataFrame) -> DataFrame:
+    """h with each of its documents (b) and one that leads it (a); the leaders of a split column's parts follow the smallest."""
+    width = shuffle_width(single.sparkSession)
+    entries = single.select(F.explode(F.arrays_zip("prefix", "parts")).alias("e"), "doc_id", "n")
+    part = F.when(F.col("e.parts") > 1, F.pmod(F.xxhash64("doc_id"), F.col("e.parts")).cast("int")).otherwise(-1)
+    entries = entries.select(F.col("e.prefix").alias("h"), part.alias("part"), "doc_id", "n")
+    dealt = lambda rows: rows.repartition(width, "h", "part").sortWithinPartitions("h", "part", "doc_id")
+    found = cut(_leaders(dealt(entries)))
+    firsts = found.where("first").select("h", F.lit(-1).alias("part"), F.col("b").alias("doc_id"), F.col("n_b").alias("n"))
+    return found.where("not first").unionByName(_leaders(dealt(firsts))).drop("first")
 
 
 def _with_bits(pairs: DataFrame, index: DataFrame, percent: int) -> DataFrame:
-    """Distinct pairs (a, b) that the bounds allow, with the difference the bitmaps show."""
+    """Of pairs (a, b, shared) those that the bounds allow."""
     a = index.select(F.col("doc_id").alias("a"), F.col("bits").alias("bits_a"), F.col("n").alias("n_a"))
     b = index.select(F.col("doc_id").alias("b"), F.col("bits").alias("bits_b"), F.col("n").alias("n_b"))
 
@@ -224,12 +249,12 @@ def _with_bits(pairs: DataFrame, index: DataFrame, percent: int) -> DataFrame:
             for i, (x, y, n, m) in enumerate(zip(batch.column("bits_a"), batch.column("bits_b"), batch.column("n_a").to_pylist(), batch.column("n_b").to_pylist())):
                 if may_link(x.as_py(), y.as_py(), n, m, percent):
                     keep.append(i)
-            yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
+            yield batch.select(["a", "b", "shared"]).take(pa.array(keep, pa.int64()))
 
-    return pairs.join(a, "a").join(b, "b").select("a", "b", "bits_a", "bits_b", "n_a", "n_b").mapInArrow(run, "a long, b long")
+    return pairs.join(a, "a").join(b, "b").select("a", "b", "shared", "bits_a", "bits_b", "n_a", "n_b").mapInArrow(run, "a long, b long, shared long")
 
 
-def _resolve(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
+def _resolve(pairs: DataFrame, docs: DataFrame, index: DataFrame, words: int, percent: int) -> DataFrame:
     """Of the pairs, the links.  Sets are made anew, for documents that a fixed-size mask of the ids lets through."""
     spark = docs.sparkSession
     place = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << MASK_BITS)).cast("int")
@@ -243,19 +268,50 @@ def _resolve(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> Dat
         for batch in batches:
             own = batch.take(pa.array(np.flatnonzero(open_[batch.column("place").to_numpy(zero_copy_only=False)])))
             blobs = [s.tobytes() for s in shingler.sets(own.column("text"))]
-            yield pa.RecordBatch.from_arrays([own.column("doc_id"), pa.array(blobs, pa.binary())], ["doc_id", "own"])
+            yield pa.RecordBatch.from_arrays([own.column("doc_id"), pa.array(map(xxhash.xxh3_128_digest, blobs), pa.binary()), pa.array(blobs, pa.binary())], ["doc_id", "sig", "own"])
 
-    sets = docs.select("doc_id", "text", place("doc_id").alias("place")).mapInArrow(run, "doc_id long, own binary").join(ends.distinct(), "doc_id", "left_semi")
-    sets = cut(sets)
+    named = ends.distinct().join(index.select("doc_id", "sig"), "doc_id")
+    sets = docs.select("doc_id", "text", place("doc_id").alias("place")).mapInArrow(run, "doc_id long, sig binary, own binary").join(named, ["doc_id", "sig"], "left_semi")
+    sets = cut(sets.dropDuplicates(["doc_id"]).drop("sig"))
 
-    def compare(batches):
-        for batch in batches:
-            keep = [i for i, (x, y) in enumerate(zip(batch.column("own_a"), batch.column("own_b"))) if linked(np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64), percent)]
-            yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
+    # a leader's row meets the rows of its pairs in blocks; a leader of many pairs stands in several
+    fill = pairs.groupBy("a").agg(F.ceil(F.count("*") / ROWS_TOGETHER).cast("int").alias("blocks"))
+    placed = pairs.join(fill, "a").withColumn("block", F.pmod(F.xxhash64("b"), F.col("blocks")).cast("int")).select("a", "b", "block")
+    rows = placed.join(sets.withColumnRenamed("doc_id", "b"), "b").select("a", "block", "b", "own")
+    leads = placed.select("a", "block").distinct().join(sets.withColumnRenamed("doc_id", "a"), "a").select("a", "block", F.lit(None).cast("long").alias("b"), "own")
+    dealt = rows.unionByName(leads).repartition(shuffle_width(spark), "a", "block").sortWithinPartitions("a", "block", F.asc_nulls_first("b"))
 
-    a = sets.select(F.col("doc_id").alias("a"), F.col("own").alias("own_a"))
-    b = sets.select(F.col("doc_id").alias("b"), F.col("own").alias("own_b"))
-    return pairs.join(a, "a").join(b, "b").mapInArrow(compare, "a long, b long")
+    def multiply(batches):
+        lead = np.zeros(0, np.uint64)
+        for batch in batches:
+            a, b, own = batch.column("a").to_pylist(), batch.column("b").to_pylist(), batch.column("own")
+            at = 0
+            while at < len(a):
+                if b[at] is None:
+                    lead = np.frombuffer(own[at].as_py(), np.uint64)
+                    at += 1
+                stop = at
+                while stop < len(a) and b[stop] is not None:
+                    stop += 1
+                keep = overlaps_suffice(lead, [np.frombuffer(own[i].as_py(), np.uint64) for i in range(at, stop)], percent)
+                yield pa.RecordBatch.from_arrays([pa.array(a[at:stop], pa.int64()).filter(pa.array(keep)), pa.array(b[at:stop], pa.int64()).filter(pa.array(keep))], ["a", "b"])
+                at = stop
+
+    return dealt.mapInArrow(multiply, "a long, b long")
+
+
+def overlaps_suffice(lead: np.ndarray, rows: list[np.ndarray], percent: int = PERCENT) -> np.ndarray:
+    """Which rows link with a leader: the product of their incidence with the leader's, in blocks of entries."""
+    out = np.zeros(len(rows), bool)
+    for a, z in slices([len(r) for r in rows], ENTRIES_HELD):
+        n = np.array([len(r) for r in rows[a:z]])
+        flat = np.concatenate(rows[a:z])
+        hit = lead[np.minimum(np.searchsorted(lead, flat), len(lead) - 1)] == flat
+        sums = np.concatenate([[0], np.cumsum(hit)])
+        stop = np.cumsum(n)
+        both = sums[stop] - sums[stop - n]
+        out[a:z] = 100 * both >= percent * (n + len(lead) - both)
+    return out
 
 
 def _crossing(columns: DataFrame, labels: DataFrame, index: DataFrame, percent: int) -> DataFrame:
@@ -264,7 +320,7 @@ def _crossing(columns: DataFrame, labels: DataFrame, index: DataFrame, percent:
     Of columns up to SMALL documents the pairs of fitting sizes meet the bitmaps after the same pairs of other columns
     have become one; larger columns carry the bitmaps along and pass on only what the bounds allow.
     """
-    heads = columns.groupBy("h").agg(F.min("a").alias("doc_id"), F.min("n_a").alias("n"), (F.count("*") + 1).alias("size")).where("size > 2")
+    heads = columns.groupBy("h").agg(F.min(F.struct("a", "n_a")).alias("x"), (F.count("*") + 1).alias("size")).where("size > 2").select("h", F.col("x.a").alias("doc_id"), F.col("x.n_a").alias("n"), "size")
     entries = columns.join(heads.select("h"), "h", "left_semi").select("h", F.col("b").alias("doc_id"), F.col("n_b").alias("n")).unionByName(heads.select("h", "doc_id", "n"))
     marked = entries.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     mixed = marked.groupBy("h").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("size")).where("low <> high")
@@ -279,40 +335,69 @@ def _crossing(columns: DataFrame, labels: DataFrame, index: DataFrame, percent:
     grid = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda i: F.struct(F.least(i, F.col("own")).alias("i"), F.greatest(i, F.col("own")).alias("j")))
     many = many.withColumn("cell", F.explode(grid)).select("h", "cell.i", "cell.j", "own", "doc_id", "component", "n", "bits")
     many = many.repartition(width, "h", "i", "j").sortWithinPartitions("h", "i", "j").mapInArrow(_meet(percent, True), "a long, b long").distinct()
-    return _with_bits(few, index, percent).unionByName(many)
+    return _with_bits(few.withColumn("shared", F.lit(1).cast("long")), index, percent).select("a", "b").unionByName(many)
+
+
+def cell_pairs(own: np.ndarray, doc: np.ndarray, component: np.ndarray, n: np.ndarray, bits: list[bytes] | None, diagonal: bool, percent: int) -> np.ndarray:
+    """Pairs (smaller id first) of the rows of a cell, of different components and fitting sizes, that the bitmaps allow."""
+    order = np.argsort(n, kind="stable")
+    own, doc, component, n = own[order], doc[order], component[order], n[order]
+    stop = np.searchsorted(100 * n, 10_000 * n // percent, side="right")
+    folded = None
+    if bits is not None:
+        words = [fold(np.frombuffer(bits[i], np.uint64), BITMAP_WORDS) for i in order]
+        # a row meets larger ones, folded to its own size
+        size = np.array([len(w) for w in words])
+        folded = {int(m): np.stack([fold(w, int(m)) if len(w) >= m else np.zeros(int(m), np.uint64) for w in words]) for m in np.unique(size)}
+    found = []
+    for i in range(len(doc) - 1):
+        j = np.arange(i + 1, max(i + 1, stop[i]))
+        j = j[(component[j] != component[i]) & (diagonal | (own[j] != own[i]))]
+        if folded is not None and len(j):
+            rows = folded[len(words[i])]
+            least = np.bitwise_count(rows[j] ^ rows[i]).sum(1, dtype=np.int64)
+            j = j[least * (100 + percent) <= (100 - percent) * (n[i] + n[j])]
+        if len(j):
+            found.append(np.stack([np.minimum(doc[i], doc[j]), np.maximum(doc[i], doc[j])], 1))
+    return np.concatenate(found) if found else np.zeros((0, 2), np.int64)
 
 
 def _meet(percent: int, bounded: bool):
-    """Pairs of the rows of each cell, of different components and fitting sizes, each once a task."""
-
-    def pairs(own, doc, component, n, bits, diagonal):
-        order = np.argsort(n, kind="stable")
-        for p, i in enumerate(order):
-            for j in order[p + 1 :]:
-                if 100 * n[i] < percent * n[j]:
-                    break
-                if component[i] != component[j] and (diagonal or own[i] != own[j]) and (not bounded or may_link(bits[i], bits[j], n[i], n[j], percent)):
-                    yield min(doc[i], doc[j]), max(doc[i], doc[j])
+    """Pairs of the rows of each cell, each once among those a task holds."""
 
     def out_of(found):
-        a, b = zip(*found) if found else ((), ())
-        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+        rows = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(rows[:, 0].copy()), pa.array(rows[:, 1].copy())], ["a", "b"])
 
     def run(batches):
-        key, held, found = None, [], set()
+        rest, found, size = None, [], 0
+        names = ["h", "i", "j", "own", "doc_id", "component", "n"]
+
+        def cells(table, last):
+            """The complete cells of a table, and what may go on."""
+            h, i, j, own, doc, component, n = (table.column(k).to_numpy(zero_copy_only=False) for k in names)
+            new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])]))
+            cuts = [*new.tolist(), len(h)]
+            for x, y in zip(cuts[:-1], cuts[1:] if last else cuts[1:-1]):
+                bits = table.column("bits").slice(x, y - x).to_pylist() if bounded else None
+                yield cell_pairs(own[x:y], doc[x:y], component[x:y], n[x:y], bits, bool(i[x] == j[x]), percent)
+
         for batch in batches:
-            d = batch.to_pydict()
-            for row in zip(d["h"], d["i"], d["j"], d["own"], d["doc_id"], d["component"], d["n"], d["bits"]):
-                if row[:3] != key:
-                    if held:
-                        found.update(pairs(*zip(*held), key[1] == key[2]))
-                    key, held = row[:3], []
-                held.append(row[3:])
-                if len(found) > PAIRS_HELD:
+            table = pa.Table.from_batches([batch])
+            table = pa.concat_tables([rest, table]).combine_chunks() if rest is not None else table
+            if not table.num_rows:
+                continue
+            for pairs in cells(table, False):
+                found.append(pairs)
+                size += len(pairs)
+                if size > PAIRS_HELD:
                     yield out_of(found)
-                    found.clear()
-        if held:
-            found.update(pairs(*zip(*held), key[1] == key[2]))
+                    found, size = [], 0
+            h, i, j = (table.column(k).to_numpy(zero_copy_only=False) for k in ("h", "i", "j"))
+            same = (h == h[-1]) & (i == i[-1]) & (j == j[-1])
+            rest = table.slice(int(np.argmax(same)))
+        if rest is not None:
+            found.extend(cells(rest, True))
         yield out_of(found)
 
     return run
@@ -326,23 +411,24 @@ def jaccard_links(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -
     docs, index = docs.where("doc_id is not null"), index.where("doc_id is not null")
     sizes = index.groupBy("doc_id").agg(F.max(F.struct("n", "sig")).alias("x")).select("doc_id", "x.n", "x.sig")
     reps = sizes.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("rep"))
-    members = cut(sizes.join(reps, "sig", "left").select("doc_id", "n", F.coalesce("rep", "doc_id").alias("rep")))
-    alone = members.where("doc_id = rep and n > 0").select("doc_id", "n")
-    single = cut(index.join(alone, ["doc_id", "n"], "left_semi").dropDuplicates(["doc_id"]))
+    members = cut(sizes.join(reps, "sig", "left").select("doc_id", "n", "sig", F.coalesce("rep", "doc_id").alias("rep")))
+    alone = members.where("doc_id = rep and n > 0").select("doc_id", "sig")
+    single = cut(index.join(alone, ["doc_id", "sig"], "left_semi").dropDuplicates(["doc_id"]))
+    members = members.drop("sig")
 
-    entries = single.select(F.explode("prefix").alias("h"), "doc_id", "n").repartition(shuffle_width(docs.sparkSession), "h").sortWithinPartitions("h", "doc_id")
-    columns = cut(_columns(entries))
+    columns = cut(_columns(single))
     fits = F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent
-    stars = cut(_with_bits(columns.where(fits).select("a", "b").distinct(), single, percent))
+    stars = cut(_with_bits(columns.where(fits).groupBy("a", "b").agg(F.count("*").alias("shared")), single, percent))
 
-    closest = stars.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    first = cut(_resolve(closest, docs, words, percent))
+    fullest = stars.groupBy("b").agg(F.min(F.struct(-F.col("shared"), F.col("a").alias("a"))).alias("x"))
+    closest = cut(fullest.select("x.a", "b"))
+    first = cut(_resolve(closest, docs, single, words, percent))
     labels = cut(connected_components(first))
 
     node = lambda name: labels.select(F.col("node").alias(name), F.col("component").alias(f"c_{name}"))
     open_stars = stars.join(node("a"), "a", "left").join(node("b"), "b", "left").where("coalesce(c_a, a) <> coalesce(c_b, b)").select("a", "b")
     rest = open_stars.unionByName(_crossing(columns, labels, single, percent)).distinct().join(closest, ["a", "b"], "left_anti")
-    second = cut(_resolve(cut(rest), docs, words, percent))
+    second = cut(_resolve(cut(rest), docs, single, words, percent))
     return members.unionByName(nameless), first.unionByName(second)
 
 

@@ -127,6 +127,36 @@ def test_jaccard_hot_group(spark, monkeypatch):
     assert got == brute_components(list(range(150)), word_sets(texts, 4), 85)
 
 
+def test_patterned_words_do_not_collide(spark):
+    """A word that follows the Thue-Morse sequence and its complement, beside ordinary words and among long ones."""
+    morse = "".join("ab"[bin(i).count("1") % 2] for i in range(1024))
+    other = morse.translate(str.maketrans("ab", "ba"))
+    texts = [morse, other, f"x y {morse} z w", f"x y {other} z w", "a" * 70 + "b" + "a" * 70, "a" * 71 + "b" + "a" * 69, morse]
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.jaccard_components(frame).collect()}
+    assert got == brute_components(list(range(len(texts))), word_sets(texts, 4), 85) and got[1] == 1 and got[6] == 0
+
+
+@pytest.mark.parametrize("level, small, block", [(0, 4, 16), (1, 256, 2048)])
+def test_split_columns_lose_no_link(spark, monkeypatch, level, small, block):
+    """Many documents share their rarest shingles, and columns are split from the first class of frequency on."""
+    monkeypatch.setattr(jaccard, "PART_LEVEL", level)
+    monkeypatch.setattr(jaccard, "SMALL", small)
+    monkeypatch.setattr(jaccard, "BLOCK", block)
+    monkeypatch.setattr(jaccard, "ROWS_TOGETHER", 8)
+    rng = random.Random(77)
+    base = [f"w{i}" for i in range(60)]
+    texts = []
+    for i in range(160):
+        own = list(base)
+        for _ in range(rng.randrange(5)):
+            own[rng.randrange(60)] = f"v{rng.randrange(12)}"
+        texts.append(" ".join(own[: 60 - rng.randrange(6)]))
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.jaccard_components(frame).collect()}
+    assert got == brute_components(list(range(160)), word_sets(texts, 4), 85)
+
+
 def test_jaccard_of_nothing(spark):
     assert jaccard.jaccard_components(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
@@ -173,6 +203,60 @@ def test_lines(spark):
     assert linededup.dedup_lines(frame.limit(0)).count() == 0
 
 
+def test_pairs_are_verified_exactly():
+    rng = random.Random(5)
+    base = ["".join(rng.choice("abcde é\t") for _ in range(rng.randrange(1, 120))) for _ in range(300)]
+    other = ["".join(c if rng.random() > rng.choice([0, 0.005, 0.02]) else rng.choice("xyz") for c in x) for x in base]
+    assert linededup.pairs_alike(base, other).tolist() == [linededup.alike(a, b) for a, b in zip(base, other)]
+    assert linededup.pairs_alike([], []).tolist() == []
+
+
+def test_keys_are_those_of_spark(spark):
+    lines = ["a", "héllo wörld", "x" * 100, " tab\t", "日本"]
+    rows = spark.createDataFrame([(x,) for x in lines], "own string").selectExpr("own", "xxhash64(own) as key").collect()
+    assert all(r["key"] == linededup.line_key(r["own"]) for r in rows)
+
+
+def test_rows_that_share_an_id_keep_their_own_lines(spark):
+    rows = [(1, "only in first\nshared by both rows"), (1, "shared by both rows\nonly in second"), (2, "twice\nsame"), (2, "twice\nsame"), (3, "twice")]
+    out = [tuple(r) for r in linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
+    left = [x for d, t in out if d == 1 for x in t.split("\n")]
+    assert sorted(x for x in left if x) == ["only in first", "only in second", "shared by both rows"]
+    assert sorted(t for d, t in out if d > 1) == ["", "twice\nsame", "twice\nsame"]
+
+
+def near_lines(rng, clusters, size, words, edits):
+    """Near copies: every line of a cluster changes some of the cluster's words."""
+    lines = []
+    for _ in range(clusters):
+        base = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(3, 9))) for _ in range(words)]
+        for _ in range(size):
+            own = list(base)
+            for _ in range(rng.randrange(edits + 1)):
+                own[rng.randrange(words)] = "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(6))
+            lines.append(" ".join(own))
+    return lines
+
+
+@pytest.mark.parametrize("words, edits", [(20, 2), (30, 4)])
+def test_recall_in_clusters(spark, words, edits):
+    """Of all truly alike pairs of large clusters of near copies, nearly all end in one component."""
+    import numpy as np
+
+    rng = random.Random(21)
+    lines = near_lines(rng, 3, 250, words, edits) + near_lines(rng, 60, 3, 25, 3)
+    pairs = [(i, j) for i in range(len(lines)) for j in range(i + 1, len(lines)) if i // 250 == j // 250 or i >= 750]
+    alike = linededup.pairs_alike([lines[i] for i, _ in pairs], [lines[j] for _, j in pairs])
+    texts = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string").repartition(5)
+    component = {r["node"]: r["component"] for r in linededup.line_groups(texts).collect()}
+    of = [component.get(linededup.line_key(x), linededup.line_key(x)) for x in lines]
+    joined = np.array([of[i] == of[j] for i, j in pairs])
+    assert alike.sum() > 5000 and joined[alike].mean() >= 0.98
+    sig = linededup.signatures(lines)
+    shared = np.array([(sig[i] == sig[j]).sum() >= linededup.AGREE for (i, j), a in zip(pairs, alike) if a])
+    assert shared.mean() >= 0.98
+
+
 @pytest.mark.parametrize("block", [7, 1024])
 def test_lines_of_a_template(spark, monkeypatch, block):
     """Lines that share much but are mostly not alike fill the same buckets; the alike ones among them must still meet."""
