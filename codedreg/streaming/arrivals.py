@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from codedreg.operators import coding
-from codedreg.sources.tables import EVENTS
+from codedreg.sources.tables import EVENTS, read_stream
 from codedreg.storage import ensure_checkpoint_dir
 
 CLIENTS = 20
@@ -25,7 +25,7 @@ def updates(events: DataFrame) -> DataFrame:
 
 
 def open_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return updates(spark.readStream.schema(EVENTS).option("pathGlobFilter", "events.parquet").option("maxFilesPerTrigger", 1).parquet(sf_dir))
+    return updates(read_stream(spark, sf_dir, "events", EVENTS))
 
 
 def epoch_aggregate(rows: DataFrame, length: str, late: str) -> DataFrame:
@@ -60,6 +60,11 @@ def drain(stream: DataFrame, by: list[str] | None = None) -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{path}/rows")
 
 
+def _exists(spark: SparkSession, path: str) -> bool:
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder)
+
+
 class ParameterServer:
     """Applies each batch of closed epochs to a state of fixed size, once, also over restarts.
 
@@ -74,8 +79,7 @@ class ParameterServer:
             self.done, self.state = max((r["batch"], list(r["state"])) for r in rows)
 
     def _rows(self, spark: SparkSession) -> list:
-        folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
-        if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):
+        if not _exists(spark, self.path):
             return []
         return spark.read.schema("batch long, state array<double>").parquet(self.path).collect()
 
@@ -106,7 +110,10 @@ class CompositeServer:
             coding.compose(coding.encode_clients(frame, self.c, 0.0, self.seed)).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
 
     def table(self, spark: SparkSession) -> DataFrame:
-        return coding.compose(spark.read.schema("k int, x array<double>, y array<double>").parquet(f"{self.path}/batch=*"))
+        schema = "k int, x array<double>, y array<double>"
+        if not _exists(spark, self.path):
+            return spark.createDataFrame([], schema)
+        return coding.compose(spark.read.schema(schema).parquet(f"{self.path}/batch=*"))
 
 
 def in_delivery_order(rows: DataFrame, path: str, files: int, late_s: int = 3600) -> None:
