@@ -10,14 +10,17 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from codedreg.functions.vectors import rounded
+from codedreg.functions.hashrand import philox_gauss
+from codedreg.functions.vectors import rounded, sum_vectors
 from codedreg.operators import delay, privacy, theory
 from codedreg.operators import gradients as grad
+from codedreg.operators.coding import dense, lists
 from codedreg.operators.features import fourier_features
-from codedreg.operators.partition import split_subsets
+from codedreg.operators.partition import global_rank, split_subsets
 from codedreg.plans import training
 from codedreg.sources import tables
 from codedreg.storage import cut
@@ -289,53 +292,86 @@ def lineitem_regression(spark: SparkSession, sf_dir: str, epochs: int = 40) -> D
 
 
 def gradient_moments(spark: SparkSession, ex: DataFrame, timed: DataFrame, w: np.ndarray, setting: theory.Setting, deadline: float, seeds: int = 400) -> DataFrame:
-    """bias2, variance of the aggregated gradient over seeds of coding, noise, batches and arrivals: all seeds in one job.
+    """bias2, variance of the aggregated gradient over seeds of coding, noise, batches and arrivals: all seeds in one pass.
 
-    The seeds are the rows of the job; the few coded examples a client holds travel as sums of squares, so this is for
-    checks of the theory on small tables: what is broadcast is the table, whose size is checked.
+    Rows stay where they are: a task draws each row's c coefficients of every seed from a stream of the row's own and passes on
+    seeds x c x (d + o) sums.  Batches are drawn as places in a global order of the rows, which then meet their rows.
     """
-    rows = ex.select("client", "x", "y").toArrow() if ex.count() <= MOMENT_ROWS else None
-    if rows is None:
-        raise ValueError(f"more than {MOMENT_ROWS} rows; measure on fewer")
-    client = rows.column("client").to_numpy()
-    x, y = (np.array(rows.column(c).to_pylist()) for c in ("x", "y"))
+    d, o = w.shape
     p = {r["client"]: (r["p_arrive"], int(r["b"])) for r in delay.arrival_probability(timed, deadline).select("client", "p_arrive", "b").collect()}
-    sent = spark.sparkContext.broadcast((client, x, y, p))
-    true = x.T @ (x @ w - y)
-    n = len(p)
+    n, c, wide = len(p), setting.c, d + o
+    placed = global_rank(ex.select("row_id", "client", "x", "y"), ["client", "row_id"], "spot")
+    spans = {r["client"]: (r["first"], r["l"]) for r in placed.groupBy("client").agg(F.min("spot").alias("first"), F.count("*").alias("l")).collect()}
 
-    def draw(batches):
-        import pyarrow as pa
-
-        from codedreg.operators.coding import lists
+    def code(batches):
+        total = np.zeros((seeds * c, wide))
+        for batch in batches:
+            place = np.asarray(batch.column("spot"))
+            rows = np.hstack([dense(batch.column("x")), dense(batch.column("y"))]) if len(place) else None
+            for a in range(0, len(place), MOMENT_BLOCK):
+                total += philox_gauss(MOMENT_SEED, place[a : a + MOMENT_BLOCK], seeds * c) @ rows[a : a + MOMENT_BLOCK]
+        if total.any():
+            yield pa.RecordBatch.from_arrays([pa.array(range(seeds), pa.int64()), lists(total.reshape(seeds, -1))], ["id", "v"])
+
+    def pick(batches):
+        for batch in batches:
+            ids, places, shares = [], [], []
+            for seed in batch.column("id").to_pylist():
+                rng = np.random.default_rng([BATCH_STREAM, seed])
+                for i, (chance, b) in sorted(p.items()):
+                    if chance > 0 and rng.random() < chance:
+                        first, l = spans[i]  # noqa: E741
+                        places.append(first + rng.choice(l, b, replace=False))
+                        ids += [seed] * b
+                        shares += [l / b / chance] * b
+            if ids:
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(np.concatenate(places), pa.int64()), pa.array(shares)], ["id", "spot", "share"])
+
+    def batch_gradients(batches):
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            if batch.num_rows:
+                x, y, ids = dense(batch.column("x")), dense(batch.column("y")), np.asarray(batch.column("id"))
+                rest = (x @ w - y) * np.asarray(batch.column("share"))[:, None]
+                for seed in np.unique(ids).tolist():
+                    own = ids == seed
+                    sums[seed] = sums.get(seed, 0) + (x[own].T @ rest[own]).ravel()
+        if sums:
+            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), lists(np.array(list(sums.values())))], ["id", "g"])
 
-        client, x, y, p = sent.value
+    def draw(batches):
         for batch in batches:
             out = []
-            for seed in batch.column("id").to_pylist():
-                rng = np.random.default_rng(seed)
-                noise = setting.sigma * math.sqrt(n) * rng.normal(size=(setting.c, x.shape[1]))
-                g = rng.normal(size=(setting.c, len(x)))
-                own = rng.choice(setting.c, setting.b_server, replace=False)
-                cx, cy = (g @ x + noise)[own], (g @ y)[own]
+            for seed, v, met in zip(batch.column("id").to_pylist(), batch.column("v").to_pylist(), batch.column("g").to_pylist()):
+                rng = np.random.default_rng([SERVER_STREAM, seed])
+                coded = np.array(v).reshape(c, wide)
+                coded[:, :d] += setting.sigma * math.sqrt(n) * rng.normal(size=(c, d))
+                own = rng.choice(c, setting.b_server, replace=False)
+                cx, cy = coded[own, :d], coded[own, d:]
                 total = cx.T @ (cx @ w - cy) / setting.b_server - n * setting.sigma**2 * w
-                for i, (chance, b) in p.items():
-                    if chance > 0 and rng.random() < chance:
-                        rows = rng.choice(np.flatnonzero(client == i), b, replace=False)
-                        total = total + x[rows].T @ (x[rows] @ w - y[rows]) * (client == i).sum() / b / chance
-                out.append((total / 2).ravel())
+                out.append(((total if met is None else total + np.array(met).reshape(w.shape)) / 2).ravel())
             if out:
                 yield pa.RecordBatch.from_arrays([lists(np.array(out))], ["g"])
 
-    drawn = spark.range(0, seeds, 1, 8).mapInArrow(draw, "g array<double>")
+    coded = sum_vectors(placed.select("spot", "x", "y").mapInArrow(code, "id long, v array<double>"), ["id"], ["v"])
+    picks = spark.range(0, seeds, 1, 8).mapInArrow(pick, "id long, spot long, share double")
+    # the batches are few rows beside the table, unless loads are shares of it
+    picks = F.broadcast(picks) if seeds * sum(b for _, b in p.values()) <= MOMENT_PICKS else picks.hint("merge")
+    met = placed.select("spot", "x", "y").join(picks, "spot").select("id", "share", "x", "y")
+    met = sum_vectors(met.mapInArrow(batch_gradients, "id long, g array<double>"), ["id"], ["g"])
+    drawn = coded.join(met, "id", "left").select("id", "v", "g").mapInArrow(draw, "g array<double>")
+    base = grad.full_gradient(ex, w)
     unreached = [i for i, (chance, _) in p.items() if chance <= 0]
-    base = true - 0.5 * sum((x[client == i].T @ (x[client == i] @ w - y[client == i]) for i in unreached), np.zeros(w.shape))
+    if unreached:
+        base = base - 0.5 * grad.full_gradient(ex.where(F.col("client").isin(unreached)), w)
     away = F.transform(F.arrays_zip("g", F.array(*[F.lit(float(v)) for v in base.ravel()]).alias("t")), lambda z: z["g"] - z["t"])
     far = drawn.select(F.posexplode(away).alias("j", "e")).groupBy("j").agg(F.avg("e").alias("mean"), F.avg(F.col("e") * F.col("e")).alias("square"))
     return far.agg(F.sum(F.col("mean") * F.col("mean")).alias("bias2"), F.sum("square").alias("variance"))
 
 
-MOMENT_ROWS = 20_000
+#: Streams of the moments' draws, the rows whose coefficients a task holds at once, and the most batch rows of all seeds that are broadcast.
+MOMENT_SEED, BATCH_STREAM, SERVER_STREAM = 707, 708, 709
+MOMENT_BLOCK, MOMENT_PICKS = 256, 1_000_000
 
 
 def theorem_run(spark: SparkSession, sf_dir: str, epochs: tuple[int, ...] = (10, 50, 200), sigma: float = 0.1) -> DataFrame:

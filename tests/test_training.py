@@ -1,8 +1,10 @@
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from codedreg import workloads
-from codedreg.operators import delay
+from codedreg.operators import delay, theory
+from codedreg.operators import gradients as grad
 from codedreg.operators.partition import disjoint_check, global_rank, split_subsets
 from codedreg.plans import training
 from codedreg.sources import tables
@@ -266,3 +268,18 @@ def test_measured_variance_is_the_exact_one(spark, sf_dir):
 def test_gap_stays_under_the_theorem(spark, sf_dir):
     rows = workloads.theorem_run(spark, sf_dir, (5, 40)).collect()
     assert all(0 <= r["gap"] <= r["bound"] for r in rows) and rows[1]["bound"] < rows[0]["bound"]
+
+
+def test_moments_over_more_rows_than_fit_a_limit(spark, sf_dir):
+    """42,000 rows, which an earlier limit of 20,000 refused, and the same moments whatever the partitions."""
+    w = np.array([[0.5], [-0.25]])
+    x = F.array((F.col("row_id") % 7 - 3) / 3.0, (F.col("row_id") % 11 - 5) / 5.0)
+    ex = spark.range(42_000).select(F.col("id").alias("row_id"), (F.col("id") % 4).cast("int").alias("client"), F.lit(1).alias("one")).withColumn("x", x).withColumn("y", F.array(F.col("x")[0])).drop("one")
+    timed = delay.with_times(delay.with_loads(delay.client_profiles(spark.read.parquet(f"{sf_dir}/nation.parquet")), ex, b=5), 4, 64)
+    setting = theory.Setting(4, 2, 0.3, 2, float((w**2).sum()))
+    found = [workloads.gradient_moments(spark, rows, timed, w, setting, 0.002, 40).first() for rows in (ex, ex.repartition(7))]
+    assert found[0]["variance"] == pytest.approx(found[1]["variance"], rel=1e-9) and found[0]["bias2"] < found[0]["variance"]
+    sized = ex.withColumn("b", F.lit(5).cast("long"))
+    totals = theory.data_constants(sized, w).agg(F.sum("zeta").alias("zeta"), F.sum("kappa").alias("kappa")).first().asDict()
+    exact = theory.exact_gradient_variance(theory.client_variance(sized, w), delay.arrival_probability(timed, 0.002), totals, setting, w, grad.full_gradient(ex, w), 4)
+    assert found[0]["variance"] == pytest.approx(exact, rel=0.6)
