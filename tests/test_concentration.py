@@ -4,7 +4,7 @@ import pytest
 from codedreg import oracles
 from codedreg.queries import QUERIES
 
-NAMES = ["concentration_g"]
+NAMES = ["concentration_g", "concentration_n"]
 
 
 @pytest.mark.parametrize("name", NAMES)
