@@ -4,7 +4,7 @@ import pytest
 from codedreg import oracles
 from codedreg.queries import QUERIES
 
-NAMES = ["concentration_g", "concentration_n"]
+NAMES = ["concentration_g", "concentration_n", "concentration_s"]
 
 
 @pytest.mark.parametrize("name", NAMES)
