@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codedreg.llm.common import cut, distinct, mix64, shuffle_width, slices
+from codedreg.llm.common import cut, distinct, lean, mix64, shuffle_width, slices
 from codedreg.llm.components import connected_components
 
 PERCENT = 85
@@ -165,7 +165,7 @@ def _frequent(docs: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
         if held:
             yield flush()
 
-    counts = docs.select("text").mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
+    counts = docs.select("text").mapInArrow(lean(run), "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
     top = counts.where(F.col("c") >= FREQUENT).orderBy(F.desc("c"), "h").limit(FREQUENT_MAX).toArrow()
     h = top.column("h").to_numpy().view(np.uint64)
     level = np.log2(top.column("c").to_numpy() / FREQUENT).astype(np.uint8) + 1 if len(h) else np.zeros(0, np.uint8)
@@ -200,7 +200,7 @@ def _index(docs: DataFrame, words: int, percent: int) -> DataFrame:
                     ["doc_id", "n", "sig", "prefix", "parts", "bits"],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, sig binary, prefix array<long>, parts array<int>, bits binary")
+    return docs.select("doc_id", "text").mapInArrow(lean(run), "doc_id long, n long, sig binary, prefix array<long>, parts array<int>, bits binary")
 
 
 def _leaders(entries: DataFrame) -> DataFrame:
@@ -223,7 +223,7 @@ def _leaders(entries: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(h[out]), pa.array(leads[out]), pa.array(lead_ns[out]), pa.array(doc[out]), pa.array(n[out]), first], ["h", "a", "n_a", "b", "n_b", "first"])
             last, lead, lead_n = (h[-1], part[-1]), leads[-1], lead_ns[-1]
 
-    return entries.mapInArrow(run, "h long, a long, n_a long, b long, n_b long, first boolean")
+    return entries.mapInArrow(lean(run), "h long, a long, n_a long, b long, n_b long, first boolean")
 
 
 def _columns(single: DataFrame) -> DataFrame:
@@ -251,7 +251,7 @@ def _with_bits(pairs: DataFrame, index: DataFrame, percent: int) -> DataFrame:
                     keep.append(i)
             yield batch.select(["a", "b", "shared"]).take(pa.array(keep, pa.int64()))
 
-    return pairs.join(a, "a").join(b, "b").select("a", "b", "shared", "bits_a", "bits_b", "n_a", "n_b").mapInArrow(run, "a long, b long, shared long")
+    return pairs.join(a, "a").join(b, "b").select("a", "b", "shared", "bits_a", "bits_b", "n_a", "n_b").mapInArrow(lean(run), "a long, b long, shared long")
 
 
 def _resolve(pairs: DataFrame, docs: DataFrame, index: DataFrame, words: int, percent: int) -> DataFrame:
@@ -271,7 +271,7 @@ def _resolve(pairs: DataFrame, docs: DataFrame, index: DataFrame, words: int, pe
             yield pa.RecordBatch.from_arrays([own.column("doc_id"), pa.array(map(xxhash.xxh3_128_digest, blobs), pa.binary()), pa.array(blobs, pa.binary())], ["doc_id", "sig", "own"])
 
     named = ends.distinct().join(index.select("doc_id", "sig"), "doc_id")
-    sets = docs.select("doc_id", "text", place("doc_id").alias("place")).mapInArrow(run, "doc_id long, sig binary, own binary").join(named, ["doc_id", "sig"], "left_semi")
+    sets = docs.select("doc_id", "text", place("doc_id").alias("place")).mapInArrow(lean(run), "doc_id long, sig binary, own binary").join(named, ["doc_id", "sig"], "left_semi")
     sets = cut(sets.dropDuplicates(["doc_id"]).drop("sig"))
 
     # a leader's row meets the rows of its pairs in blocks; a leader of many pairs stands in several
@@ -297,7 +297,7 @@ def _resolve(pairs: DataFrame, docs: DataFrame, index: DataFrame, words: int, pe
                 yield pa.RecordBatch.from_arrays([pa.array(a[at:stop], pa.int64()).filter(pa.array(keep)), pa.array(b[at:stop], pa.int64()).filter(pa.array(keep))], ["a", "b"])
                 at = stop
 
-    return dealt.mapInArrow(multiply, "a long, b long")
+    return dealt.mapInArrow(lean(multiply), "a long, b long")
 
 
 def overlaps_suffice(lead: np.ndarray, rows: list[np.ndarray], percent: int = PERCENT) -> np.ndarray:
@@ -328,13 +328,13 @@ def _crossing(columns: DataFrame, labels: DataFrame, index: DataFrame, percent:
     width = shuffle_width(columns.sparkSession)
 
     few = rows.where(F.col("size") <= SMALL).select("h", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(0).alias("own"), "doc_id", "component", "n", F.lit(b"").alias("bits"))
-    few = few.repartition(width, "h").sortWithinPartitions("h").mapInArrow(_meet(percent, False), "a long, b long").distinct()
+    few = few.repartition(width, "h").sortWithinPartitions("h").mapInArrow(lean(_meet(percent, False)), "a long, b long").distinct()
 
     many = rows.where(F.col("size") > SMALL).withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int"))
     many = many.join(index.select("doc_id", "bits"), "doc_id").withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
     grid = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda i: F.struct(F.least(i, F.col("own")).alias("i"), F.greatest(i, F.col("own")).alias("j")))
     many = many.withColumn("cell", F.explode(grid)).select("h", "cell.i", "cell.j", "own", "doc_id", "component", "n", "bits")
-    many = many.repartition(width, "h", "i", "j").sortWithinPartitions("h", "i", "j").mapInArrow(_meet(percent, True), "a long, b long").distinct()
+    many = many.repartition(width, "h", "i", "j").sortWithinPartitions("h", "i", "j").mapInArrow(lean(_meet(percent, True)), "a long, b long").distinct()
     return _with_bits(few.withColumn("shared", F.lit(1).cast("long")), index, percent).select("a", "b").unionByName(many)
 
 

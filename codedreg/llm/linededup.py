@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codedreg.llm.common import cut, distinct, mix64, shuffle_width, slices
+from codedreg.llm.common import cut, distinct, lean, mix64, shuffle_width, slices
 from codedreg.llm.components import connected_components
 
 SHINGLE = 6
@@ -230,8 +230,8 @@ def _proposals(docs: DataFrame) -> DataFrame:
         if held:
             yield pairs_of(held)
 
-    dealt = docs.select("text").mapInArrow(bands, "bucket long, entries binary").repartition(width, "bucket").sortWithinPartitions("bucket")
-    found = dealt.mapInArrow(meet, "member boolean, a long, b long, bands long").groupBy("member", "a", "b").agg(F.sum("bands").alias("bands"))
+    dealt = docs.select("text").mapInArrow(lean(bands), "bucket long, entries binary").repartition(width, "bucket").sortWithinPartitions("bucket")
+    found = dealt.mapInArrow(lean(meet), "member boolean, a long, b long, bands long").groupBy("member", "a", "b").agg(F.sum("bands").alias("bands"))
     return found.where(F.col("member") | (F.col("bands") >= AGREE)).drop("bands")
 
 
@@ -288,7 +288,7 @@ def _texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
             found = [x for x, keep in zip(lines, there) if keep]
             yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in found], pa.int64()), pa.array([x for _, x in found], pa.string())], ["key", "line"])
 
-    found = docs.select("text").mapInArrow(run, "key long, line string").join(wanted, "key", "left_semi")
+    found = docs.select("text").mapInArrow(lean(run), "key long, line string").join(wanted, "key", "left_semi")
     return found.groupBy("key").agg(F.first("line").alias("line"))
 
 
@@ -384,7 +384,7 @@ def _crossing(members: DataFrame, labels: DataFrame, texts: DataFrame) -> DataFr
             yield links()
 
     width = shuffle_width(members.sparkSession)
-    return rows.repartition(width, "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j").mapInArrow(run, "a long, b long").distinct()
+    return rows.repartition(width, "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j").mapInArrow(lean(run), "a long, b long").distinct()
 
 
 def line_groups(docs: DataFrame) -> DataFrame:
@@ -402,7 +402,7 @@ def line_groups(docs: DataFrame) -> DataFrame:
 
     a = texts.select(F.col("key").alias("a"), F.col("line").alias("x"))
     b = texts.select(F.col("key").alias("b"), F.col("line").alias("y"))
-    labels = cut(connected_components(proposed.join(a, "a").join(b, "b").select("a", "b", "x", "y").mapInArrow(compare, "a long, b long")))
+    labels = cut(connected_components(proposed.join(a, "a").join(b, "b").select("a", "b", "x", "y").mapInArrow(lean(compare), "a long, b long")))
     more = cut(_crossing(members, labels, texts))
     if more.isEmpty():
         return labels
@@ -442,7 +442,7 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
             out = batch.select(names)
             yield out.set_column(names.index("text"), "text", pa.array(texts, pa.string()))
 
-    return joined.mapInArrow(run, schema)
+    return joined.mapInArrow(lean(run), schema)
 
 
 def summary(docs: DataFrame) -> DataFrame:

@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from codedreg.llm.common import lean
+
 KINDS = ("email", "ip", "card", "phone")
 RESULT = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string"
 
@@ -255,7 +257,7 @@ def find_pii(docs: DataFrame) -> DataFrame:
             if rows:
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *map(pa.array, zip(*rows), [pa.int64()] * 4 + [pa.string()] * 2)], names)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, RESULT)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lean(run), RESULT)
 
 
 def masked(docs: DataFrame, text_col: str = "text") -> DataFrame:
@@ -267,4 +269,4 @@ def masked(docs: DataFrame, text_col: str = "text") -> DataFrame:
             at = batch.schema.get_field_index(text_col)
             yield batch.set_column(at, text_col, pa.array(texts, pa.string()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)

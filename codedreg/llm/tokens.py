@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import functools
 import json
 from array import array
 
 from tokenizers import Tokenizer
 
 from codedreg.llm.bpe import GPT_PATTERN, Coder, PieceCoder
+from codedreg.llm.common import kept
 
 
 class FileCoder(PieceCoder):
@@ -46,9 +46,12 @@ def ranked_tokens(own: dict) -> list[bytes] | None:
     return [bytes(back[c] for c in t) for _, t in ids]
 
 
-@functools.cache
 def file_coder(path: str, pattern: str) -> PieceCoder:
     """The rank coder if the file amounts to ranks under this pattern, else the library itself, text by text."""
+    return kept(("file", path, pattern), lambda: _file_coder(path, pattern))
+
+
+def _file_coder(path: str, pattern: str) -> PieceCoder:
     model = Tokenizer.from_file(path)
     model.encode_special_tokens = True
     model.no_padding()
