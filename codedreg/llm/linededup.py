@@ -53,7 +53,7 @@ PLACES_HELD = 1 << 24
 WHITE = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 
 _ODD = (mix64(np.arange(7, 7 + BANDS * ROWS, dtype=np.uint64)) >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
-_STEPS = mix64(np.arange(1, 1 + SHINGLE, dtype=np.uint64)) | np.uint64(1)
+_STEPS = mix64(np.arange(1, 1 + SHINGLE // 3, dtype=np.uint64)) | np.uint64(1)
 
 
 def line_key(line: str) -> int:
@@ -66,7 +66,25 @@ def blank(line: str) -> bool:
 
 
 def normal_line(line: str) -> str:
-    return " ".join(line.lower().split())
+    line = line.lower()
+    # all white space but the plain one counts as not printable, so such lines are normal as they are
+    if line.isprintable() and "  " not in line and line[:1] != " " and line[-1:] != " ":
+        return line
+    return " ".join(line.split())
+
+
+def window_hashes(text: str) -> np.ndarray:
+    """64-bit hashes of all SHINGLE-character substrings: three characters fill one number, a substring is two of these."""
+    codes = np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64)
+    m = len(codes) - SHINGLE + 1
+    three = codes[2:] << np.uint64(42)
+    three |= codes[1:-1] << np.uint64(21)
+    three |= codes[:-2]
+    with np.errstate(over="ignore"):
+        out = three[:m] * _STEPS[0]
+        for i in range(1, SHINGLE // 3):
+            out += three[3 * i : 3 * i + m] * _STEPS[i]
+        return mix64(out)
 
 
 def shingles(line: str) -> set[str]:
@@ -76,10 +94,7 @@ def shingles(line: str) -> set[str]:
 
 def shingle_hashes(line: str) -> np.ndarray:
     """Distinct 64-bit hashes of the line's shingles, sorted."""
-    codes = np.frombuffer(normal_line(line).ljust(SHINGLE, "\0").encode("utf-32-le"), np.uint32).astype(np.uint64)
-    with np.errstate(over="ignore"):
-        m = len(codes) - SHINGLE + 1
-        return distinct(mix64(sum(codes[i : i + m] * _STEPS[i] for i in range(SHINGLE))))
+    return distinct(window_hashes(normal_line(line).ljust(SHINGLE, "\0")))
 
 
 def alike(a: str, b: str) -> bool:
@@ -121,10 +136,7 @@ def _keyed(lines: list[str]) -> np.ndarray:
 
 def _hashes(lines: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of all substrings of the joined lines, and the lines' sizes."""
-    codes = np.frombuffer("".join(lines).encode("utf-32-le"), np.uint32).astype(np.uint64)
-    m = len(codes) - SHINGLE + 1
-    with np.errstate(over="ignore"):
-        return mix64(sum(codes[i : i + m] * _STEPS[i] for i in range(SHINGLE))), np.array([len(x) for x in lines])
+    return window_hashes("".join(lines)), np.array([len(x) for x in lines])
 
 
 def signatures(lines: list[str]) -> np.ndarray:
@@ -150,13 +162,11 @@ def _signatures(lines: list[str]) -> np.ndarray:
     for k in range(BANDS * ROWS):
         np.multiply(h, _ODD[k], out=mixed)
         np.minimum.reduceat(mixed, first, out=least[k])
-    bands = []
-    for b in range(BANDS):
-        acc = np.full(len(lines), b + 1, np.uint64)
-        for r in range(ROWS):
-            acc = mix64(acc ^ least[b * ROWS + r].astype(np.uint64))
-        bands.append(acc)
-    return np.stack(bands, 1)
+    rows = least.reshape(BANDS, ROWS, len(lines))
+    bands = np.arange(1, 1 + BANDS, dtype=np.uint64)[:, None]
+    for r in range(ROWS):
+        bands = mix64(bands ^ rows[:, r])
+    return bands.T
 
 
 def row_hash():
@@ -166,8 +176,10 @@ def row_hash():
 
 def _occurrences(docs: DataFrame) -> DataFrame:
     """key, doc_id, row, line of every line that is not blank."""
-    lines = docs.select("doc_id", row_hash().alias("row"), F.posexplode(F.split("text", "\n")).alias("line", "own"))
-    return lines.where(F.btrim("own", F.lit(WHITE)) != "").select(F.xxhash64("own").alias("key"), "doc_id", "row", "line")
+    # the row's hash is taken before its lines are: after, Spark would take it for each line
+    rows = docs.select("doc_id", row_hash().alias("row"), "text")
+    lines = rows.select("doc_id", "row", F.posexplode(F.split("text", "\n")).alias("line", "own"))
+    return lines.where(F.ltrim("own", F.lit(WHITE)) != "").select(F.xxhash64("own").alias("key"), "doc_id", "row", "line")
 
 
 def _distinct_lines(batches):
@@ -428,7 +440,8 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     named = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     drops = dropped_lines(named).select(F.col("doc_id").alias("doc_id__"), F.col("row").alias("row__"), F.col("drop").alias("drop__"))
     own = F.xxhash64(docs["doc_id"].cast("long"), docs["text"])
-    joined = docs.join(drops, (docs["doc_id"].cast("long") == drops["doc_id__"]) & (own == drops["row__"]), "left").drop("doc_id__", "row__")
+    # no order is needed, so the texts are not sorted
+    joined = docs.join(drops.hint("shuffle_hash"), (docs["doc_id"].cast("long") == drops["doc_id__"]) & (own == drops["row__"]), "left").drop("doc_id__", "row__")
 
     def run(batches):
         for batch in batches:

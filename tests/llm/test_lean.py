@@ -1,4 +1,4 @@
-"""What Python workers keep between tasks."""
+"""What Python workers keep between tasks, and what line dedup computes once a row."""
 
 import public_tokenizers as P
 from codedreg.llm import common, jaccard, linededup, pii, toxicity
@@ -33,3 +33,21 @@ def test_stages_before_packing_let_the_coder_of_a_reused_worker_go(spark, monkey
         assert common._KEPT
         assert list(f(iter([]))) is not None
         assert not common._KEPT
+
+
+def test_rows_are_hashed_before_their_lines_are_laid_out(spark):
+    docs = spark.createDataFrame([(1, "a\nb\n \n　\t\nc")], "doc_id long, text string")
+    found = linededup._occurrences(docs)
+    plan = found._jdf.queryExecution().optimizedPlan().toString().split("\n")
+    generate = next(i for i, x in enumerate(plan) if "Generate" in x)
+    assert not any("xxhash64(doc_id" in x for x in plan[:generate])
+    assert [r["line"] for r in found.orderBy("line").collect()] == [0, 1, 4]
+
+
+def test_normal_lines_and_windows():
+    lines = ["", " ", "a  B", "\ta b ", "a　b", "a b", "ΑΣ ΑΣ", "x\x1cy", "\xa0z", "a​b c"]
+    assert [linededup.normal_line(x) for x in lines] == [" ".join(x.lower().split()) for x in lines]
+    text = "abcdefabcdef\U0010ffff\0abcdef"
+    hashes = linededup.window_hashes(text).tolist()
+    windows = [text[i : i + 6] for i in range(len(text) - 5)]
+    assert len(set(zip(windows, hashes))) == len(set(windows)) == len(set(hashes))
